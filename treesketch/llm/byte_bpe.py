@@ -19,11 +19,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from treesketch.llm.wordpieces import text_groups
+from treesketch.llm.worker import kept
 
 #: A byte b is written as the character U+0100 + b.
 BYTE_BASE = 0x100
-#: Distinct pre-tokens whose ids a task keeps.
-KEPT_PRETOKENS = 200_000
+#: Distinct pre-tokens whose ids a worker keeps (some 80 MB).
+KEPT_PRETOKENS = 400_000
 
 
 def default_ranks() -> str:
@@ -128,7 +129,7 @@ def encode_byte_bpe(docs: DataFrame, *, ranks: str | None = None, pattern: str |
     ranks, pattern = ranks or default_ranks(), pattern or default_pattern()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder = ByteBpe(ranks, pattern)
+        coder = kept(("byte bpe", ranks, pattern), lambda: ByteBpe(ranks, pattern))
         for batch in batches:
             texts = batch.column(1).to_pylist()
             for a, b in text_groups(texts):

@@ -15,6 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from treesketch.llm.storage import materialize
+from treesketch.llm.worker import kept
 from treesketch.llm.wordpieces import WordPieceEncoder, default_path, text_groups
 
 #: Pieces that one task packs on average. Each task leaves a few part-filled sequences.
@@ -66,7 +67,7 @@ def token_pieces(docs: DataFrame, *, tokenizer: str | None = None, end_id: int =
     tokenizer = tokenizer or default_path()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = WordPieceEncoder(tokenizer)
+        encoder = kept(("word pieces", tokenizer), lambda: WordPieceEncoder(tokenizer))
         end = np.array([end_id], "<u4").tobytes()
         for batch in batches:
             doc_ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()

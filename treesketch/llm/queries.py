@@ -12,6 +12,13 @@ def _read(spark: SparkSession, sf_dir: str, table: str, *columns: str) -> DataFr
     return spark.read.parquet(f"{sf_dir}/{table}.parquet").select(*columns)
 
 
+def op1_prefix_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from treesketch.llm.prefix_forest import nearest_neighbours
+
+    vectors = _read(spark, sf_dir, "embeddings", "vec_id", "embedding")
+    return nearest_neighbours(vectors, vectors.where(F.col("vec_id") % 20 == 0), k=20)
+
+
 def op4_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     from treesketch.llm.storage import scratch_path
     from treesketch.llm.token_shards import read_token_dataset, write_token_dataset
@@ -20,6 +27,12 @@ def op4_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read_token_dataset(spark, path).select("doc_id", "start", "n_tokens", F.crc32("ids").alias("ids_crc32"))
 
 
+def op5_minhash_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from treesketch.llm.near_dedup import near_duplicates
+
+    return near_duplicates(_read(spark, sf_dir, "documents", "doc_id", "text"), size=5, percent=75)
+
+
 def op6_sum_of_squares_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from treesketch.llm.packing import pack_pieces, token_pieces
 
@@ -36,6 +49,12 @@ def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_lines", "n_dropped", F.sha2("text", 256).alias("kept_sha256"))
 
 
+def op9_small_world(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from treesketch.llm.hnsw import near_duplicate_vectors
+
+    return near_duplicate_vectors(_read(spark, sf_dir, "embeddings", "vec_id", "embedding"), threshold=0.95)
+
+
 def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     from treesketch.llm.byte_bpe import decode_byte_bpe, encode_byte_bpe
 
@@ -62,9 +81,12 @@ FROM keyed LEFT JOIN often o ON keyed.k = o.k GROUP BY doc_id
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_prefix_forest": op1_prefix_forest,
         "op4_token_shards": op4_token_shards,
+        "op5_minhash_join": op5_minhash_join,
         "op6_sum_of_squares_packing": op6_sum_of_squares_packing,
         "op7_line_dedup": op7_line_dedup,
+        "op9_small_world": op9_small_world,
         "op10_byte_bpe": op10_byte_bpe,
     }
 

@@ -17,6 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from treesketch.llm.worker import kept
 from treesketch.llm.wordpieces import WordPieceEncoder, default_path, text_groups
 
 #: Ids after which a block is closed; it always ends with a whole document.
@@ -130,7 +131,7 @@ def write_token_dataset(
     def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        encoder = WordPieceEncoder(tokenizer)
+        encoder = kept(("word pieces", tokenizer), lambda: WordPieceEncoder(tokenizer))
         width = encoder.dtype.itemsize
         end = np.array([end_id], encoder.dtype).tobytes()
         shard, block, start, held = TaskContext.get().partitionId(), 0, 0, 0

@@ -12,8 +12,8 @@ from collections.abc import Iterable
 
 import numpy as np
 
-#: Distinct chunks whose ids a task keeps (some 60 MB); further ones are encoded again.
-KEPT_CHUNKS = 200_000
+#: Distinct chunks, and as many words, whose ids a worker keeps (some 150 MB); further ones are encoded again.
+KEPT_CHUNKS = 400_000
 
 
 def default_path() -> str:
