@@ -19,6 +19,29 @@ def op1_prefix_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
     return nearest_neighbours(vectors, vectors.where(F.col("vec_id") % 20 == 0), k=20)
 
 
+#: A document is held out where the CRC-32 of its id as text leaves this remainder.
+HELD_OUT, FOLDS = 2, 4
+#: Scores from here on count as good.
+GOOD = 0.7
+
+
+def op2_factorization_machine(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from treesketch.llm.factorization import fit_quality, score_quality
+
+    docs = _read(spark, sf_dir, "documents", "doc_id", "text")
+    labels = _read(spark, sf_dir, "labels", "doc_id", F.col("quality").alias("label"))
+    held_out = F.crc32(F.col("doc_id").cast("string")) % FOLDS == HELD_OUT
+    scored = score_quality(docs, fit_quality(docs, labels))
+    return scored.select("doc_id", F.coalesce(held_out, F.lit(False)).alias("held_out"), "score", (F.col("score") >= GOOD).cast("int").alias("predicted"))
+
+
+def op3_passage_chains(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from treesketch.llm.passages import remove_repeats
+
+    out = remove_repeats(_read(spark, sf_dir, "documents", "doc_id", "text"))
+    return out.select("doc_id", "n_words", "n_removed", F.size("spans").cast("long").alias("n_spans"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
+
+
 def op4_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     from treesketch.llm.storage import scratch_path
     from treesketch.llm.token_shards import read_token_dataset, write_token_dataset
@@ -49,6 +72,13 @@ def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_lines", "n_dropped", F.sha2("text", 256).alias("kept_sha256"))
 
 
+def op8_tag_path_ratios(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from treesketch.llm.html_text import extract_main_text
+
+    texts = extract_main_text(_read(spark, sf_dir, "pages", "page_id", "url", "html"))
+    return texts.withColumn("n_chars", F.length("text").cast("long"))
+
+
 def op9_small_world(spark: SparkSession, sf_dir: str) -> DataFrame:
     from treesketch.llm.hnsw import near_duplicate_vectors
 
@@ -82,10 +112,13 @@ FROM keyed LEFT JOIN often o ON keyed.k = o.k GROUP BY doc_id
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_prefix_forest": op1_prefix_forest,
+        "op2_factorization_machine": op2_factorization_machine,
+        "op3_passage_chains": op3_passage_chains,
         "op4_token_shards": op4_token_shards,
         "op5_minhash_join": op5_minhash_join,
         "op6_sum_of_squares_packing": op6_sum_of_squares_packing,
         "op7_line_dedup": op7_line_dedup,
+        "op8_tag_path_ratios": op8_tag_path_ratios,
         "op9_small_world": op9_small_world,
         "op10_byte_bpe": op10_byte_bpe,
     }
