@@ -181,13 +181,13 @@ def read_token_dataset(spark: SparkSession, path: str) -> DataFrame:
                 stops = EliasFano.from_bytes(r["ends"]).values()
                 starts = np.concatenate([[0], stops[:-1]])
                 known = EliasFano.from_bytes(r["doc_ids"]).values() + r["id_base"]
-                ids = np.frombuffer(r["ids"], "<u2" if r["width"] == 2 else "<u4").astype("<u4").tobytes()
+                ids = np.frombuffer(r["ids"], "<u2" if r["width"] == 2 else "<u4").astype("<u4")
+                offsets = np.concatenate([starts, stops[-1:]]) * 4
+                data = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(stops), [None, pa.py_buffer(offsets.astype(np.int64)), pa.py_buffer(ids)])
+                doc_ids = pa.array(np.concatenate([np.zeros(r["n_null_ids"], np.int64), known]), mask=np.arange(len(stops)) < r["n_null_ids"])
                 yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array([None] * r["n_null_ids"] + known.tolist(), pa.int64()), pa.array(starts + (bases[r["shard"]] + r["start"]), pa.int64()),
-                        pa.array(stops - starts, pa.int64()), pa.array([ids[4 * a : 4 * b] for a, b in zip(starts, stops)], pa.binary()),
-                    ],
+                    [doc_ids, pa.array(starts + (bases[r["shard"]] + r["start"])), pa.array(stops - starts), data.cast(pa.binary())],
                     names=["doc_id", "start", "n_tokens", "ids"],
-                )
+                )
 
     return blocks.select("shard", "start", "n_null_ids", "width", "ids", "ends", "doc_ids", "id_base").mapInArrow(documents, DOCUMENT_SCHEMA)
