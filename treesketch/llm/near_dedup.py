@@ -12,9 +12,10 @@ confirmed on the full shingle sets.
 
 Documents with equal sets are one class from the start. A class is compared
 with a few hubs of each list first; these links are joined to components, and
-only pairs of different components in a list are compared afterwards. So a
-large group of near copies costs about as many comparisons as it has members,
-and no link that could join two components is left out.
+only pairs of different components in a list are compared afterwards, where
+their full sets still can be close enough. So a large group of near copies
+costs about as many comparisons as it has members, and no link that could join
+two components is left out.
 """
 
 from __future__ import annotations
@@ -130,6 +131,49 @@ def _postings(classes: DataFrame, coordinates: int, matches: int) -> DataFrame:
     return prefix.join(classes.select("cls", _packed(F.col("sig"), coordinates).alias("packed")), "cls").select("token", "cls", "packed")
 
 
+def _mixed(posted: DataFrame, key: str) -> DataFrame:
+    """The rows of lists that hold several components, with the list's most frequent one as ``major``."""
+    sizes = posted.groupBy(key, "comp").agg(F.count(F.lit(1)).alias("n"))
+    mixed = sizes.groupBy(key).agg(F.max_by("comp", F.struct("n", "comp")).alias("major"), F.count(F.lit(1)).alias("comps")).where(F.col("comps") >= 2)
+    return posted.join(mixed.select(key, "major"), key)
+
+
+def _close_sets(docs: DataFrame, ids: DataFrame, size: int, percent: int) -> DataFrame:
+    """``a, b``: pairs of ``ids(cls, comp)`` of different components that may reach ``percent``, none left out.
+
+    A prefix join on the full sets: shingles in the order of rarity among these
+    documents; similar sets share one of the rarest (100 - percent) % of each,
+    and where the first that they share stands bounds what they can share at all.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for start in range(0, batch.num_rows, 256):
+                part = batch.slice(start, 256)
+                sets = [np.frombuffer(members.as_buffer(), np.int64) for members in part.column(1)]
+                n = np.array([len(h) for h in sets])
+                marks = np.array([np.bitwise_xor.reduce(h) for h in sets])
+                columns = [np.repeat(part.column(0).to_numpy(), n), np.repeat(marks, n), np.repeat(n, n), np.concatenate(sets)]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["id", "mark", "n", "h"])
+
+    rows = _sets(docs, ids.select(F.col("cls").alias("id")).distinct(), size).mapInArrow(run, "id long, mark long, n long, h long")
+    rows = materialize(rows, "shingles")
+    shared = rows.groupBy("h").agg(F.count(F.lit(1)).alias("df")).where(F.col("df") >= 2)
+    listed = rows.join(shared, "h").groupBy("id", "mark", "n").agg(F.array_sort(F.collect_list(F.struct("df", "h"))).alias("t"))
+    alone = F.col("n") - F.size("t")
+    prefix = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1 - alone
+    posts = listed.where(prefix > 0).select("id", "n", alone.alias("alone"), F.posexplode(F.slice("t", F.lit(1), prefix.cast("int"))).alias("i", "t"))
+    posts = posts.select(F.col("t.h").alias("h"), F.col("id").alias("cls"), "n", (F.col("alone") + F.col("i")).alias("at")).join(ids, "cls")
+    posts = materialize(_mixed(posts.select("h", "cls", "n", "at", "comp"), "h"), "set-prefixes")
+    x = posts.where(F.col("comp") != F.col("major")).select("h", *[F.col(c).alias(f"{c}_x") for c in ("cls", "n", "at", "comp")])
+    y = posts.select("h", *[F.col(c).alias(f"{c}_y") for c in ("cls", "n", "at", "comp")], (F.col("comp") == F.col("major")).alias("in_major"))
+    reach = F.least(F.col("n_x") - F.col("at_x"), F.col("n_y") - F.col("at_y")) * (100 + percent) >= percent * (F.col("n_x") + F.col("n_y"))
+    near = 100 * F.least("n_x", "n_y") >= percent * F.greatest("n_x", "n_y")
+    meet = (F.col("comp_x") != F.col("comp_y")) & (F.col("in_major") | (F.col("cls_x") < F.col("cls_y"))) & near & reach
+    pairs = x.alias("x").join(y.alias("y"), (F.col("x.h") == F.col("y.h")) & meet)
+    return pairs.select(F.least("cls_x", "cls_y").alias("a"), F.greatest("cls_x", "cls_y").alias("b")).distinct()
+
+
 def near_duplicates(
     docs: DataFrame, *, size: int = 5, percent: int = 75, coordinates: int = COORDINATES, matches: int = MATCHES, hubs: int = HUBS
 ) -> DataFrame:
@@ -159,16 +203,10 @@ def near_duplicates(
     labels = materialize(connected_components(links), "labels")
 
     # What is left: pairs of different components that meet in a list.
-    posted = postings.join(labels.withColumnRenamed("vertex", "cls"), "cls", "left").select("token", "cls", "packed", F.coalesce("component", "cls").alias("comp"))
-    posted = materialize(posted, "posted")
-    sizes = posted.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("n"))
-    mixed = sizes.groupBy("token").agg(F.max_by("comp", F.struct("n", "comp")).alias("major"), F.count(F.lit(1)).alias("comps")).where(F.col("comps") >= 2).select("token", "major")
-    open_lists = materialize(posted.join(mixed, "token"), "open")
-    minor = open_lists.where(F.col("comp") != F.col("major")).select("token", F.col("cls").alias("a"), F.col("packed").alias("pa"), F.col("comp").alias("ca"))
-    other = open_lists.select("token", F.col("cls").alias("b"), F.col("packed").alias("pb"), F.col("comp").alias("cb"), (F.col("comp") == F.col("major")).alias("in_major"))
-    meet = (F.col("m.token") == F.col("o.token")) & (F.col("ca") != F.col("cb")) & (F.col("in_major") | (F.col("a") < F.col("b"))) & F.expr(f"{_agreements('pa', 'pb', words)} >= {matches}")
-    rest = minor.alias("m").join(other.alias("o"), meet).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().join(first, ["a", "b"], "left_anti")
-    more = materialize(confirmed(docs, materialize(rest, "rest"), size=size, percent=percent), "links")
+    posted = postings.select("token", "cls").join(labels.withColumnRenamed("vertex", "cls"), "cls", "left").select("token", "cls", F.coalesce("component", "cls").alias("comp"))
+    open_ids = materialize(_mixed(posted, "token").select("cls", "comp").distinct(), "open")
+    rest = materialize(_close_sets(docs, open_ids, size, percent).join(first, ["a", "b"], "left_anti"), "rest")
+    more = materialize(confirmed(docs, rest, size=size, percent=percent), "links")
     final = connected_components(links.unionByName(more))
 
     known = classes.select("f1", "f2", "n_shingles", "cls").join(final.withColumnRenamed("vertex", "cls"), "cls", "left")
