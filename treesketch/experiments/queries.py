@@ -56,7 +56,7 @@ def _token_support(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _tree(workers: int) -> Query:
-    return lambda spark, sf: topology.tree_merge(sk.build(tables.part_vector(spark, sf, workers), SPEC), workers)
+    return lambda spark, sf: topology.tree_merge(sk.build(tables.part_vector(spark, sf, workers, summed=False), SPEC), workers)
 
 
 def _ledgers(spark: SparkSession) -> DataFrame:
@@ -74,18 +74,18 @@ def _edges(spark: SparkSession) -> DataFrame:
 
 def sketch_subtract(spark: SparkSession, sf: str) -> DataFrame:
     """Quantities less cents: the difference of two sketches is the sketch of the difference."""
-    a, b = (sk.build(v, SPEC) for v in (tables.part_vector(spark, sf), tables.price_vector(spark, sf)))
+    a, b = (sk.build(v, SPEC) for v in (tables.part_vector(spark, sf, summed=False), tables.price_vector(spark, sf, summed=False)))
     return sk.subtract(a, b)
 
 
 def sketch_norm(spark: SparkSession, sf: str) -> DataFrame:
-    flat, skewed = sk.merge_flat(sk.build(tables.part_vector(spark, sf), SPEC)), _merged_tokens(spark, sf)
+    flat, skewed = sk.merge_flat(sk.build(tables.part_vector(spark, sf, summed=False), SPEC)), _merged_tokens(spark, sf)
     named = lambda s, n: sk.l2_squared(s, SPEC).select(F.lit(n).alias("vector"), F.col("l2sq").cast("long").alias("l2sq"))
     return named(flat, "parts").unionByName(named(skewed, "tokens"))
 
 
 def point_query(spark: SparkSession, sf: str) -> DataFrame:
-    vector = tables.part_vector(spark, sf)
+    vector = tables.part_vector(spark, sf, summed=False)
     return sk.estimate(sk.merge_flat(sk.build(vector, SPEC)), SPEC, vector.select("coord").distinct())
 
 
@@ -101,12 +101,12 @@ def sketch_sizes(spark: SparkSession, sf: str) -> DataFrame:
 
 def sketch_blocks(spark: SparkSession, sf: str) -> DataFrame:
     """The NumPy path's cells as whole numbers: equal to those of the relational path."""
-    cells = sk.cells_of_blocks(sk.build_blocks(tables.part_vector(spark, sf), SPEC), SPEC)
+    cells = sk.cells_of_blocks(sk.build_blocks(tables.part_vector(spark, sf, summed=False), SPEC), SPEC)
     return cells.select("worker", "hrow", "bucket", F.col("val").cast("long").alias("val"))
 
 
 def sketch_sql(spark: SparkSession, sf: str) -> DataFrame:
-    tables.part_vector(spark, sf).createOrReplaceTempView("treesketch_parts")
+    tables.part_vector(spark, sf, summed=False).createOrReplaceTempView("treesketch_parts")
     return spark.sql(sk.build_sql("treesketch_parts", SPEC))
 
 
@@ -189,7 +189,7 @@ def token_quantized(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def counted_ledger(spark: SparkSession, sf: str) -> DataFrame:
-    return topology.counted_ledger(sk.build(tables.part_vector(spark, sf, 5), SPEC), 5).select("round", "messages", F.col("values").cast("long").alias("values"))
+    return topology.counted_ledger(sk.build(tables.part_vector(spark, sf, 5, summed=False), SPEC), 5).select("round", "messages", F.col("values").cast("long").alias("values"))
 
 
 def queries() -> dict[str, Query]:
@@ -199,17 +199,17 @@ def queries() -> dict[str, Query]:
     return {
         "shard_vector": tables.part_vector,
         "sketch_sizes": sketch_sizes,
-        "sketch_cells": lambda spark, sf: sk.build(tables.part_vector(spark, sf), SPEC),
-        "sketch_cells_cents": lambda spark, sf: sk.build(tables.price_vector(spark, sf), SPEC),
+        "sketch_cells": lambda spark, sf: sk.build(tables.part_vector(spark, sf, summed=False), SPEC),
+        "sketch_cells_cents": lambda spark, sf: sk.build(tables.price_vector(spark, sf, summed=False), SPEC),
         "sketch_blocks": sketch_blocks,
         "sketch_sql": sketch_sql,
-        "sketch_merge_flat": lambda spark, sf: sk.merge_flat(sk.build(tables.part_vector(spark, sf), SPEC)),
+        "sketch_merge_flat": lambda spark, sf: sk.merge_flat(sk.build(tables.part_vector(spark, sf, summed=False), SPEC)),
         "sketch_merge_tree_p4": _tree(4),
         "sketch_merge_tree_p5": _tree(5),
         "sketch_merge_tree_p7": _tree(7),
         "sketch_merge_tree_p8": _tree(8),
         "sketch_subtract": sketch_subtract,
-        "sketch_scale": lambda spark, sf: sk.scale(sk.build(tables.part_vector(spark, sf), SPEC), -3),
+        "sketch_scale": lambda spark, sf: sk.scale(sk.build(tables.part_vector(spark, sf, summed=False), SPEC), -3),
         "sketch_norm": sketch_norm,
         "point_query": point_query,
         "point_query_blocks": _token_estimates,

@@ -34,17 +34,21 @@ def read_any(spark: SparkSession, path: str, kind: str = "parquet", **options) -
     return spark.read.format(kind).options(**options).load(path)
 
 
-def part_vector(spark: SparkSession, sf_dir: str, workers: int = 4) -> DataFrame:
-    """Whole quantities per part: a flat vector without heavy coordinates."""
+def part_vector(spark: SparkSession, sf_dir: str, workers: int = 4, *, summed: bool = True) -> DataFrame:
+    """Whole quantities per part: a flat vector without heavy coordinates.
+
+    ``summed=False`` leaves the lines as they are: a sketch is linear, so it
+    needs no shuffle by coordinate first.
+    """
     rows = read_table(spark, sf_dir, "lineitem").select(F.pmod("l_orderkey", F.lit(workers)).cast("int").alias("worker"), F.col("l_partkey").alias("coord"), F.col("l_quantity").cast("long").alias("val"))
-    return rows.groupBy("worker", "coord").agg(F.sum("val").alias("val"))
+    return rows.groupBy("worker", "coord").agg(F.sum("val").alias("val")) if summed else rows
 
 
-def price_vector(spark: SparkSession, sf_dir: str, workers: int = 4) -> DataFrame:
-    """Cents per part, negative for returned lines: signed values."""
+def price_vector(spark: SparkSession, sf_dir: str, workers: int = 4, *, summed: bool = True) -> DataFrame:
+    """Cents per part, negative for returned lines: signed values; ``summed`` as in ``part_vector``."""
     amount = cents(F.col("l_extendedprice")) * F.when(F.col("l_returnflag") == "R", -1).otherwise(1)
     rows = read_table(spark, sf_dir, "lineitem").select(F.pmod("l_orderkey", F.lit(workers)).cast("int").alias("worker"), F.col("l_partkey").alias("coord"), amount.cast("long").alias("val"))
-    return rows.groupBy("worker", "coord").agg(F.sum("val").alias("val"))
+    return rows.groupBy("worker", "coord").agg(F.sum("val").alias("val")) if summed else rows
 
 
 def words(text: Column) -> Column:
