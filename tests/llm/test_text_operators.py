@@ -2,8 +2,6 @@
 
 import base64
 import hashlib
-import re
-import string
 import zlib
 from collections import Counter, defaultdict
 
@@ -14,6 +12,7 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 import public_tokenizers as P
+from tests_llm_shared import brute_components, brute_lines, clip_ids, shingle_set
 from treesketch.llm import byte_bpe, components, factorization, hnsw, html_text, line_dedup, near_dedup, packing, passages, prefix_forest, sharding, token_shards, wordhash, wordpieces
 
 SCHEMA = "doc_id long, text string, dk string, n_chars long"
@@ -33,12 +32,6 @@ def empty(spark):
     return spark.createDataFrame([], SCHEMA)
 
 
-def clip_ids(text):
-    from tokenizers import Tokenizer
-
-    return Tokenizer.from_file(P.path("word_bpe_49k.json")).encode(text or "", add_special_tokens=False).ids
-
-
 # 1 nearest neighbours
 
 
@@ -243,31 +236,6 @@ def test_sum_of_squares_choice(lengths):
 
 # 5 near duplicates
 
-WORD, FOLD = re.compile(r"[^\x20\x09-\x0D]+"), {ord(a): a.lower() for a in string.ascii_uppercase}
-
-
-def shingle_set(text):
-    w = WORD.findall((text or "").translate(FOLD))
-    return frozenset(tuple(w[i : i + 5]) for i in range(len(w) - 4)) if len(w) >= 5 else frozenset([tuple(w)]) if w else frozenset()
-
-
-def brute_components(docs):
-    parent = {d: d for d, _ in docs}
-
-    def find(x):
-        while parent[x] != x:
-            x = parent[x]
-        return x
-
-    sets = [(d, shingle_set(t)) for d, t in docs]
-    for i, (d, a) in enumerate(sets):
-        for e, b in sets[:i]:
-            if a and b and 100 * len(a & b) >= 75 * len(a | b):
-                x, y = find(d), find(e)
-                parent[max(x, y)] = min(x, y)
-    return {d: find(d) for d, _ in docs}
-
-
 def edited(rng, words, edits):
     words = list(words)
     for i in rng.integers(0, len(words), edits):
@@ -331,21 +299,6 @@ def test_word_hashes_do_not_depend_on_place_or_window(monkeypatch):
 # 7 lines
 
 
-def brute_lines(docs, least):
-    key = lambda line: line.strip("\x20\x09\x0a\x0b\x0c\x0d").translate(FOLD)
-    seen = defaultdict(set)
-    for n, (d, t) in enumerate(docs):
-        for line in (t or "").split("\n"):
-            seen[key(line)].add(d if d is not None else ("no id", t))
-    often = {k for k, v in seen.items() if len(v) >= least and k}
-    out = []
-    for d, t in docs:
-        lines = (t or "").split("\n")
-        kept = [x for x in lines if key(x) not in often]
-        out.append((d, len(lines), len(lines) - len(kept), "\n".join(kept)))
-    return Counter(out)
-
-
 @pytest.mark.parametrize("least", [1, 2, 3, 4])
 def test_lines_equal_brute_force(odd, least):
     got = line_dedup.drop_lines(odd, line_dedup.keep_bitmaps(odd, min_docs=least))
