@@ -142,3 +142,12 @@ def test_fill_order_is_a_shared_permutation():
 def test_large_keys_fold(spark):
     got = spark.range(1 << 40, (1 << 40) + 100).select(fold_domain(sk.F.col("id")).alias("c")).collect()
     assert all(0 <= r.c < PRIME for r in got)
+
+
+def test_sketching_shuffles_fewer_bytes_than_the_vector(spark, tiny):
+    """A narrow sketch of a long vector: what is shuffled is bounded by the cells of a task, whatever the rows."""
+    narrow = SketchSpec(3, 8, 1)
+    sketched = rewrites.shuffle_metrics(sk.build(tables.part_vector(spark, tiny, 1, summed=False), narrow))
+    dense = rewrites.shuffle_metrics(tables.part_vector(spark, tiny, 1))
+    assert sketched["exchanges"] == dense["exchanges"] == 1
+    assert 0 < sketched["records"] <= narrow.size * 8 and sketched["bytes"] < dense["bytes"]

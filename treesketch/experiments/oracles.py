@@ -213,6 +213,11 @@ def oracle_sql() -> dict[str, str]:
         "exact_topk": _with(_parts(), _total("parts")) + f"SELECT * FROM total ORDER BY abs(val) DESC, coord LIMIT {K}",
         "random_k": _with(_parts(), _total("parts")) + f"SELECT * FROM total WHERE val <> 0 ORDER BY {_FILL}, coord LIMIT {K}",
         "quantize": _with(_tokens(), "m AS (SELECT worker, CAST(max(abs(val)) AS DOUBLE) AS m FROM tokens GROUP BY worker)") + "SELECT worker, coord, CAST(floor(val / m * 127 + 0.5) AS BIGINT) AS level FROM tokens JOIN m USING (worker)",
+        "support_agreement": _with(_tokens(), _local_top("tokens", "top"), _total("tokens"), f"best AS (SELECT coord FROM total ORDER BY abs(val) DESC, coord LIMIT {K})")
+        + "SELECT 'all' AS part, count(*) AS n FROM (SELECT coord FROM top GROUP BY coord HAVING count(DISTINCT worker) = 5) UNION ALL SELECT 'any', count(DISTINCT coord) FROM top UNION ALL SELECT 'missed', count(*) FROM best WHERE coord NOT IN (SELECT coord FROM top)",
+        "merged_maps": _with(_tokens(), _local_top("tokens", "top"), "two AS (SELECT coord, CAST(sum(val) AS BIGINT) AS val FROM top WHERE worker < 2 GROUP BY coord HAVING sum(val) <> 0)") + f"SELECT * FROM two ORDER BY abs(val) DESC, coord LIMIT {K}",
+        "builtin_top_k": "SELECT event_type AS item, count(*) AS n FROM events GROUP BY event_type ORDER BY n DESC LIMIT 5",
+        "event_property_vector": "SELECT CAST(event_id % 4 AS INT) AS worker, CAST(json_extract_string(props, '$.k') AS BIGINT) AS coord, count(*) AS val FROM events WHERE json_extract_string(props, '$.k') IS NOT NULL GROUP BY ALL",
         "tree_edges": _EDGES,
         "tree_ledger": _LEDGER + "SELECT workers, method, phase, direction, max(round) AS rounds, CAST(sum(messages) AS BIGINT) AS messages, CAST(sum(vals) AS BIGINT) AS values FROM led GROUP BY ALL",
         "ledger_rollup": _LEDGER + "SELECT coalesce(method, 'all') AS method, coalesce(phase, 'all') AS phase, CAST(sum(messages) AS BIGINT) AS messages, CAST(sum(vals) AS BIGINT) AS values, CAST(8 * sum(vals) AS BIGINT) AS bytes FROM led GROUP BY ROLLUP (method, phase)",

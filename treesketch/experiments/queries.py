@@ -11,7 +11,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from treesketch.functions import cost
+from treesketch.functions import cost, sparse
 from treesketch.functions.fixedpoint import cents, micro
 from treesketch.functions.hashing import SketchSpec, size_for
 from treesketch.learning import gradients, schedule
@@ -184,6 +184,27 @@ def event_session_counts(spark: SparkSession, sf: str) -> DataFrame:
     return sessions.groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"), F.max("n").alias("longest"), F.sum("val").alias("val"))
 
 
+def support_agreement(spark: SparkSession, sf: str) -> DataFrame:
+    """Sizes of what all workers' top-k share, of what any has, and of what the dense top-k has that no worker sent."""
+    top, best = compressors.local_topk(_tokens(spark, sf), K), compressors.exact_topk(_tokens(spark, sf), K).select("coord")
+    shared = top.where("worker = 0").select("coord")
+    for w in range(1, 5):
+        shared = shared.intersect(top.where(F.col("worker") == w).select("coord"))
+    sizes = {"all": shared, "any": top.select("coord").distinct(), "missed": best.exceptAll(top.select("coord").distinct())}
+    out = None
+    for name, coords in sizes.items():
+        one = coords.agg(F.count(F.lit(1)).alias("n")).select(F.lit(name).alias("part"), "n")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def merged_maps(spark: SparkSession, sf: str) -> DataFrame:
+    """Two workers' top-k messages added as maps and cut to k again: one merge of tree-top-k in one row."""
+    v = sparse.to_map(compressors.local_topk(_tokens(spark, sf), K).where("worker < 2"))
+    a, b = v.where("worker = 0").select(F.col("vec").alias("a")), v.where("worker = 1").select(F.col("vec").alias("b"))
+    return sparse.from_map(a.crossJoin(b).select(sparse.top(sparse.add(F.col("a"), F.col("b")), K).alias("vec")))
+
+
 def token_quantized(spark: SparkSession, sf: str) -> DataFrame:
     return compressors.quantize(_tokens(spark, sf), 8).select("worker", "coord", "level")
 
@@ -233,6 +254,10 @@ def queries() -> dict[str, Query]:
         "exact_topk": lambda spark, sf: compressors.exact_topk(tables.part_vector(spark, sf), K),
         "random_k": lambda spark, sf: compressors.random_k(tables.part_vector(spark, sf), K, SEED, STEP),
         "quantize": token_quantized,
+        "support_agreement": support_agreement,
+        "merged_maps": merged_maps,
+        "builtin_top_k": lambda spark, sf: compressors.builtin_top(tables.read_table(spark, sf, "events").select("event_type"), "event_type", 5),
+        "event_property_vector": tables.property_vector,
         "tree_edges": lambda spark, sf: _edges(spark),
         "tree_ledger": lambda spark, sf: _ledgers(spark).groupBy("workers", "method", "phase", "direction").agg(F.max("round").alias("rounds"), F.sum("messages").alias("messages"), F.sum("values").alias("values")),
         "counted_ledger": counted_ledger,

@@ -30,3 +30,30 @@ def count_nodes(df: DataFrame) -> dict[str, int]:
 def has_partial_aggregate_below_exchange(df: DataFrame) -> bool:
     """Whether vectors are compressed before they are shuffled."""
     return bool(re.search(r"Exchange hashpartitioning[^\n]*\n[^\n]*(?:HashAggregate|WholeStageCodegen)[^\n]*(?:partial_sum|HashAggregate)", physical_plan(df)))
+
+
+def shuffle_metrics(df: DataFrame) -> dict[str, int]:
+    """Run ``df``, a small result, and return what its plan really shuffled: exchanges, bytes written, rows."""
+    df.collect()
+    out = {"exchanges": 0, "bytes": 0, "records": 0}
+
+    def metric(node, name: str) -> int:
+        found = node.metrics().get(name)
+        return int(found.get().value()) if found.isDefined() else 0
+
+    def walk(node) -> None:
+        kind = node.getClass().getSimpleName()
+        if kind == "AdaptiveSparkPlanExec":
+            return walk(node.executedPlan())
+        if kind.endswith("QueryStageExec"):
+            return walk(node.plan())
+        if kind == "ShuffleExchangeExec":
+            out["exchanges"] += 1
+            out["bytes"] += metric(node, "shuffleBytesWritten")
+            out["records"] += metric(node, "shuffleRecordsWritten")
+        children = node.children()
+        for i in range(children.size()):
+            walk(children.apply(i))
+
+    walk(df._jdf.queryExecution().executedPlan())
+    return out

@@ -73,6 +73,13 @@ def event_vector(spark: SparkSession, sf_dir: str, workers: int = 4) -> DataFram
     return rows.groupBy("worker", "coord").agg(F.sum("val").alias("val"))
 
 
+def property_vector(spark: SparkSession, sf_dir: str, workers: int = 4) -> DataFrame:
+    """Events per whole number ``k`` in their JSON properties; other properties are left out."""
+    k = F.try_parse_json("props")
+    rows = read_table(spark, sf_dir, "events").select(F.pmod("event_id", F.lit(workers)).cast("int").alias("worker"), F.try_variant_get(k, "$.k", "long").alias("coord"))
+    return rows.where(F.col("coord").isNotNull()).groupBy("worker", "coord").agg(F.count(F.lit(1)).alias("val"))
+
+
 #: Classes and components of the planted problem.
 CLASSES, COMPONENTS = 10, 64
 
