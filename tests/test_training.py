@@ -8,7 +8,8 @@ from treesketch.functions.hashing import SketchSpec
 from treesketch.learning.blocks import embedding_blocks
 from treesketch.learning.gradients import Linear, Perceptron, Softmax, logistic
 from treesketch.learning.schedule import schedule_at, warmup_schedule
-from treesketch.learning.trainer import TrainSpec, evaluate, train
+from treesketch.learning.simulate import Problem, simulate
+from treesketch.learning.trainer import METHODS, TrainSpec, evaluate, train
 
 SMALL = replace(runs.SMALL, steps=4, evaluate_every=4, sketch=SketchSpec(5, 256, 7))
 
@@ -41,6 +42,22 @@ def test_keeping_everything_is_dense_training(small, method):
     assert np.allclose(train(small, replace(every, method=method)).weights, train(small, replace(every, method="dense")).weights)
 
 
+@pytest.mark.parametrize("method", METHODS)
+def test_one_process_loop_gives_the_same_run(small, method):
+    spec = replace(SMALL, method=method, steps=3)
+    a, b = train(small, spec), simulate(Problem(small, 64), spec)
+    assert np.allclose(a.weights, b["weights"]) and sum(t["values"] for t in a.trace) == b["values"]
+
+
+def test_too_small_k_harms_and_the_signed_test_does_worse(spark, tiny):
+    """Loose guards on a small table, not evidence: k = 4 against k = 65, and the signed comparison at k = 65."""
+    problem = Problem(runs.small_blocks(spark, tiny), 64)
+    spec = replace(SMALL, steps=120, sketch=SketchSpec(5, 128, 7))
+    loss = lambda **o: np.mean(simulate(problem, replace(spec, **o))["losses"][-10:])
+    assert loss(k=4) > loss(k=65) and loss(k=65, literal_signed=True) > loss(k=65)
+    assert abs(loss(k=65) - loss(method="dense")) < 0.5
+
+
 def test_sum_and_mean_differ_by_the_rate(small):
     a = train(small, replace(SMALL, steps=2))
     b = train(small, replace(SMALL, steps=2, combine="sum", rate=SMALL.rate / SMALL.workers))
