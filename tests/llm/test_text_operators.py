@@ -287,6 +287,13 @@ def test_components(spark):
     assert components.connected_components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def test_scratch_tables_can_be_released(spark):
+    from treesketch.llm import storage
+
+    kept = storage.materialize(spark.range(5), "test")
+    assert kept.count() == 5 and storage.release_scratch(spark) >= 1 and storage.release_scratch(spark) == 0
+
+
 def test_word_hashes_do_not_depend_on_place_or_window(monkeypatch):
     h = wordhash.WordHasher()
     raw = ("alpha Beta\tgamma\x0bdelta " * 50 + "x" * 5000 + " end").encode()

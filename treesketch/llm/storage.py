@@ -25,8 +25,34 @@ def scratch_root(spark: SparkSession) -> str:
     return root
 
 
+_WRITTEN: list[str] = []
+
+
 def scratch_path(spark: SparkSession, name: str) -> str:
-    return f"{scratch_root(spark)}/{name}-{uuid.uuid4().hex}"
+    _WRITTEN.append(f"{scratch_root(spark)}/{name}-{uuid.uuid4().hex}")
+    return _WRITTEN[-1]
+
+
+def release_scratch(spark: SparkSession) -> int:
+    """Delete the tables that this process has written so far; results read from them must be used up. Returns their number."""
+    n = sum(drop_scratch(spark, path) for path in _WRITTEN)
+    _WRITTEN.clear()
+    return n
+
+
+#: Rows of text in an Arrow batch, at most.
+BATCH_ROWS = 2_000
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Bound the session's Arrow batches: whole texts are long, and both sides of the pipe hold a batch."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= BATCH_ROWS:
+        spark.conf.set(key, BATCH_ROWS)
+
+
+#: Files that a written table has for each core of the cluster, at most.
+FILES_PER_CORE = 2
 
 
 def materialize(df: DataFrame, name: str) -> DataFrame:
@@ -34,10 +60,13 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
 
     Cuts the lineage so that a lost executor costs no more than the tasks it
     ran; the files outlive executors. They stay until the folder is emptied.
+    Many small partitions are joined to some files for each core: creating a
+    file costs more than writing a few rows.
     """
-    path = scratch_path(df.sparkSession, name)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    spark = df.sparkSession
+    path = scratch_path(spark, name)
+    df.coalesce(FILES_PER_CORE * spark.sparkContext.defaultParallelism).write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
 
 
 def drop_scratch(spark: SparkSession, path: str) -> bool:
