@@ -18,13 +18,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from treesketch.llm.storage import small_batches
 from treesketch.llm.wordpieces import text_groups
 from treesketch.llm.worker import kept
 
 #: A byte b is written as the character U+0100 + b.
 BYTE_BASE = 0x100
-#: Distinct pre-tokens whose ids a worker keeps (some 80 MB).
-KEPT_PRETOKENS = 400_000
+#: Distinct pre-tokens whose ids a worker keeps (some 50 MB).
+KEPT_PRETOKENS = 250_000
 
 
 def default_ranks() -> str:
@@ -127,6 +128,7 @@ class ByteBpe:
 def encode_byte_bpe(docs: DataFrame, *, ranks: str | None = None, pattern: str | None = None) -> DataFrame:
     """``doc_id, ids array<int>`` for each row of ``docs(doc_id, text)``; null texts are empty."""
     ranks, pattern = ranks or default_ranks(), pattern or default_pattern()
+    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = kept(("byte bpe", ranks, pattern), lambda: ByteBpe(ranks, pattern))

@@ -30,13 +30,14 @@ def _small_star(edges: DataFrame) -> DataFrame:
 def connected_components(edges: DataFrame, *, max_rounds: int = 64) -> DataFrame:
     """``vertex, component`` for each end of ``edges(a, b)``; component is the least vertex reachable.
 
-    Each round is written to the shared folder. The rounds end when every
-    component is a star around its least vertex, which a fingerprint of the
-    edges shows; their number grows with the logarithm of the longest path.
+    ``edges`` should be a written table; so is what each round makes. The rounds
+    end when every component is a star around its least vertex, which a
+    fingerprint of the edges shows; their number grows with the logarithm of the
+    longest path.
     Self-links and repeated links are allowed; no links give no rows.
     """
     loops = edges.where(F.col("a") == F.col("b")).select(F.col("a").alias("vertex"), F.col("a").alias("component")).distinct()
-    now = materialize(edges.where(F.col("a") != F.col("b")).select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
+    now = edges.where(F.col("a") != F.col("b")).select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
     mark = F.struct(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")))
     before = now.agg(mark.alias("m")).first()["m"]
     for _ in range(max_rounds):

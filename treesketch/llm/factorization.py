@@ -18,7 +18,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from treesketch.llm.storage import small_batches
 from treesketch.llm.wordhash import WordHasher
+from treesketch.llm.worker import forget
 
 WORD_BUCKETS = 1 << 14
 RANK = 6
@@ -152,9 +154,11 @@ def fit_quality(docs: DataFrame, labels: DataFrame, **options) -> FactorizationM
 
     Features are taken on the executors; a row of the sample is some hundred numbers.
     """
+    small_batches(docs.sparkSession)
     sample = labelled_sample(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), labels)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         maker = Features()
         for batch in batches:
             made = [maker.of(t) for t in batch.column(0).to_pylist()]
@@ -172,8 +176,10 @@ def fit_quality(docs: DataFrame, labels: DataFrame, **options) -> FactorizationM
 def score_quality(docs: DataFrame, model: FactorizationMachine) -> DataFrame:
     """``docs`` with ``score`` in 0..1 for each whole text; null and empty texts are scored as such. The model has a fixed size."""
     columns = [c for c in docs.columns if c != "score"]
+    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         maker = Features(len(model.linear) - len(model.mean))
         for batch in batches:
             texts = batch.column(columns.index("text"))

@@ -19,6 +19,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from treesketch.llm.storage import small_batches
+
 # Fixed values of HTML: elements without content, with raw content, that make blocks, that end an open paragraph.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title noscript iframe xmp noembed noframes template".split())
@@ -198,6 +200,7 @@ class PageReader:
 
 def extract_main_text(pages: DataFrame) -> DataFrame:
     """``page_id, url, text`` for each row of ``pages(page_id, url, html)``; a null or empty page gives an empty text."""
+    small_batches(pages.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         reader = PageReader()

@@ -14,9 +14,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treesketch.llm.storage import materialize
-from treesketch.llm.worker import kept
+from treesketch.llm.storage import materialize, small_batches
 from treesketch.llm.wordpieces import WordPieceEncoder, default_path, text_groups
+from treesketch.llm.worker import kept
 
 #: Pieces that one task packs on average. Each task leaves a few part-filled sequences.
 PIECES_PER_TASK = 100_000
@@ -65,6 +65,7 @@ def token_pieces(docs: DataFrame, *, tokenizer: str | None = None, end_id: int =
     unsigned 32-bit integers.
     """
     tokenizer = tokenizer or default_path()
+    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = kept(("word pieces", tokenizer), lambda: WordPieceEncoder(tokenizer))

@@ -18,8 +18,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treesketch.llm.storage import materialize
+from treesketch.llm.storage import materialize, small_batches
 from treesketch.llm.wordhash import WordHasher, mix64, shingle_hashes
+from treesketch.llm.worker import forget
 
 #: Words in a seed, and k-mers of which one is a seed: an exact run of KMER + WINDOW - 1 words has one.
 KMER, WINDOW = 6, 18
@@ -152,6 +153,7 @@ def seeds(docs: DataFrame, *, k: int = KMER, window: int = WINDOW) -> DataFrame:
     """``h, doc_id, pos`` of each document's seeds; a seed repeated within a document counts at its first place."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         hasher = WordHasher()
         for batch in batches:
             for start in range(0, batch.num_rows, 512):
@@ -222,6 +224,7 @@ def _words_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
     rows = docs.select(F.col("doc_id").cast("long").alias("id"), "text").join(ids, "id", "left_semi")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         hasher = WordHasher()
         for batch in batches:
             for start in range(0, batch.num_rows, 512):
@@ -234,7 +237,7 @@ def _words_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
 
 def chains_with_words(docs: DataFrame, found: DataFrame, *, k: int = KMER, margin: int = MARGIN) -> DataFrame:
     """Adds to each chain ``from_word, words``: the other document's words around it."""
-    ids = materialize(found.select(F.col("hub").alias("id")).distinct(), "hub-ids")
+    ids = found.select(F.col("hub").alias("id")).distinct()
     low = F.greatest(F.element_at("b", 1) - margin, F.lit(0))
     length = F.element_at("b", -1) + k + margin - low
     joined = found.join(_words_of(docs, ids).withColumnRenamed("id", "hub"), "hub")
@@ -251,6 +254,7 @@ def remove_repeats(docs: DataFrame, *, min_words: int = MIN_WORDS, min_identity:
     repeat a doc_id are one document and do not lose text to each other. Other
     columns pass through.
     """
+    small_batches(docs.sparkSession)
     found = materialize(seeds(docs, k=k, window=window), "seeds")
     linked = materialize(chains(seed_matches(found), k=k), "chains")
     fetched = chains_with_words(docs, linked, k=k)
@@ -287,6 +291,7 @@ def remove_repeats(docs: DataFrame, *, min_words: int = MIN_WORDS, min_identity:
         return b"\n".join(parts), len(words), spans
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         hasher = WordHasher()
         span_type = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("doc_id", pa.int64())]))
         for whole in batches:

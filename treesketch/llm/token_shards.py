@@ -17,8 +17,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from treesketch.llm.worker import kept
+from treesketch.llm.storage import small_batches
 from treesketch.llm.wordpieces import WordPieceEncoder, default_path, text_groups
+from treesketch.llm.worker import kept
 
 #: Ids after which a block is closed; it always ends with a whole document.
 BLOCK_TOKENS = 1 << 18
@@ -126,6 +127,7 @@ def write_token_dataset(
     """
     spark = docs.sparkSession
     tokenizer = tokenizer or default_path()
+    small_batches(spark)
     shards = shards or int(spark.conf.get("spark.sql.shuffle.partitions"))
 
     def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
