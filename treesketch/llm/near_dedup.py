@@ -11,11 +11,11 @@ signatures are counted and pairs below ``matches`` are skipped; what remains is
 confirmed on the full shingle sets.
 
 Documents with equal sets are one class from the start. A class is compared
-with a few hubs of each list first; these links are joined to components, and
-only pairs of different components in a list are compared afterwards, where
-their full sets still can be close enough. So a large group of near copies
-costs about as many comparisons as it has members, and no link that could join
-two components is left out.
+with a few hubs of each list first, and these links are joined to components. What
+the lists still bring together, documents and other components whose full sets
+can be close enough, is compared afterwards, a document with blocks of whole
+components. So a large group of near copies makes about as many rows as it has
+members, and no link that could join two components is left out.
 """
 
 from __future__ import annotations
@@ -28,8 +28,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from treesketch.llm.components import connected_components
-from treesketch.llm.storage import materialize
+from treesketch.llm.storage import materialize, small_batches
 from treesketch.llm.wordhash import WordHasher, mix64, odd_constants, shingle_hashes
+from treesketch.llm.worker import forget
 
 COORDINATES = 32
 #: Binomial(32, 0.75) is below 13 with a probability of about 1e-5.
@@ -44,6 +45,7 @@ def signatures(docs: DataFrame, *, size: int = 5, coordinates: int = COORDINATES
     """``doc_id, n_shingles, f1, f2, sig array<bigint>``; the last three are null for an empty set."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         hasher = WordHasher()
         factor, shift = odd_constants(coordinates, 31)[:, None], odd_constants(coordinates, 37)[:, None]
         place = odd_constants(coordinates, 41)
@@ -96,6 +98,7 @@ def _sets(docs: DataFrame, ids: DataFrame, size: int) -> DataFrame:
     rows = docs.select(F.col("doc_id").cast("long").alias("id"), "text").join(ids, "id", "left_semi")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
         hasher = WordHasher()
         for batch in batches:
             members = [np.unique(shingle_hashes(hasher.words(t.as_py() or b""), size)).tobytes() for t in batch.column(1).cast(pa.large_binary())]
@@ -106,7 +109,7 @@ def _sets(docs: DataFrame, ids: DataFrame, size: int) -> DataFrame:
 
 def confirmed(docs: DataFrame, pairs: DataFrame, *, size: int = 5, percent: int = 75) -> DataFrame:
     """The rows of ``pairs(a, b)`` with 100 * intersection >= ``percent`` * union on full sets."""
-    ids = materialize(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "pair-ids")
+    ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
     sets = materialize(_sets(docs, ids, size), "sets")
     left, right = sets.select(F.col("id").alias("a"), F.col("members").alias("x")), sets.select(F.col("id").alias("b"), F.col("members").alias("y"))
 
@@ -138,40 +141,127 @@ def _mixed(posted: DataFrame, key: str) -> DataFrame:
     return posted.join(mixed.select(key, "major"), key)
 
 
-def _close_sets(docs: DataFrame, ids: DataFrame, size: int, percent: int) -> DataFrame:
-    """``a, b``: pairs of ``ids(cls, comp)`` of different components that may reach ``percent``, none left out.
-
-    A prefix join on the full sets: shingles in the order of rarity among these
-    documents; similar sets share one of the rarest (100 - percent) % of each,
-    and where the first that they share stands bounds what they can share at all.
-    """
+def _exploded(sets: DataFrame) -> DataFrame:
+    """``id, mark, n, h`` for each shingle of ``sets(id, members)``; ``mark`` tells sets of one id apart."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for start in range(0, batch.num_rows, 256):
                 part = batch.slice(start, 256)
-                sets = [np.frombuffer(members.as_buffer(), np.int64) for members in part.column(1)]
-                n = np.array([len(h) for h in sets])
-                marks = np.array([np.bitwise_xor.reduce(h) for h in sets])
-                columns = [np.repeat(part.column(0).to_numpy(), n), np.repeat(marks, n), np.repeat(n, n), np.concatenate(sets)]
+                members = [np.frombuffer(m.as_buffer(), np.int64) for m in part.column(1)]
+                n = np.array([len(h) for h in members])
+                marks = np.array([np.bitwise_xor.reduce(h) for h in members])
+                columns = [np.repeat(part.column(0).to_numpy(), n), np.repeat(marks, n), np.repeat(n, n), np.concatenate(members)]
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["id", "mark", "n", "h"])
 
-    rows = _sets(docs, ids.select(F.col("cls").alias("id")).distinct(), size).mapInArrow(run, "id long, mark long, n long, h long")
-    rows = materialize(rows, "shingles")
+    return sets.select("id", "members").mapInArrow(run, "id long, mark long, n long, h long")
+
+
+#: Longs of a set's parity bitmap.
+BITMAP_WORDS = 8
+
+
+def _bitmaps(sets: DataFrame) -> DataFrame:
+    """``id, mark, bits``: for each bit whether an odd number of the set's shingles fall on it.
+
+    Bits in which two sets differ never outnumber the shingles that only one of them has.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            members = [np.frombuffer(m.as_buffer(), np.uint64) for m in batch.column(1)]
+            marks = [int(np.bitwise_xor.reduce(h.view(np.int64))) for h in members]
+            bits = [np.packbits(np.bincount((h >> np.uint64(7)).astype(np.int64) % (64 * BITMAP_WORDS), minlength=64 * BITMAP_WORDS) & 1 != 0).view(np.int64).tolist() for h in members]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(marks, pa.int64()), pa.array(bits, pa.list_(pa.int64()))], names=["id", "mark", "bits"])
+
+    return sets.select("id", "members").mapInArrow(run, "id long, mark long, bits array<bigint>")
+
+
+def _near_components(sets: DataFrame, ids: DataFrame, percent: int) -> DataFrame:
+    """``cls, other``: documents of ``ids(cls, comp, size)`` with each larger component that may hold a link to them.
+
+    A prefix join on full sets: shingles in the order of rarity among these
+    documents; similar sets share one of the rarest (100 - percent) % of each,
+    and where it stands bounds what they can share at all; so do the bits in
+    which their bitmaps differ. A component appears in a list once for each
+    range of set sizes, with its best bound, so a large one costs a document no
+    more than a small one.
+    """
+    rows = materialize(_exploded(sets), "shingles")
     shared = rows.groupBy("h").agg(F.count(F.lit(1)).alias("df")).where(F.col("df") >= 2)
     listed = rows.join(shared, "h").groupBy("id", "mark", "n").agg(F.array_sort(F.collect_list(F.struct("df", "h"))).alias("t"))
+    listed = listed.join(_bitmaps(sets), ["id", "mark"])
     alone = F.col("n") - F.size("t")
     prefix = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1 - alone
-    posts = listed.where(prefix > 0).select("id", "n", alone.alias("alone"), F.posexplode(F.slice("t", F.lit(1), prefix.cast("int"))).alias("i", "t"))
-    posts = posts.select(F.col("t.h").alias("h"), F.col("id").alias("cls"), "n", (F.col("alone") + F.col("i")).alias("at")).join(ids, "cls")
-    posts = materialize(_mixed(posts.select("h", "cls", "n", "at", "comp"), "h"), "set-prefixes")
-    x = posts.where(F.col("comp") != F.col("major")).select("h", *[F.col(c).alias(f"{c}_x") for c in ("cls", "n", "at", "comp")])
-    y = posts.select("h", *[F.col(c).alias(f"{c}_y") for c in ("cls", "n", "at", "comp")], (F.col("comp") == F.col("major")).alias("in_major"))
-    reach = F.least(F.col("n_x") - F.col("at_x"), F.col("n_y") - F.col("at_y")) * (100 + percent) >= percent * (F.col("n_x") + F.col("n_y"))
-    near = 100 * F.least("n_x", "n_y") >= percent * F.greatest("n_x", "n_y")
-    meet = (F.col("comp_x") != F.col("comp_y")) & (F.col("in_major") | (F.col("cls_x") < F.col("cls_y"))) & near & reach
-    pairs = x.alias("x").join(y.alias("y"), (F.col("x.h") == F.col("y.h")) & meet)
-    return pairs.select(F.least("cls_x", "cls_y").alias("a"), F.greatest("cls_x", "cls_y").alias("b")).distinct()
+    posts = listed.where(prefix > 0).select("id", "n", "bits", alone.alias("alone"), F.posexplode(F.slice("t", F.lit(1), prefix.cast("int"))).alias("i", "t"))
+    posts = posts.select(F.col("t.h").alias("h"), F.col("id").alias("cls"), "n", "bits", (F.col("n") - F.col("alone") - F.col("i")).alias("rest")).join(ids, "cls")
+    posts = materialize(_mixed(posts.select("h", "cls", "n", "bits", "rest", "comp", "size"), "h").drop("major"), "set-prefixes")
+    scale = F.floor(F.log(F.col("n").cast("double")) * 8).alias("scale")
+    best = posts.groupBy("h", "comp", "size", scale).agg(F.min("n").alias("least"), F.max("n").alias("most"), F.max("rest").alias("best"), F.count(F.lit(1)).alias("docs"), F.first("bits").alias("other_bits"))
+    best = best.select("h", F.col("comp").alias("other"), F.col("size").alias("other_size"), "least", "most", "best", "docs", "other_bits")
+    smaller = (F.col("size") < F.col("other_size")) | ((F.col("size") == F.col("other_size")) & (F.col("comp") < F.col("other")))
+    near = 100 * F.least("n", "most") >= percent * F.greatest("n", "least")
+    reach = F.least("rest", "best") * (100 + percent) >= percent * (F.col("n") + F.col("least"))
+    both, apart = F.col("n") + F.col("least"), F.expr(" + ".join(f"bit_count(bits[{i}] ^ other_bits[{i}])" for i in range(BITMAP_WORDS)))
+    close = (F.col("docs") > 1) | ((both - apart) * (100 + percent) >= both * (2 * percent))
+    met = posts.alias("x").join(best.alias("y"), (F.col("x.h") == F.col("y.h")) & smaller & near & reach & close)
+    return met.select("cls", "other").distinct()
+
+
+#: Members of a component that are compared with a document at a time.
+COMPONENT_BLOCK = 512
+
+
+def _links_to_components(sets: DataFrame, ids: DataFrame, asked: DataFrame, percent: int) -> DataFrame:
+    """``a, b``: all links of each document of ``asked(cls, other)`` to members of that component.
+
+    Components are cut into blocks; a task holds a block's sets, sorted by
+    shingle, and streams the documents asked past it. Only links come out.
+    """
+    blocks = F.ceil(F.col("size") / COMPONENT_BLOCK).cast("int")
+    targets = asked.select(F.col("other").alias("comp")).distinct().join(ids.groupBy("comp").agg(F.max("size").alias("size")), "comp")
+    members = ids.join(targets.select("comp"), "comp", "left_semi").select("comp", F.pmod(F.xxhash64("cls"), blocks.cast("long")).cast("int").alias("block"), F.lit(0).alias("is_query"), F.col("cls").alias("id"))
+    queries = asked.withColumnRenamed("other", "comp").join(targets, "comp").select("comp", F.explode(F.sequence(F.lit(0), blocks - 1)).alias("block"), F.lit(1).alias("is_query"), F.col("cls").alias("id"))
+    tasks = int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    order = ["comp", "block", "is_query", "id"]
+    placed = members.unionByName(queries).join(sets, "id").select(*order, "members").repartition(tasks, "comp", "block").sortWithinPartitions(*order)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, held, index = None, [], None
+
+        def built() -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+            sizes = np.array([len(h) for _, h in held])
+            flat, owner = np.concatenate([h for _, h in held]), np.repeat(np.arange(len(held)), sizes)
+            by = np.argsort(flat, kind="stable")
+            return np.array([i for i, _ in held]), sizes, flat[by], owner[by]
+
+        for batch in batches:
+            found_a, found_b = [], []
+            for comp, block, is_query, doc, raw in zip(*(batch.column(i).to_pylist() for i in range(4)), batch.column(4)):
+                if (comp, block) != at:
+                    at, held, index = (comp, block), [], None
+                h = np.frombuffer(raw.as_buffer(), np.uint64)
+                if not is_query:
+                    held.append((doc, h))
+                    continue
+                if not held:
+                    continue
+                if index is None:
+                    index = built()
+                names, sizes, flat, owner = index
+                low, high = np.searchsorted(flat, h, "left"), np.searchsorted(flat, h, "right")
+                hit = low < high
+                low, count = low[hit], (high - low)[hit]
+                if not len(low):
+                    continue
+                spots = np.repeat(low - np.concatenate([[0], np.cumsum(count)[:-1]]), count) + np.arange(count.sum())
+                both = np.bincount(owner[spots], minlength=len(sizes))
+                near = np.flatnonzero(100 * both >= percent * (sizes + len(h) - both))
+                found_a += [doc] * len(near)
+                found_b += names[near].tolist()
+            yield pa.RecordBatch.from_arrays([pa.array(found_a, pa.int64()), pa.array(found_b, pa.int64())], names=["a", "b"])
+
+    return placed.mapInArrow(run, "a long, b long")
 
 
 def near_duplicates(
@@ -184,6 +274,7 @@ def near_duplicates(
     is its own component. Signature agreement decides which pairs are compared,
     so a pair exactly at the threshold is missed with a probability of 1e-5.
     """
+    small_batches(docs.sparkSession)
     rows = materialize(signatures(docs, size=size, coordinates=coordinates), "signatures")
     named = rows.where(F.col("sig").isNotNull() & F.col("doc_id").isNotNull())
     classes = materialize(named.groupBy("f1", "f2", "n_shingles").agg(F.min("doc_id").alias("cls"), F.first("sig").alias("sig")), "classes")
@@ -204,10 +295,13 @@ def near_duplicates(
 
     # What is left: pairs of different components that meet in a list.
     posted = postings.select("token", "cls").join(labels.withColumnRenamed("vertex", "cls"), "cls", "left").select("token", "cls", F.coalesce("component", "cls").alias("comp"))
-    open_ids = materialize(_mixed(posted, "token").select("cls", "comp").distinct(), "open")
-    rest = materialize(_close_sets(docs, open_ids, size, percent).join(first, ["a", "b"], "left_anti"), "rest")
-    more = materialize(confirmed(docs, rest, size=size, percent=percent), "links")
-    final = connected_components(links.unionByName(more))
+    open_ids = _mixed(posted, "token").select("cls", "comp").distinct()
+    sizes = open_ids.groupBy("comp").agg(F.count(F.lit(1)).alias("size"))
+    open_ids = materialize(open_ids.join(sizes, "comp").select("cls", "comp", "size"), "open")
+    sets = materialize(_sets(docs, open_ids.select(F.col("cls").alias("id")).distinct(), size), "sets")
+    asked = materialize(_near_components(sets, open_ids, percent), "asked")
+    more = materialize(_links_to_components(sets, open_ids, asked, percent), "links")
+    final = connected_components(links.unionByName(more)) if not more.isEmpty() else labels
 
     known = classes.select("f1", "f2", "n_shingles", "cls").join(final.withColumnRenamed("vertex", "cls"), "cls", "left")
     known = known.select("f1", "f2", "n_shingles", F.coalesce("component", "cls").alias("known"))
