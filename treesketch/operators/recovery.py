@@ -19,10 +19,14 @@ def split_heavy(est: DataFrame, l2: DataFrame, k: int, *, literal_signed: bool =
     ``literal_signed`` compares the signed estimate itself, est * k >= l2sq:
     negative coordinates are never heavy then. For the ablation only.
     """
-    exact = dict(est.dtypes)["est"] not in ("double", "float")
+    return _split(est.crossJoin(F.broadcast(l2)), k, literal_signed)
+
+
+def _split(both: DataFrame, k: int, literal_signed: bool) -> DataFrame:
+    exact = dict(both.dtypes)["est"] not in ("double", "float")
     e = wide(F.col("est")) if exact else F.col("est")
     left = e * F.lit(k) if literal_signed else e * e * F.lit(k)
-    return est.crossJoin(F.broadcast(l2)).select("coord", "est", (left >= F.col("l2sq")).alias("heavy"))
+    return both.select("coord", "est", (left >= F.col("l2sq")).alias("heavy"))
 
 
 def _top(df: DataFrame, order: list[Column], k: int, magnitude: Column) -> DataFrame:
@@ -85,10 +89,13 @@ def exact_values(coords: DataFrame, support: DataFrame) -> DataFrame:
 
 def recover(merged: DataFrame, spec: SketchSpec, candidates: DataFrame, k: int, *, method: str = "heavy_random", seed: int = 1, step: int = 1, literal_signed: bool = False) -> DataFrame:
     """SUPPORT of a merged sketch by ``heavy_random``, ``top_estimate`` or ``heavy_only``."""
-    est = sk.estimate_blocks(merged, spec, candidates) if spec.size <= sk.MAX_BLOCK_CELLS else sk.estimate(merged, spec, candidates)
+    small = spec.size <= sk.MAX_BLOCK_CELLS
     if method == "top_estimate":
-        return top_estimate(est, k)
-    split = split_heavy(est, sk.l2_squared(merged, spec), k, literal_signed=literal_signed)
+        return top_estimate(sk.estimate_blocks(merged, spec, candidates) if small else sk.estimate(merged, spec, candidates), k)
+    if small:
+        split = _split(sk.estimate_with_norm(merged, spec, candidates), k, literal_signed)
+    else:
+        split = split_heavy(sk.estimate(merged, spec, candidates), sk.l2_squared(merged, spec), k, literal_signed=literal_signed)
     if method == "heavy_only":
         return heavy_only(split, k)
     if method == "heavy_random":

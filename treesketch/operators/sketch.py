@@ -131,6 +131,18 @@ def estimate_blocks(sketch: DataFrame, spec: SketchSpec, candidates: DataFrame)
     return candidates.select("coord").crossJoin(F.broadcast(block(sketch, spec))).select("coord", middle(F.array(*reads), spec.rows).alias("est"))
 
 
+def estimate_with_norm(sketch: DataFrame, spec: SketchSpec, candidates: DataFrame) -> DataFrame:
+    """(coord, est, l2sq) from one pass over the cells: the norm is taken from the broadcast row as well."""
+    exact = dict(sketch.dtypes)["val"] not in ("double", "float")
+    kind = "decimal(38,0)" if exact else "double"
+    square = lambda s, x: (s + x.cast(kind) * x.cast(kind)).cast(kind)
+    sums = [F.aggregate(F.slice("cells", r * spec.width + 1, spec.width), F.lit(0).cast(kind), square) for r in range(spec.rows)]
+    whole = block(sketch, spec).select("cells", middle(F.array(*sums), spec.rows).alias("l2sq"))
+    coord = F.col("coord").cast("long")
+    reads = [spec.sign(coord, r) * F.element_at("cells", spec.bucket(coord, r) + (r * spec.width + 1)) for r in range(spec.rows)]
+    return candidates.select("coord").crossJoin(F.broadcast(whole)).select("coord", middle(F.array(*reads), spec.rows).alias("est"), "l2sq")
+
+
 def estimate(sketch: DataFrame, spec: SketchSpec, candidates: DataFrame) -> DataFrame:
     """The same by a join on (hrow, bucket), for sketches beyond a block. A missing cell reads as 0."""
     coord = F.col("coord").cast("long")
