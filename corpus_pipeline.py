@@ -18,6 +18,9 @@ from treesketch.llm.passages import remove_repeats
 from treesketch.llm.queries import GOOD
 from treesketch.llm.storage import materialize
 
+#: A document of which the line stage would leave less than this share of its characters is a copy among ten and stays whole for the near-duplicate stage.
+LEAST_LEFT = 0.5
+
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
@@ -32,8 +35,8 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without the lines that ten of them have."""
-    return _like_documents(drop_lines(docs, keep_bitmaps(docs, min_docs=10)))
+    """Documents without the lines that ten of them have; a document that is mostly such lines stays whole."""
+    return _like_documents(drop_lines(docs, keep_bitmaps(docs, min_docs=10), least_left=LEAST_LEFT))
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -78,9 +78,11 @@ def kept_lines(lines: Column, dropped: Column) -> Column:
     return F.when(dropped.isNull(), lines).otherwise(F.filter(lines, stays))
 
 
-def drop_lines(docs: DataFrame, bitmaps: DataFrame) -> DataFrame:
+def drop_lines(docs: DataFrame, bitmaps: DataFrame, *, least_left: float = 0.0) -> DataFrame:
     """``docs`` with ``text`` rebuilt from the lines its bitmap keeps, and ``n_lines, n_dropped``.
 
+    A document of which less than the share ``least_left`` of its characters
+    would be left keeps all its lines.
     Works on whole rows: other columns pass through, whatever their names but
     for ``dk, th, dropped`` with the prefix ``_line_``.
     """
@@ -91,5 +93,9 @@ def drop_lines(docs: DataFrame, bitmaps: DataFrame) -> DataFrame:
     joined = rows.join(maps, ["_line_dk", "_line_th"], "left")
     lines = F.split(text, "\n", -1)
     kept = F.when(F.col("_line_dropped").isNull(), text).otherwise(F.array_join(kept_lines(lines, F.col("_line_dropped")), "\n"))
+    n_dropped = F.coalesce("_line_n", F.lit(0))
+    if least_left > 0:
+        whole = F.length(kept) < least_left * F.length(text)
+        kept, n_dropped = F.when(whole, text).otherwise(kept), F.when(whole, F.lit(0)).otherwise(n_dropped)
     names = [c for c in docs.columns if c not in ("text", "n_lines", "n_dropped")]
-    return joined.select(*[F.col(f"`{c}`") for c in names], kept.alias("text"), F.size(lines).cast("long").alias("n_lines"), F.coalesce("_line_n", F.lit(0)).cast("long").alias("n_dropped"))
+    return joined.select(*[F.col(f"`{c}`") for c in names], kept.alias("text"), F.size(lines).cast("long").alias("n_lines"), n_dropped.cast("long").alias("n_dropped"))
