@@ -1,8 +1,10 @@
 """Cases that a cut in an operator or a stage would lose."""
 
 import numpy as np
+from pyspark.sql import functions as F
 
 import corpus_pipeline
+from treesketch.llm import passages
 from treesketch.llm.storage import materialize
 
 
@@ -23,3 +25,13 @@ def test_one_of_many_copies_stays_in_the_pipeline(spark, tiny):
     got, texts = {r.doc_id: r.text for r in docs.collect()}, dict(rows)
     assert {d for d in got if d < 200} == {0, 100} and all(got[d] == texts[d] for d in (0, 100))
     assert all(got[d] == texts[d].removesuffix("\n" + footer) for d in range(200, 212))
+
+
+def test_a_passage_twice_in_a_later_document_goes_twice(spark):
+    rng = np.random.default_rng(8)
+    passage, clean = gibberish(rng, 80), [gibberish(rng, 200) for _ in range(2)]
+    rows = [(1, " ".join(clean[0] + passage)), (2, " ".join(clean[1][:90] + passage + clean[1][90:] + passage)), (3, "same " * 400), (4, "same " * 30_000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r for r in passages.remove_repeats(docs).collect()}
+    assert got[1].n_removed == 0 and 158 <= got[2].n_removed <= 162
+    assert passages.seeds(docs).where(F.col("doc_id") == 4).count() < 30_000 / passages.WINDOW + 2

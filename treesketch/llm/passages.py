@@ -1,8 +1,8 @@
 """Substring deduplication: fuzzy passages by collinear chaining of word k-mers.
 
-Seeds are the minimizers of a document's word k-mers. Each seed is joined to
-its first occurrence in the corpus only, so a passage that thousands of
-documents share costs one match for each occurrence. The matches of a pair of
+Seeds are the minimizers of a document's word k-mers, at every place where they
+occur. Each is joined to its first occurrence in the corpus only, so a passage
+that thousands of documents share costs one match for each occurrence. The matches of a pair of
 documents are chained, in order in both, with costs for gaps, through a Fenwick
 tree of prefix maxima; chains are aligned on the words of both documents and
 extended beyond their seeds. Aligned passages of enough words count as repeats
@@ -47,6 +47,15 @@ def minimizers(words: np.ndarray, k: int = KMER, window: int = WINDOW) -> tuple[
     return at, grams[at]
 
 
+def _spaced(at: np.ndarray, h: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
+    """Places and hashes without the further places of a hash in one stretch of ``window`` words, so that a word repeated on end gives few seeds."""
+    order = np.lexsort((at, h))
+    h, at = h[order], at[order]
+    keep = np.ones(len(h), bool)
+    keep[1:] = (h[1:] != h[:-1]) | (at[1:] // window != at[:-1] // window)
+    return at[keep], h[keep]
+
+
 class PrefixMaximum:
     """Fenwick tree: the best (value, item) at or below a rank."""
 
@@ -150,7 +159,7 @@ def align(words: np.ndarray, other: np.ndarray, a: np.ndarray, b: np.ndarray, k:
 
 
 def seeds(docs: DataFrame, *, k: int = KMER, window: int = WINDOW) -> DataFrame:
-    """``h, doc_id, pos`` of each document's seeds; a seed repeated within a document counts at its first place."""
+    """``h, doc_id, pos`` of each document's seeds, at every place; of places of one seed within one stretch of ``window`` words the first."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         forget()
@@ -161,9 +170,9 @@ def seeds(docs: DataFrame, *, k: int = KMER, window: int = WINDOW) -> DataFrame:
                 ids, places, hashes = [], [], []
                 for doc_id, text in zip(part.column(0).to_pylist(), part.column(1).cast(pa.large_binary())):
                     at, h = minimizers(hasher.words(text.as_py() or b""), k, window)
-                    h, first = np.unique(h, return_index=True)
+                    at, h = _spaced(at, h, window)
                     ids.append(np.full(len(h), doc_id, np.int64))
-                    places.append(at[first])
+                    places.append(at)
                     hashes.append(h.astype(np.int64))
                 if ids:
                     yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(hashes)), pa.array(np.concatenate(ids)), pa.array(np.concatenate(places).astype(np.int32))], names=["h", "doc_id", "pos"])
