@@ -35,3 +35,15 @@ def test_a_passage_twice_in_a_later_document_goes_twice(spark):
     got = {r.doc_id: r for r in passages.remove_repeats(docs).collect()}
     assert got[1].n_removed == 0 and 158 <= got[2].n_removed <= 162
     assert passages.seeds(docs).where(F.col("doc_id") == 4).count() < 30_000 / passages.WINDOW + 2
+
+
+def test_passages_at_the_least_identity_share_seeds(spark):
+    rng = np.random.default_rng(9)
+    rows, edited = [], 0
+    for i in range(40):
+        passage = gibberish(rng, 60)
+        changed = [f"new{i}x{j}" if j % 8 == 4 else w for j, w in enumerate(passage)]
+        edited += len(changed)
+        rows += [(i, " ".join(gibberish(rng, 80) + passage + gibberish(rng, 80))), (100 + i, " ".join(gibberish(rng, 80) + changed + gibberish(rng, 80)))]
+    got = {r.doc_id: r.n_removed for r in passages.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert sum(got[i] for i in range(40)) == 0 and sum(got[100 + i] > 0 for i in range(40)) >= 38

@@ -23,7 +23,7 @@ from treesketch.llm.wordhash import WordHasher, mix64, shingle_hashes
 from treesketch.llm.worker import forget
 
 #: Words in a seed, and k-mers of which one is a seed: an exact run of KMER + WINDOW - 1 words has one.
-KMER, WINDOW = 6, 18
+KMER, WINDOW = 4, 6
 #: Words that a repeated passage has at least, and the share of them that must agree.
 MIN_WORDS, MIN_IDENTITY = 50, 0.8
 #: Words between neighbouring seeds of a chain, at most, and the cost of each skipped word in matched words.
