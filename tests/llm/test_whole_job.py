@@ -1,10 +1,11 @@
 """Cases that a cut in an operator or a stage would lose."""
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from treesketch.llm import passages
+from treesketch.llm import html_text, passages
 from treesketch.llm.storage import materialize
 
 
@@ -47,3 +48,14 @@ def test_passages_at_the_least_identity_share_seeds(spark):
         rows += [(i, " ".join(gibberish(rng, 80) + passage + gibberish(rng, 80))), (100 + i, " ".join(gibberish(rng, 80) + changed + gibberish(rng, 80)))]
     got = {r.doc_id: r.n_removed for r in passages.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert sum(got[i] for i in range(40)) == 0 and sum(got[100 + i] > 0 for i in range(40)) >= 38
+
+
+@pytest.mark.parametrize("wrapper", ["div class='has-sidebar'", "div id=comments-open", "div class=widget-area", "form action=x", "span class=social"])
+def test_a_marked_wrapper_around_the_article_is_read(wrapper):
+    article = "<h1>Title</h1>" + "<p>One sentence, and a second. A third one follows; it ends here.</p>" * 3
+    menu, comments = "<ul class=menu>" + "<li>Home<li>News" * 9 + "</ul>", "<div class=comments><p>Nice, thanks.</p></div>"
+    page = f"<body><header>Site</header>{menu}<{wrapper}>{article}{comments}<button>Send</button></{wrapper.split()[0]}><p>About us</p><footer>All rights, reserved.</footer></body>"
+    got = html_text.PageReader().text(page)
+    assert got.count("A third one follows") == 3 and "Title" in got
+    assert not any(x in got for x in ("Home", "Nice", "Send", "rights", "Site"))
+    assert html_text.PageReader().text(f"<body>{menu}</body>") == ""

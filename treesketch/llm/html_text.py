@@ -5,7 +5,8 @@ punctuation are summed per path and divided by the number of blocks with that
 path; both ratios are smoothed along the page and multiplied. Paths above a
 share of the spread of all values hold the content; the least element around
 their blocks is the article, and its blocks are the text. Menus, adverts and
-their like inside it are known by their elements and names.
+their like inside it are known by their elements and names, which count as a
+penalty: a subtree that holds the page's high-ratio text is read all the same.
 """
 
 from __future__ import annotations
@@ -31,8 +32,11 @@ BLOCKS = frozenset(
 CLOSES_P = BLOCKS - {"html", "head", "body", "option", "optgroup", "caption", "tbody", "tfoot", "thead", "tr", "legend"}
 SIBLINGS = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",), "p": ("p",)}
 SCOPES = frozenset("html body table ul ol dl td th article section main aside nav header footer form div blockquote figure select".split())
-#: Elements that are never part of the article.
+#: Elements that are left out, and those of them whose text is never read.
 LEFT_OUT = frozenset("head nav footer aside form button select input label menu dialog svg canvas object audio video map fieldset script style textarea title noscript iframe template xmp noembed noframes".split())
+NEVER = LEFT_OUT - frozenset("nav footer aside form fieldset dialog label".split())
+#: Elements around an article that are read only on a page with no other text.
+MARGINS = frozenset("nav footer aside header".split())
 #: Words in class, id or role that mark what surrounds an article.
 MARKED = frozenset(
     "ad ads adv advert adverts advertisement advertising sponsor sponsored promo promoted banner nav navbar navigation menu menubar breadcrumb breadcrumbs sidebar side aside widget widgets "
@@ -46,6 +50,9 @@ _PUNCTUATION = r"[.,;:!?…。、，；：！？]"
 #: Blocks on either side that a ratio is smoothed over, and the share of the standard deviation that makes content.
 SMOOTH_RADIUS = 1
 THRESHOLD = 0.5
+#: A marked subtree is read if its text, weighted by its paths' punctuation ratios, is so many times that outside the marked ones; it has punctuation or pieces of so many characters.
+PENALTY = 3
+LONG = 80
 
 
 class PageReader:
@@ -70,9 +77,45 @@ class PageReader:
         return False
 
     def blocks(self, page: str) -> list[tuple[str, tuple[int, ...], str]]:
-        """(path, numbers of the elements around it, text) of each block outside the marked elements."""
+        """(path, numbers of the elements around it, text) of each block outside the marked elements.
+
+        A marked element that holds the page's high-ratio content counts as
+        unmarked, with those around it; what is marked inside it stays out.
+        """
+        spared: set[int] = set()
+        while True:
+            out, marked, within, margins = self._read(page, spared)
+            if not marked:
+                return out
+            rest = self._weight([(p, t) for p, _, t in out])
+            weights = {m: self._weight(pieces) for m, pieces in marked.items() if (m not in margins or not out) and self._has_sentences(pieces)}
+            best = max(weights, key=weights.get, default=0)
+            if not best or weights[best] <= PENALTY * rest:
+                return out
+            while best:
+                spared.add(best)
+                best = within.get(best, 0)
+
+    def _has_sentences(self, pieces: list[tuple[str, str]]) -> bool:
+        return any(self._punctuation.search(t) for _, t in pieces) or sum(len(t) for _, t in pieces) >= LONG * len(pieces)
+
+    def _weight(self, pieces: list[tuple[str, str]]) -> float:
+        """Characters of (path, text) pieces, those of a path times one and its punctuation marks a piece."""
+        sums: dict[str, list[int]] = {}
+        for path, text in pieces:
+            s = sums.setdefault(path, [0, 0, 0])
+            s[0] += len(text)
+            s[1] += len(self._punctuation.findall(text))
+            s[2] += 1
+        return sum(chars * (1 + marks / n) for chars, marks, n in sums.values())
+
+    def _read(self, page: str, spared: set[int]) -> tuple[list[tuple[str, tuple[int, ...], str]], dict[int, list[tuple[str, str]]], dict[int, int], set[int]]:
+        """Blocks outside the marked elements; (path, text) pieces by the innermost marked element; the marked element around each; those of ``MARGINS``."""
         out: list[tuple[str, tuple[int, ...], str]] = []
-        stack: list[tuple[str, int, bool]] = [("", 0, False)]  # tag, number, left out
+        marked: dict[int, list[tuple[str, str]]] = {}
+        within: dict[int, int] = {}
+        margins: set[int] = set()
+        stack: list[tuple[str, int, int]] = [("", 0, 0)]  # tag, number, the marked element that it is in or is; -1 where text is never read
         held: list[str] = []
         number, at = 0, 0
 
@@ -87,6 +130,8 @@ class PageReader:
         def say(text: str) -> None:
             if text and not stack[-1][2]:
                 held.append(text)
+            elif stack[-1][2] > 0 and (piece := " ".join(text.split())):
+                marked.setdefault(stack[-1][2], []).append(("/".join(s[0] for s in stack if s[0] in BLOCKS), piece))
 
         def pop_to(index: int) -> None:
             for _ in range(len(stack) - index):
@@ -139,7 +184,14 @@ class PageReader:
                 continue
             number += 1
             inside = any(s[0] in ("article", "main") for s in stack)
-            left_out = stack[-1][2] or self._is_marked(tag, attributes, inside)
+            left_out = stack[-1][2]
+            if left_out >= 0 and number not in spared and self._is_marked(tag, attributes, inside):
+                if tag in NEVER:
+                    left_out = -1
+                else:
+                    within[number], left_out = left_out, number
+                    if tag in MARGINS:
+                        margins.add(number)
             if left_out and not stack[-1][2]:
                 if tag in BLOCKS:
                     flush()
@@ -149,7 +201,7 @@ class PageReader:
                 stack.append((tag, number, left_out))
         pop_to(1)
         flush()
-        return out
+        return out, marked, within, margins
 
     def scores(self, blocks: list[tuple[str, tuple[int, ...], str]]) -> np.ndarray:
         """The fused ratio of each block: text length and punctuation per path, smoothed along the page."""
