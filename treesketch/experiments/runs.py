@@ -79,15 +79,20 @@ def scaling(spark: SparkSession, sf_dir: str, counts: list[int], spec: TrainSpec
     return out
 
 
+#: The grids of the sensitivity and scaling experiments.
+SMALL_KS, LARGE_KS, WORKERS = [4, 16, 65, 162], [64, 256, 1024, 4096], [1, 2, 4, 5, 6, 7, 8]
+
+
 def queries() -> dict:
-    """Short runs for the driver; the tests and the README have the longer ones."""
-    fast_small, fast_large = replace(SMALL, steps=12, evaluate_every=12), replace(LARGE, steps=8, evaluate_every=8)
+    """The experiments with the steps and epochs that the sweeps use."""
+    small, large = replace(SMALL, steps=200, steps_per_epoch=10), replace(LARGE, steps=60, steps_per_epoch=5, evaluate_every=5)
     out = {}
     for m in METHODS:
-        out[f"train_small_{m}"] = lambda spark, sf, m=m: report(spark, small_blocks(spark, sf), {m: replace(fast_small, method=m)}, every_step=True)
-        out[f"train_large_{m}"] = lambda spark, sf, m=m: report(spark, large_blocks(spark, sf), {m: replace(fast_large, method=m)}, every_step=True)
-    out["k_sweep"] = lambda spark, sf: report(spark, small_blocks(spark, sf), k_sweep(replace(fast_small, steps=6), [4, 65]))
-    out["ablations"] = lambda spark, sf: report(spark, small_blocks(spark, sf), ablations(replace(fast_small, steps=5)))
-    out["equal_volume"] = lambda spark, sf: report(spark, small_blocks(spark, sf), equal_volume(replace(fast_small, steps=5)))
-    out["scaling"] = lambda spark, sf: scaling(spark, sf, [1, 2, 5], replace(fast_large, steps=4))
+        out[f"train_small_{m}"] = lambda spark, sf, m=m: report(spark, small_blocks(spark, sf), {m: replace(small, method=m)}, every_step=True)
+        out[f"train_large_{m}"] = lambda spark, sf, m=m: report(spark, large_blocks(spark, sf), {m: replace(large, method=m)}, every_step=True)
+    out["k_sweep"] = lambda spark, sf: report(spark, small_blocks(spark, sf), k_sweep(small, SMALL_KS))
+    out["k_sweep_large"] = lambda spark, sf: report(spark, large_blocks(spark, sf), k_sweep(large, LARGE_KS))
+    out["ablations"] = lambda spark, sf: report(spark, small_blocks(spark, sf), ablations(small))
+    out["equal_volume"] = lambda spark, sf: report(spark, small_blocks(spark, sf), equal_volume(small))
+    out["scaling"] = lambda spark, sf: scaling(spark, sf, WORKERS, large)
     return out
