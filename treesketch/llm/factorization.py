@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treesketch.llm.storage import small_batches
+from treesketch.llm.storage import Columns, small_batches
 from treesketch.llm.wordhash import WordHasher
 from treesketch.llm.worker import forget
 
@@ -93,6 +93,18 @@ class FactorizationMachine:
         starts = np.cumsum([0] + [s + len(b) for _, b, _ in features])
         return np.concatenate(index), np.concatenate(value), starts[:-1]
 
+    def to_bytes(self) -> bytes:
+        """Sizes, then all numbers: single precision for weights and factors, which is what a score needs."""
+        head = np.array([len(self.mean), *self.factors.shape], "<i8").tobytes() + np.array([self.bias, *self.mean, *self.spread], "<f8").tobytes()
+        return head + self.linear.astype("<f4").tobytes() + self.factors.astype("<f4").tobytes()
+
+    @classmethod
+    def from_bytes(cls, raw: bytes) -> FactorizationMachine:
+        s, n, rank = np.frombuffer(raw, "<i8", 3).tolist()
+        head = np.frombuffer(raw, "<f8", 1 + 2 * s, 24)
+        rest = np.frombuffer(raw, "<f4", n * (1 + rank), 24 + 8 * (1 + 2 * s)).astype(np.float64)
+        return cls(head[1 : 1 + s], head[1 + s :], float(head[0]), rest[:n], rest[n:].reshape(n, rank))
+
     def margins(self, index: np.ndarray, value: np.ndarray, starts: np.ndarray) -> np.ndarray:
         vx = self.factors[index] * value[:, None]
         sums = np.add.reduceat(vx, starts)
@@ -150,44 +162,61 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, *, held_out: int = 2, fo
 
 
 def fit_quality(docs: DataFrame, labels: DataFrame, **options) -> FactorizationMachine:
-    """Fit on ``docs(doc_id, text)`` and ``labels(doc_id, label)``; the sample, bounded by MAX_FIT_ROWS, is fitted on the driver.
+    """Fit on ``docs(doc_id, text)`` and ``labels(doc_id, label)``; other columns do not matter.
 
-    Features are taken on the executors; a row of the sample is some hundred numbers.
+    Features are taken where the texts lie; a row of the sample, which
+    MAX_FIT_ROWS bounds, is some hundred numbers. One executor task gathers
+    them, sorts them, so that the model does not depend on the partitioning,
+    and fits. What comes to the driver is the model, of fixed size.
     """
     small_batches(docs.sparkSession)
-    sample = labelled_sample(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), labels)
+    given, marks = Columns(docs), Columns(labels)
+    ids = marks.frame.select(F.col(marks["doc_id"]).cast("long").alias("doc_id"), F.col(marks["label"]).alias("label"))
+    sample = labelled_sample(given.frame.select(F.col(given["doc_id"]).cast("long").alias("doc_id"), F.col(given["text"]).alias("text")), ids)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def made(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         forget()
         maker = Features()
         for batch in batches:
-            made = [maker.of(t) for t in batch.column(0).to_pylist()]
+            rows = [maker.of(t) for t in batch.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays(
-                [pa.array([s.tobytes() for s, _, _ in made], pa.binary()), pa.array([b.astype("<u4").tobytes() for _, b, _ in made], pa.binary()), pa.array([v.astype("<f4").tobytes() for _, _, v in made], pa.binary()), batch.column(1)],
+                [pa.array([s.tobytes() for s, _, _ in rows], pa.binary()), pa.array([b.astype("<u4").tobytes() for _, b, _ in rows], pa.binary()), pa.array([v.astype("<f4").tobytes() for _, _, v in rows], pa.binary()), batch.column(1)],
                 names=["s", "b", "v", "label"],
             )
 
-    rows = sample.select("text", F.col("label").cast("int").alias("label")).mapInArrow(run, "s binary, b binary, v binary, label int").collect()
-    rows.sort(key=lambda r: (bytes(r["s"]), bytes(r["b"]), r["label"]))
-    features = [(np.frombuffer(r["s"], "<f8"), np.frombuffer(r["b"], "<u4").astype(np.int64), np.frombuffer(r["v"], "<f4").astype(np.float64)) for r in rows]
-    return fit(features, np.array([r["label"] for r in rows]), **options)
+    def fitted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()
+        rows = sorted(row for batch in batches for row in zip(*(batch.column(i).to_pylist() for i in range(4))))
+        features = [(np.frombuffer(s, "<f8"), np.frombuffer(b, "<u4").astype(np.int64), np.frombuffer(v, "<f4").astype(np.float64)) for s, b, v, _ in rows]
+        yield pa.RecordBatch.from_arrays([pa.array([fit(features, np.array([r[3] for r in rows]), **options).to_bytes()], pa.binary())], names=["model"])
+
+    rows = sample.select("text", F.col("label").cast("int").alias("label")).mapInArrow(made, "s binary, b binary, v binary, label int")
+    found = rows.repartition(1).mapInArrow(fitted, "model binary").collect()
+    return FactorizationMachine.from_bytes(bytes(found[0]["model"])) if found else fit([], np.zeros(0), **options)
 
 
 def score_quality(docs: DataFrame, model: FactorizationMachine) -> DataFrame:
-    """``docs`` with ``score`` in 0..1 for each whole text; null and empty texts are scored as such. The model has a fixed size."""
-    columns = [c for c in docs.columns if c != "score"]
+    """``docs`` with ``score`` in 0..1 for each whole text; null and empty texts are scored as such. The model has a fixed size.
+
+    A given column ``score``, in any case, makes way for it; all others pass through.
+    """
     small_batches(docs.sparkSession)
+    given = Columns(docs)
+    places = given.others(("score",))
+    text = places.index(given.place("text"))
+    raw = model.to_bytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         forget()
+        model = FactorizationMachine.from_bytes(raw)
         maker = Features(len(model.linear) - len(model.mean))
         for batch in batches:
-            texts = batch.column(columns.index("text"))
+            texts = batch.column(text)
             scores = []
             for at in range(0, len(texts), 256):
                 scores.append(model.score([maker.of(t.as_py()) for t in texts[at : at + 256]]))
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.concatenate(scores) if scores else np.zeros(0))], names=[*columns, "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.concatenate(scores) if scores else np.zeros(0))], names=[*batch.schema.names, "score"])
 
-    kept = docs.select(*[F.col(f"`{c}`") for c in columns])
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields)
-    return kept.mapInArrow(run, f"{fields}, score double")
+    fields = ", ".join(f"_{i} {given.types[i]}" for i in places)
+    scored = given.frame.select(*[f"_{i}" for i in places]).mapInArrow(run, f"{fields}, score double")
+    return given.named(scored, places, ("score",))
