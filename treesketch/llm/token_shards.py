@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from treesketch.llm.storage import small_batches
+from treesketch.llm.storage import only, small_batches
 from treesketch.llm.wordpieces import WordPieceEncoder, default_path, text_groups
 from treesketch.llm.worker import kept
 
@@ -28,7 +28,7 @@ SELECT_STRIDE = 128
 
 BLOCK_SCHEMA = (
     "shard int, block int, start long, n_docs int, n_null_ids int, n_tokens long, width int, "
-    "ids binary, ends binary, doc_ids binary, id_base long"
+    "ids binary, ends binary, doc_ids binary, id_base long, id_last long"
 )
 DOCUMENT_SCHEMA = "doc_id long, start long, n_tokens long, ids binary"
 
@@ -71,11 +71,9 @@ class EliasFano:
         return cls(n, universe, low_bits, np.frombuffer(raw, np.uint8, -1, at + n_high + 4 * marks), high, np.frombuffer(raw, "<u4", marks, at + n_high))
 
     def _low_value(self, i: int) -> int:
-        first, out = i * self.low_bits, 0
-        for k in range(self.low_bits):
-            bit = first + k
-            out |= (int(self._low[bit >> 3]) >> (bit & 7) & 1) << k
-        return out
+        first = i * self.low_bits
+        at, end = first >> 3, (first + self.low_bits + 7) >> 3
+        return int.from_bytes(self._low[at:end].tobytes(), "little") >> (first & 7) & ((1 << self.low_bits) - 1)
 
     def select(self, i: int) -> int:
         """The i-th value (from 0), touching only the bits near its stored mark."""
@@ -83,16 +81,27 @@ class EliasFano:
             raise IndexError(i)
         at, left = int(self._marks[i // SELECT_STRIDE]), i % SELECT_STRIDE
         byte = at >> 3
-        word = int(self._high[byte]) >> (at & 7) << (at & 7)
+        word = int.from_bytes(self._high[byte : byte + 8].tobytes(), "little") >> (at & 7) << (at & 7)
         while left >= word.bit_count():
             left -= word.bit_count()
-            byte += 1
-            word = int(self._high[byte])
+            byte += 8
+            word = int.from_bytes(self._high[byte : byte + 8].tobytes(), "little")
         for _ in range(left):
             word &= word - 1
         place = (byte << 3) + (word & -word).bit_length() - 1
         return (place - i) << self.low_bits | self._low_value(i)
 
+    def find(self, value: int) -> range:
+        """The indices that hold ``value``, by binary searches over ``select``."""
+        low, high = 0, self.n
+        while low < high:
+            middle = (low + high) // 2
+            low, high = (middle + 1, high) if self.select(middle) < value else (low, middle)
+        end = low
+        while end < self.n and self.select(end) == value:
+            end += 1
+        return range(low, end)
+
     def values(self) -> np.ndarray:
         """All values: what ``select`` gives for each i, in one pass."""
         ones = np.flatnonzero(np.unpackbits(self._high, bitorder="little"))[: self.n]
@@ -111,7 +120,7 @@ def _block(shard: int, block: int, start: int, doc_ids: list[int | None], parts:
     return {
         "shard": shard, "block": block, "start": start, "n_docs": len(parts), "n_null_ids": len(doc_ids) - len(known),
         "n_tokens": int(ends[-1]), "width": width, "ids": b"".join(parts), "ends": EliasFano.of(ends, int(ends[-1])).to_bytes(),
-        "doc_ids": EliasFano.of(span, int(span[-1]) if len(span) else 0).to_bytes(), "id_base": base,
+        "doc_ids": EliasFano.of(span, int(span[-1]) if len(span) else 0).to_bytes(), "id_base": base, "id_last": int(known[-1]) if len(known) else None,
     }
 
 
@@ -157,39 +166,79 @@ def write_token_dataset(
 
     arrow = pa.schema([
         ("shard", pa.int32()), ("block", pa.int32()), ("start", pa.int64()), ("n_docs", pa.int32()), ("n_null_ids", pa.int32()), ("n_tokens", pa.int64()),
-        ("width", pa.int32()), ("ids", pa.binary()), ("ends", pa.binary()), ("doc_ids", pa.binary()), ("id_base", pa.int64()),
+        ("width", pa.int32()), ("ids", pa.binary()), ("ends", pa.binary()), ("doc_ids", pa.binary()), ("id_base", pa.int64()), ("id_last", pa.int64()),
     ])
     order = [F.col("doc_id").asc_nulls_first(), F.xxhash64("text")]
-    ranged = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartitionByRange(shards, *order).sortWithinPartitions(*order)
+    ranged = only(docs, "doc_id", "text").select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartitionByRange(shards, *order).sortWithinPartitions(*order)
     ranged.mapInArrow(blocks, BLOCK_SCHEMA).write.parquet(path)
     return path
 
 
-def read_token_dataset(spark: SparkSession, path: str) -> DataFrame:
-    """Documents of a token dataset: ``doc_id, start, n_tokens, ids``.
-
-    ``start`` counts the ids of all documents before it; ``ids`` are
-    little-endian unsigned 32-bit integers. Only the shards' totals, one number
-    for each writing task, come to the driver.
-    """
-    blocks = spark.read.schema(BLOCK_SCHEMA).parquet(path)
+def _bases(blocks: DataFrame) -> dict[int, int]:
+    """Ids before each shard; the shards' totals, one number for each writing task, are all that comes to the driver."""
     bases, total = {}, 0
     for row in blocks.groupBy("shard").agg(F.sum("n_tokens").alias("n")).orderBy("shard").collect():
         bases[row["shard"]], total = total, total + row["n"]
+    return bases
+
+
+class Block:
+    """One block row: documents are found by ``select`` on its two sequences."""
+
+    def __init__(self, row: dict, base: int):
+        self.ends, self.names = EliasFano.from_bytes(row["ends"]), EliasFano.from_bytes(row["doc_ids"])
+        self.nulls, self.id_base, self.start = row["n_null_ids"], row["id_base"], base + row["start"]
+        self.ids = np.frombuffer(row["ids"], "<u2" if row["width"] == 2 else "<u4")
+
+    def bounds(self, i: int) -> tuple[int, int]:
+        return self.ends.select(i - 1) if i else 0, self.ends.select(i)
+
+    def named(self, doc_id: int) -> range:
+        """Indices of the documents of that id."""
+        found = self.names.find(doc_id - self.id_base) if doc_id >= self.id_base else range(0)
+        return range(found.start + self.nulls, found.stop + self.nulls)
+
 
-    def documents(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _documents(blocks: DataFrame, bases: dict[int, int], only: int | None) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for r in batch.to_pylist():
-                stops = EliasFano.from_bytes(r["ends"]).values()
-                starts = np.concatenate([[0], stops[:-1]])
-                known = EliasFano.from_bytes(r["doc_ids"]).values() + r["id_base"]
-                ids = np.frombuffer(r["ids"], "<u2" if r["width"] == 2 else "<u4").astype("<u4")
-                offsets = np.concatenate([starts, stops[-1:]]) * 4
-                data = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(stops), [None, pa.py_buffer(offsets.astype(np.int64)), pa.py_buffer(ids)])
-                doc_ids = pa.array(np.concatenate([np.zeros(r["n_null_ids"], np.int64), known]), mask=np.arange(len(stops)) < r["n_null_ids"])
+            for row in batch.to_pylist():
+                block = Block(row, bases[row["shard"]])
+                chosen = range(block.ends.n) if only is None else block.named(only)
+                if not len(chosen):
+                    continue
+                bounds = [block.bounds(i) for i in chosen[:1]]
+                for i in chosen[1:]:  # neighbours share a boundary
+                    bounds.append((bounds[-1][1], block.ends.select(i)))
+                cuts = np.array([bounds[0][0], *[b for _, b in bounds]], np.int64)
+                ids = block.ids[cuts[0] : cuts[-1]].astype("<u4")
+                data = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(chosen), [None, pa.py_buffer((cuts - cuts[0]) * 4), pa.py_buffer(ids)])
+                names = [None if i < block.nulls else block.id_base + block.names.select(i - block.nulls) for i in chosen]
                 yield pa.RecordBatch.from_arrays(
-                    [doc_ids, pa.array(starts + (bases[r["shard"]] + r["start"])), pa.array(stops - starts), data.cast(pa.binary())],
+                    [pa.array(names, pa.int64()), pa.array(cuts[:-1] + block.start), pa.array(np.diff(cuts)), data.cast(pa.binary())],
                     names=["doc_id", "start", "n_tokens", "ids"],
                 )
 
-    return blocks.select("shard", "start", "n_null_ids", "width", "ids", "ends", "doc_ids", "id_base").mapInArrow(documents, DOCUMENT_SCHEMA)
+    return blocks.select("shard", "start", "n_null_ids", "width", "ids", "ends", "doc_ids", "id_base").mapInArrow(run, DOCUMENT_SCHEMA)
+
+
+def read_token_dataset(spark: SparkSession, path: str) -> DataFrame:
+    """Documents of a token dataset: ``doc_id, start, n_tokens, ids``.
+
+    ``start`` counts the ids of all documents before it; ``ids`` are
+    little-endian unsigned 32-bit integers. Boundaries and document ids come
+    from ``select``; no table of offsets is kept.
+    """
+    blocks = spark.read.schema(BLOCK_SCHEMA).parquet(path)
+    return _documents(blocks, _bases(blocks), None)
+
+
+def read_document(spark: SparkSession, path: str, doc_id: int) -> DataFrame:
+    """The rows of one document, as ``read_token_dataset`` has them; none if there is no such id.
+
+    Blocks are pruned by the least and greatest id that the Parquet files
+    record; in a block the id is found by binary search, its ids by two selects.
+    """
+    blocks = spark.read.schema(BLOCK_SCHEMA).parquet(path)
+    near = blocks.where((F.col("id_base") <= doc_id) & (F.col("id_last") >= doc_id))
+    return _documents(near, _bases(blocks), doc_id)

@@ -12,6 +12,8 @@ from collections.abc import Iterable
 
 import numpy as np
 
+# White space of the tokenizer's patterns in Latin-1 (fixed values); Python's isspace also takes the separators 1C to 1F, which are signs there.
+WHITE_SPACE = frozenset("\t\n\x0b\x0c\r \x85\xa0")
 #: Distinct chunks whose ids a worker keeps (some 120 MB); further ones are encoded again.
 KEPT_CHUNKS = 600_000
 
@@ -43,7 +45,7 @@ class WordPieceEncoder:
         self._specials = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self._word_and_tail = re.compile(r"([^\W\d_]+)([!-&(-/:-@\[-`{-~]+)").fullmatch
         self._unusual = re.compile("[^\x00-\u012f\u0131-\u024f]").search
-        self._kinds = bytes(39 if c == "'" else 120 if c.isalnum() or c.isspace() else 112 for c in map(chr, range(256)))
+        self._kinds = bytes(39 if c == "'" else 120 if c.isalnum() or c in WHITE_SPACE else 112 for c in map(chr, range(256)))
         self._keep = keep
         self._chunks: dict[str, bytes] = {}
         self._parts: dict[str, bytes] = {}
