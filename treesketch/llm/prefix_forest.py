@@ -19,6 +19,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from treesketch.llm.sharding import search_shards, usable
+from treesketch.llm.storage import only
 from treesketch.llm.wordhash import mix64
 
 TREES = 12
@@ -41,6 +42,7 @@ class PrefixForest:
     def __init__(self, vectors: np.ndarray, longest: float, trees: int = TREES, bits: int = BITS, seed: int = 9):
         self.x = np.ascontiguousarray(vectors, np.float64)
         self.trees, self.bits = trees, bits
+        self._size = float(np.abs(self.x).max(initial=0.0)) * self.x.shape[1]
         scaled = self.x / longest
         rest = np.sqrt(np.maximum(0.0, 1.0 - (scaled * scaled).sum(1)))
         self._planes = _normals(trees * bits, self.x.shape[1] + 1, seed)
@@ -56,29 +58,58 @@ class PrefixForest:
         scale = np.abs(queries).max(1, keepdims=True)
         return self._strings(np.column_stack([queries / scale, np.zeros(len(queries))]))
 
+    def _longest(self, strings: np.ndarray) -> np.ndarray:
+        """Descent: the length of the longest prefix that each query shares with an entry of each tree."""
+        out = np.zeros(strings.shape, np.int64)
+        for t in range(self.trees):
+            at = np.searchsorted(self.sorted[t], strings[t])
+            for near in (np.maximum(at - 1, 0), np.minimum(at, len(self.x) - 1)):  # the best match is a neighbour in the order
+                apart = self.sorted[t][near] ^ strings[t]
+                out[t] = np.maximum(out[t], self.bits - np.frexp(apart.astype(np.float64))[1])  # fewer than 53 bits are exact
+        return out
+
     def candidates(self, strings: np.ndarray, wanted: int) -> list[np.ndarray]:
-        """For each query the distinct positions under its prefixes of one length, the longest with ``wanted`` entries over all trees."""
+        """For each query the distinct positions under its prefixes of one length, the longest with ``wanted`` entries over all trees.
+
+        A query descends to its longest match in each tree; the ascent starts
+        at the longest of all, and a tree joins when the common length has come
+        down to its own match.
+        """
         n_queries = strings.shape[1]
         low, high = np.zeros((self.trees, n_queries), np.int64), np.full((self.trees, n_queries), len(self.x))
+        deepest = self._longest(strings).max(0)
         todo = np.arange(n_queries)
-        for length in range(self.bits, -1, -1):
+        for length in range(int(deepest.max(initial=0)), -1, -1):
+            here = todo[deepest[todo] >= length]
+            if not len(here):
+                continue
             cut = np.uint64(self.bits - length)
-            first = strings[:, todo] >> cut << cut
+            first = strings[:, here] >> cut << cut
             last = first + (np.uint64(1) << cut)
             a = np.stack([np.searchsorted(self.sorted[t], first[t]) for t in range(self.trees)])
             b = np.stack([np.searchsorted(self.sorted[t], last[t]) for t in range(self.trees)])
             enough = (b - a).sum(0) >= wanted
-            low[:, todo[enough]], high[:, todo[enough]] = a[:, enough], b[:, enough]
-            todo = todo[~enough]
+            low[:, here[enough]], high[:, here[enough]] = a[:, enough], b[:, enough]
+            todo = np.setdiff1d(todo, here[enough])
             if not len(todo):
                 break
         return [np.unique(np.concatenate([self.order[t, low[t, i] : high[t, i]] for t in range(self.trees)])) for i in range(n_queries)]
 
     def nearest(self, queries: np.ndarray, k: int, wanted: int) -> list[tuple[np.ndarray, np.ndarray]]:
-        """Positions and inner products of each query's k best candidates; ties to the earlier position."""
+        """Positions and inner products of each query's k best candidates; ties to the earlier position.
+
+        A matrix product ranks the candidates but for its last bits, which
+        depend on a row's place; those that can be among the k best are scored
+        again, each by a sum of one fixed order, so that equal vectors tie.
+        """
         out = []
         for q, found in zip(queries, self.candidates(self.query_strings(queries), wanted)):
-            scores = self.x[found] @ q
+            rough = self.x[found] @ q
+            if len(found) > k:
+                slack = 1e-9 * float(np.abs(q).max()) * self._size
+                least = np.partition(rough, len(rough) - k)[len(rough) - k]
+                found = found[rough >= least - slack]
+            scores = (self.x[found] * q).sum(1)
             best = np.lexsort((found, -scores))[:k]
             out.append((found[best], scores[best]))
         return out
@@ -100,8 +131,8 @@ def nearest_neighbours(vectors: DataFrame, queries: DataFrame, *, k: int = 20, s
     until the audit's recall is reached, down to all its rows.
     """
     shape = [F.col("vec_id").cast("long").alias("id"), F.col("embedding").cast("array<double>").alias("v")]
-    members = usable(vectors.select(*shape), "v").where(F.col("id").isNotNull()).distinct()
-    asked = usable(queries.select(*shape), "v").where(F.col("id").isNotNull()).distinct()
+    members = usable(only(vectors, "vec_id", "embedding").select(*shape), "v").where(F.col("id").isNotNull()).distinct()
+    asked = usable(only(queries, "vec_id", "embedding").select(*shape), "v").where(F.col("id").isNotNull()).distinct()
     square = F.aggregate("v", F.lit(0.0), lambda s, x: s + x * x)
     longest = float(members.agg(F.sqrt(F.max(square)).alias("m")).first()["m"] or 1.0)
 
@@ -120,7 +151,7 @@ def nearest_neighbours(vectors: DataFrame, queries: DataFrame, *, k: int = 20, s
         keep = query != near
         return pa.RecordBatch.from_arrays([pa.array(query[keep]), pa.array(near[keep]), pa.array(score[keep])], names=["query_id", "vec_id", "score"])
 
-    found = search_shards(members, asked, lambda rows, ids: _Shard(rows, ids, longest, FIRST_CANDIDATES * k), answer, "query_id long, vec_id long, score double", shards=shards)
+    found = search_shards(members.withColumn("weight", F.lit(1)), asked, lambda rows, ids, _: _Shard(rows, ids, longest, FIRST_CANDIDATES * k), answer, "query_id long, vec_id long, score double", shards=shards)
     best = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     order = Window.partitionBy("query_id").orderBy(F.col("score").desc(), F.col("vec_id"))
     return best.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
