@@ -11,19 +11,20 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from treesketch.llm.components import connected_components
 from treesketch.llm.sharding import BLOCK, search_shards, unit_vectors, usable
-from treesketch.llm.storage import materialize
+from treesketch.llm.storage import materialize, only
 from treesketch.llm.wordhash import mix64
 
 #: Neighbours kept above the lowest layer; the lowest keeps twice as many.
 DEGREE = 12
 BUILD_BEAM = 40
 SEARCH_BEAM = 24
-#: Searches of each block that are audited.
+#: Members that set a shard's beam before it answers, and searches of each block that are audited.
+TUNED = 1024
 AUDITED = 16
 #: The share of true links that an audit asks for.
 AUDIT_RECALL = 0.99
@@ -174,40 +175,96 @@ class SmallWorld:
         return out
 
 
-def _audited_links(graph: SmallWorld, exact: np.ndarray, queries: np.ndarray, threshold: float, width: int) -> tuple[list[np.ndarray], int]:
-    """Links of a block, checked in double precision; the beam that satisfied the audit."""
-    slack = 1e-4
-    sample = np.linspace(0, len(queries) - 1, min(AUDITED, len(queries))).astype(np.int64)
-    truth = queries[sample] @ exact.T >= threshold
-    while True:
-        found = graph.within(queries, threshold - slack, width)
-        found = [f[exact[f] @ q >= threshold] for f, q in zip(found, queries)]
-        hits = sum(int(truth[k, found[i]].sum()) for k, i in enumerate(sample))
-        if hits >= AUDIT_RECALL * truth.sum() or width >= len(exact):
-            return found, width
-        width *= 2
+#: Similarity that single precision may lack; found neighbours are checked in double precision.
+SLACK = 1e-4
 
 
 class _Shard:
-    def __init__(self, rows: np.ndarray, ids: np.ndarray, beam: int):
-        self.exact, self.ids, self.width = unit_vectors(rows), ids, beam
+    """A shard's graph, the beam that its audits asked for so far, and the components that its answers have joined.
+
+    Before any answer the beam is set by brute force: of ``TUNED`` members
+    those that link with others must find ``AUDIT_RECALL`` of these links.
+    """
+
+    def __init__(self, rows: np.ndarray, ids: np.ndarray, weights: np.ndarray, threshold: float, beam: int):
+        self.exact, self.ids, self.weights = unit_vectors(rows), ids, weights
+        self.threshold, self.width = threshold, beam
         self.graph = SmallWorld(self.exact)
+        self._parent = np.arange(len(ids))
+        sample = np.linspace(0, len(ids) - 1, min(TUNED, len(ids))).astype(np.int64)
+        truth = self.exact[sample] @ self.exact.T >= threshold
+        truth[np.arange(len(sample)), sample] = False
+        some = truth.any(1)
+        if some.any():
+            self._widen(self.exact[sample[some]], truth[some])
+
+    def _found(self, queries: np.ndarray) -> list[np.ndarray]:
+        near = self.graph.within(queries, self.threshold - SLACK, self.width)
+        return [f[self.exact[f] @ q >= self.threshold] for f, q in zip(near, queries)]
+
+    def _widen(self, queries: np.ndarray, truth: np.ndarray) -> bool:
+        """Double the beam until the queries find their true links; whether it had to be."""
+        start = self.width
+        while self.width < len(self.ids):
+            found = self._found(queries)
+            if sum(int(truth[k, f].sum()) for k, f in enumerate(found)) >= AUDIT_RECALL * truth.sum():
+                break
+            self.width *= 2
+        return self.width > start
+
+    def links(self, queries: np.ndarray, ids: np.ndarray) -> list[np.ndarray]:
+        """Positions that each query links with, its own left out; some queries of each block are audited."""
+        queries = unit_vectors(queries)
+        found = self._found(queries)
+        sample = np.linspace(0, len(queries) - 1, min(AUDITED, len(queries))).astype(np.int64)
+        truth = (queries[sample] @ self.exact.T >= self.threshold) & (self.ids[None, :] != ids[sample, None])
+        seen = sum(int(truth[k, found[i]].sum()) for k, i in enumerate(sample))
+        if seen < AUDIT_RECALL * truth.sum() and self._widen(queries[sample], truth):
+            found = self._found(queries)
+        return [f[self.ids[f] != i] for f, i in zip(found, ids)]
+
+    def joins(self, found: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        """(query, position) of links that no earlier link of this shard makes superfluous: one for each component that a query newly ties together."""
+        queries, places = [], []
+        for i, f in enumerate(found):
+            if not len(f):
+                continue
+            roots = self._parent[f]
+            while not np.array_equal(above := self._parent[roots], roots):
+                roots = above
+            self._parent[f] = roots
+            distinct, first = np.unique(roots, return_index=True)
+            queries += [i] * len(distinct)
+            places += f[first].tolist()
+            self._parent[distinct] = distinct[0]
+        return np.array(queries, np.int64), np.array(places, np.int64)
 
 
 def cosine_links(vectors: DataFrame, *, threshold: float = 0.95, shards: int | None = None, beam: int = SEARCH_BEAM) -> DataFrame:
-    """``a, b`` for each found pair of rows of ``vectors(id, v array<double>)`` with cosine ``threshold`` at least, both ways.
+    """What links with cosine ``threshold`` at least, for each row of ``vectors(id, v array<double>, weight)``.
 
+    Rows ``id, linked``: the weight of all that the vector links with in one
+    shard. Rows ``id, other``: links of a spanning forest of the shard's
+    answers, so that the rows grow with the vectors and not with the pairs.
     Ids are distinct. Each shard's graph is built in one task, which then
     streams all vectors past it. Vectors of different lengths do not link.
     """
 
     def answer(shard: _Shard, rows: np.ndarray, ids: np.ndarray) -> pa.RecordBatch:
-        found, shard.width = _audited_links(shard.graph, shard.exact, unit_vectors(rows), threshold, shard.width)
-        a = np.repeat(ids, [len(f) for f in found])
-        b = shard.ids[np.concatenate(found)]
-        return pa.RecordBatch.from_arrays([pa.array(a[a != b]), pa.array(b[a != b])], names=["a", "b"])
+        found = shard.links(rows, ids)
+        linked = np.array([int(shard.weights[f].sum()) for f in found])
+        some = np.flatnonzero(linked)
+        at, to = shard.joins(found)
+        return pa.RecordBatch.from_arrays(
+            [
+                pa.array(np.concatenate([ids[some], ids[at]])),
+                pa.array(np.concatenate([np.zeros(len(some), np.int64), shard.ids[to]]), mask=np.arange(len(some) + len(at)) < len(some)),
+                pa.array(np.concatenate([linked[some], np.zeros(len(at), np.int64)])),
+            ],
+            names=["id", "other", "linked"],
+        )
 
-    return search_shards(vectors, vectors, lambda rows, ids: _Shard(rows, ids, beam), answer, "a long, b long", shards=shards)
+    return search_shards(vectors, vectors, lambda rows, ids, weights: _Shard(rows, ids, weights, threshold, beam), answer, "id long, other long, linked long", shards=shards)
 
 
 def near_duplicate_vectors(vectors: DataFrame, *, threshold: float = 0.95, shards: int | None = None) -> DataFrame:
@@ -218,17 +275,28 @@ def near_duplicate_vectors(vectors: DataFrame, *, threshold: float = 0.95, shard
     link with nothing. Rows that repeat a vec_id are one vector where they are
     equal; otherwise each has its own links and they share a component.
     """
-    rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"))
+    rows = only(vectors, "vec_id", "embedding").select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"))
     good = usable(rows).where(F.col("vec_id").isNotNull()).distinct()
-    classes = materialize(good.groupBy("embedding").agg(F.min("vec_id").alias("cls"), F.count(F.lit(1)).alias("members")), "vector-classes")
-    reps = classes.groupBy("cls").agg(F.min("embedding").alias("v"))
-    found = materialize(cosine_links(reps.select(F.col("cls").alias("id"), "v"), threshold=threshold, shards=shards), "vector-links")
-    links = materialize(found.unionByName(found.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "vector-links")
-    sizes = classes.select(F.col("cls").alias("b"), "members")
-    counts = links.join(sizes, "b").groupBy(F.col("a").alias("cls")).agg(F.sum("members").alias("linked"))
-    known = classes.join(counts, "cls", "left").join(connected_components(links).withColumnRenamed("vertex", "cls"), "cls", "left")
-    known = known.select("embedding", (F.coalesce("linked", F.lit(0)) + F.col("members") - 1).alias("links"), F.coalesce("component", "cls").alias("known"))
-    joined = rows.join(known, "embedding", "left")
-    component = F.when(F.col("vec_id").isNotNull(), F.coalesce("known", "vec_id"))
-    n_links = F.when(F.col("vec_id").isNotNull(), F.coalesce("links", F.lit(0))).otherwise(0).cast("long")
+    classes = good.groupBy("embedding").agg(F.min("vec_id").alias("least"), F.count(F.lit(1)).alias("weight"))
+    place = F.row_number().over(Window.partitionBy("least").orderBy("embedding"))
+    named = F.when(place == 1, F.col("least")).otherwise(F.xxhash64("embedding"))  # classes of one vec_id have ids of their own
+    classes = materialize(classes.select(named.alias("id"), "least", F.col("embedding").alias("v"), "weight"), "vector-classes")
+    found = materialize(cosine_links(classes, threshold=threshold, shards=shards), "vector-links")
+    tagged = rows.join(classes.select(F.col("v").alias("embedding"), "id", "least", "weight"), "embedding", "left")
+    tagged = materialize(tagged.select("vec_id", F.when(F.col("vec_id").isNotNull(), F.col("id")).alias("id"), "least", "weight"), "vector-rows")
+
+    edges = found.where(F.col("other").isNotNull()).select(F.col("id").alias("a"), F.col("other").alias("b"))
+    doubled = not classes.where(F.col("id") != F.col("least")).isEmpty() or not tagged.where(F.col("id").isNotNull()).groupBy("vec_id").agg(F.min("id").alias("a"), F.max("id").alias("b")).where(F.col("a") != F.col("b")).isEmpty()
+    if doubled:  # a vec_id with several vectors ties their classes
+        same = tagged.where(F.col("id").isNotNull()).select("vec_id", "id")
+        edges = edges.unionByName(same.join(same.groupBy("vec_id").agg(F.min("id").alias("b")), "vec_id").where(F.col("id") != F.col("b")).select(F.col("id").alias("a"), "b"))
+    parts = connected_components(edges).withColumnRenamed("vertex", "id")
+    if doubled:  # a class's own id may not be a vec_id
+        parts = parts.join(classes.select("id", "least"), "id")
+        parts = parts.select("id", "component").join(parts.groupBy("component").agg(F.min("least").alias("name")), "component").select("id", F.col("name").alias("component"))
+    counts = found.where(F.col("other").isNull()).groupBy("id").agg(F.sum("linked").alias("linked"))
+    known = materialize(counts.join(parts, "id", "full"), "vector-known")  # as a table, so that a hot class's rows can be split
+    joined = tagged.join(known, "id", "left")
+    component = F.when(F.col("vec_id").isNotNull(), F.coalesce("component", "least", "vec_id"))
+    n_links = F.when(F.col("id").isNotNull(), F.coalesce("linked", F.lit(0)) + F.col("weight") - 1).otherwise(0).cast("long")
     return joined.select("vec_id", n_links.alias("n_links"), component.alias("component_id"), F.coalesce(component == F.col("vec_id"), F.lit(True)).alias("kept"))
