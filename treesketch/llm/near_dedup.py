@@ -1,25 +1,29 @@
-"""Near-duplicate documents: a join of MinHash signatures on their coordinates.
+"""Near-duplicate documents: an inverted join of MinHash signatures on their coordinates.
 
-A document is posted under each (coordinate, value) of its signature. Two
+A document is posted under (coordinate, value) pairs of its signature. Two
 documents whose word shingles have a Jaccard similarity s agree on a coordinate
-with probability s, so similar ones collide on at least ``matches`` of
-``coordinates``. Values that one document alone has are dropped; of the rest,
-in the order of rarity, only a prefix is posted such that documents with
-``matches`` agreements still meet (prefix filter), which leaves the values of
-frequent passages aside. Where documents meet, the agreements of whole
-signatures are counted and pairs below ``matches`` are skipped; what remains is
-confirmed on the full shingle sets.
-
-Documents with equal sets are one class from the start. A class is compared
-with a few hubs of each list first, and these links are joined to components. What
-the lists still bring together, documents and other components whose full sets
-can be close enough, is compared afterwards, a document with blocks of whole
-components. So a large group of near copies makes about as many rows as it has
-members, and no link that could join two components is left out.
+with probability s, so similar ones agree on at least ``least_matches`` of n.
+Values that one document alone has are dropped; of the rest, in the order of
+rarity, only a prefix is posted such that documents with that many agreements
+still meet, which leaves the values of frequent passages aside. Where two
+documents meet, the collisions of their whole signatures (``COUNTED``
+coordinates, a byte each) are counted, and pairs whose sizes or collisions
+cannot reach the threshold are skipped. What remains is confirmed on the full
+shingle sets.
+
+Documents with equal sets are one class from the start. The members of a list
+are compared with a few hubs of it first, and these links are joined to
+components. Lists that then still hold several components are searched again,
+each document outside the list's largest component against all others; what
+comes out is one row for each document and component that it may belong to,
+never a pair of members, and that is confirmed against blocks of the component.
+So a large group of near copies makes about as many rows as it has members, and
+no link that could join two components is left out.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,74 +32,76 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from treesketch.llm.components import connected_components
-from treesketch.llm.storage import materialize, small_batches
+from treesketch.llm.storage import materialize, named_in, only, small_batches
 from treesketch.llm.wordhash import WordHasher, mix64, odd_constants, shingle_hashes
 from treesketch.llm.worker import forget
 
-COORDINATES = 32
-#: Binomial(32, 0.75) is below 13 with a probability of about 1e-5.
-MATCHES = 13
+#: Coordinates under which documents are posted, and those whose collisions are counted where they meet.
+COORDINATES, COUNTED = 32, 128
+#: The share of pairs exactly at the threshold that may have fewer matches than are asked for.
+MISSED = 1e-5
 #: Hubs of a list that all its members are compared with before any other pair.
 HUBS = 3
-#: Document ids (8 bytes each) that may be broadcast; more are joined by a shuffle.
-BROADCAST_IDS = 2_000_000
+#: Rows of a list that one task joins; longer lists are split.
+LIST_ROWS = 512
 
 
-def signatures(docs: DataFrame, *, size: int = 5, coordinates: int = COORDINATES) -> DataFrame:
-    """``doc_id, n_shingles, f1, f2, sig array<bigint>``; the last three are null for an empty set."""
+def least_matches(coordinates: int, percent: int) -> int:
+    """The most matches to ask for so that a pair at ``percent`` of similarity has fewer with a probability of ``MISSED`` at most."""
+    s, below, m = percent / 100, 0.0, 0
+    while m < coordinates:
+        below += math.comb(coordinates, m) * s**m * (1 - s) ** (coordinates - m)
+        if below > MISSED:
+            break
+        m += 1
+    return max(1, m)
+
+
+class Signer:
+    """Signatures of shingle sets: the posted coordinates as longs, and a byte of each counted one."""
+
+    def __init__(self, coordinates: int = COORDINATES, counted: int = COUNTED):
+        self._factor, self._shift = odd_constants(coordinates, 31)[:, None], odd_constants(coordinates, 37)[:, None]
+        self._place = odd_constants(coordinates, 41)
+        more = counted - coordinates  # these are only counted, so half the bits do
+        self._factor32, self._shift32 = ((odd_constants(more, k) >> np.uint64(16)).astype(np.uint32)[:, None] | np.uint32(k == 43) for k in (43, 47))
+        self._place32 = odd_constants(more, 53)
+
+    def __call__(self, shingles: np.ndarray) -> tuple[np.ndarray, bytes]:
+        least = np.full(len(self._place), np.iinfo(np.uint64).max)
+        least32 = np.full(len(self._place32), np.iinfo(np.uint32).max)
+        half = (shingles >> np.uint64(32)).astype(np.uint32)
+        for at in range(0, len(shingles), 1024):
+            least = np.minimum(least, (shingles[at : at + 1024] * self._factor + self._shift).min(1))
+            least32 = np.minimum(least32, (half[at : at + 1024] * self._factor32 + self._shift32).min(1))
+        posted = mix64(least + self._place)
+        return posted.astype(np.int64), np.concatenate([posted, mix64(least32.astype(np.uint64) + self._place32)]).astype(np.uint8).tobytes()
+
+
+def signatures(docs: DataFrame, *, size: int = 5) -> DataFrame:
+    """``doc_id, n_shingles, f1, f2, sig, packed``; the last four are null for an empty set. Equal sets have equal (f1, f2, n_shingles)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         forget()
-        hasher = WordHasher()
-        factor, shift = odd_constants(coordinates, 31)[:, None], odd_constants(coordinates, 37)[:, None]
-        place = odd_constants(coordinates, 41)
+        hasher, sign = WordHasher(), Signer()
         for batch in batches:
-            n, f1, f2, sig = [], [], [], []
+            rows = []
             for text in batch.column(1).cast(pa.large_binary()):
                 shingles = np.unique(shingle_hashes(hasher.words(text.as_py() or b""), size))
-                n.append(len(shingles))
                 if not len(shingles):
-                    f1.append(None), f2.append(None), sig.append(None)
+                    rows.append((0, None, None, None, None))
                     continue
-                f1.append(int(np.bitwise_xor.reduce(shingles).astype(np.int64)))
-                f2.append(int(mix64(shingles + np.uint64(5)).sum(dtype=np.uint64).astype(np.int64)))
-                least = np.full(coordinates, np.iinfo(np.uint64).max)
-                for at in range(0, len(shingles), 4096):
-                    least = np.minimum(least, (shingles[at : at + 4096] * factor + shift).min(1))
-                sig.append(mix64(least + place).astype(np.int64))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), pa.array(sig, pa.list_(pa.int64()))], names=["doc_id", "n_shingles", "f1", "f2", "sig"])
-
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_shingles long, f1 long, f2 long, sig array<bigint>")
-
-
-def _packed(sig: Column, coordinates: int) -> Column:
-    """The lowest byte of each coordinate, eight to a long."""
-    words = []
-    for at in range(0, coordinates, 8):
-        word = F.lit(0).cast("long")
-        for k in range(min(8, coordinates - at)):
-            word = word.bitwiseOR(F.shiftleft(sig[at + k].bitwiseAND(F.lit(255)), 8 * k))
-        words.append(word)
-    return F.array(*words)
-
-
-def _agreements(x: str, y: str, words: int) -> str:
-    """SQL that counts equal bytes of two arrays of longs; never below the number of equal coordinates."""
-    one = []
-    for i in range(words):
-        z = f"({x}[{i}] ^ {y}[{i}])"
-        z = f"({z} | (shiftrightunsigned({z}, 4) & 1085102592571150095L))"
-        one.append(z)
-    fold = lambda z, k, m: f"({z} | (shiftrightunsigned({z}, {k}) & {m}L))"
-    counts = [f"(8 - bit_count({fold(fold(z, 2, 0x3F3F3F3F3F3F3F3F), 1, 0x7F7F7F7F7F7F7F7F)} & 72340172838076673L))" for z in one]
-    return " + ".join(counts)
+                sig, packed = sign(shingles)
+                rows.append((len(shingles), int(np.bitwise_xor.reduce(shingles).astype(np.int64)), int(mix64(shingles + np.uint64(5)).sum(dtype=np.uint64).astype(np.int64)), sig, packed))
+            types = (pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.binary())
+            yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(c, t) for c, t in zip(zip(*rows) if rows else [[]] * 5, types)]], names=["doc_id", "n_shingles", "f1", "f2", "sig", "packed"])
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_shingles long, f1 long, f2 long, sig array<bigint>, packed binary")
 
 
 def _sets(docs: DataFrame, ids: DataFrame, size: int) -> DataFrame:
     """``id, members binary``: sorted shingle hashes of the documents named in ``ids(id)``."""
-    if ids.count() <= BROADCAST_IDS:
-        ids = F.broadcast(ids)
-    rows = docs.select(F.col("doc_id").cast("long").alias("id"), "text").join(ids, "id", "left_semi")
+    rows = named_in(docs.select("doc_id", "text"), ids, "doc_id").select(F.col("doc_id").cast("long").alias("id"), "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         forget()
@@ -125,87 +131,96 @@ def confirmed(docs: DataFrame, pairs: DataFrame, *, size: int = 5, percent: int
     return pairs.select("a", "b").join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
 
 
-def _postings(classes: DataFrame, coordinates: int, matches: int) -> DataFrame:
-    """``token, cls, packed``: the rarest values of each class that other classes have too."""
+def _postings(classes: DataFrame, matches: int) -> DataFrame:
+    """``token, df, cls``: the rarest values of each class that other classes have too."""
     tokens = classes.select("cls", F.explode("sig").alias("token"))
-    shared = tokens.groupBy("token").agg(F.count(F.lit(1)).alias("df")).where(F.col("df") >= 2)
+    shared = materialize(tokens.groupBy("token").agg(F.count(F.lit(1)).alias("df")).where(F.col("df") >= 2), "tokens")  # as a table, so that the join can split hot values
     ranked = tokens.join(shared, "token").groupBy("cls").agg(F.array_sort(F.collect_set(F.struct("df", "token"))).alias("t")).where(F.size("t") >= matches)
-    prefix = ranked.select("cls", F.explode(F.slice("t", F.lit(1), F.size("t") - (matches - 1))).alias("t")).select("cls", F.col("t.token").alias("token"))
-    return prefix.join(classes.select("cls", _packed(F.col("sig"), coordinates).alias("packed")), "cls").select("token", "cls", "packed")
+    return ranked.select("cls", F.explode(F.slice("t", F.lit(1), F.size("t") - (matches - 1))).alias("t")).select("t.token", "t.df", "cls")
+
+
+def _part(rows: Column) -> tuple[Column, Column]:
+    """(part of a list of so many rows that a class goes to, all parts), for joins of a list with itself or its hubs."""
+    parts = F.ceil(rows / LIST_ROWS).cast("long")
+    return F.pmod(F.xxhash64("cls"), parts), F.sequence(F.lit(0).cast("long"), parts - 1)
 
 
-def _mixed(posted: DataFrame, key: str) -> DataFrame:
-    """The rows of lists that hold several components, with the list's most frequent one as ``major``."""
-    sizes = posted.groupBy(key, "comp").agg(F.count(F.lit(1)).alias("n"))
-    mixed = sizes.groupBy(key).agg(F.max_by("comp", F.struct("n", "comp")).alias("major"), F.count(F.lit(1)).alias("comps")).where(F.col("comps") >= 2)
-    return posted.join(mixed.select(key, "major"), key)
+def _bytes(column: pa.Array) -> np.ndarray:
+    """Packed signatures, a row each."""
+    return np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(len(column), -1)
 
 
-def _exploded(sets: DataFrame) -> DataFrame:
-    """``id, mark, n, h`` for each shingle of ``sets(id, members)``; ``mark`` tells sets of one id apart."""
+def _with_hubs(postings: DataFrame, signed: DataFrame, hubs: int, percent: int) -> DataFrame:
+    """``a, b``: members of lists with hubs of theirs, where their signatures collide often enough."""
+    hub = lambda k: F.min_by("cls", F.xxhash64(F.lit(k), "cls")) if k else F.min("cls")
+    lists = postings.groupBy("token").agg(F.array_distinct(F.array(*[hub(k) for k in range(hubs)])).alias("hubs"), F.count(F.lit(1)).alias("rows"), F.first("df").alias("df")).where(F.col("rows") >= 2)
+    part, parts = _part(F.col("df"))
+    split = lists.select("token", "hubs", F.explode(parts).alias("part"))
+    met = postings.withColumn("part", part).join(split.hint("merge"), ["token", "part"]).select("cls", F.explode("hubs").alias("hub")).where(F.col("cls") != F.col("hub"))
+    pairs = met.select(F.least("cls", "hub").alias("a"), F.greatest("cls", "hub").alias("b")).distinct()
+    left, right = (signed.select(F.col("cls").alias(c), F.col("n").alias(f"n_{c}"), F.col("packed").alias(f"p_{c}")).hint("merge") for c in "ab")
+    joined = pairs.join(left, "a").join(right, "b").where(100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))
+    least = least_matches(COUNTED, percent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for start in range(0, batch.num_rows, 256):
-                part = batch.slice(start, 256)
-                members = [np.frombuffer(m.as_buffer(), np.int64) for m in part.column(1)]
-                n = np.array([len(h) for h in members])
-                marks = np.array([np.bitwise_xor.reduce(h) for h in members])
-                columns = [np.repeat(part.column(0).to_numpy(), n), np.repeat(marks, n), np.repeat(n, n), np.concatenate(members)]
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["id", "mark", "n", "h"])
+            if batch.num_rows:
+                yield batch.select([0, 1]).filter(pa.array((_bytes(batch.column(2)) == _bytes(batch.column(3))).sum(1) >= least))
 
-    return sets.select("id", "members").mapInArrow(run, "id long, mark long, n long, h long")
+    return joined.select("a", "b", "p_a", "p_b").mapInArrow(run, "a long, b long")
 
 
-#: Longs of a set's parity bitmap.
-BITMAP_WORDS = 8
+def _open_lists(postings: DataFrame, labels: DataFrame) -> DataFrame:
+    """``token, rows, major, cls, comp`` of lists that hold several components; ``major`` has most of the list."""
+    named = postings.select("token", "cls").join(labels.withColumnRenamed("vertex", "cls"), "cls", "left").select("token", "cls", F.coalesce("component", "cls").alias("comp"))
+    named = materialize(named, "named")
+    sizes = named.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("k"))
+    mixed = sizes.groupBy("token").agg(F.max_by("comp", F.struct("k", "comp")).alias("major"), F.count(F.lit(1)).alias("comps"), F.sum("k").alias("rows")).where(F.col("comps") >= 2)
+    return named.join(materialize(mixed.select("token", "major", "rows"), "mixed"), "token")
 
 
-def _bitmaps(sets: DataFrame) -> DataFrame:
-    """``id, mark, bits``: for each bit whether an odd number of the set's shingles fall on it.
+def _near_components(lists: DataFrame, signed: DataFrame, ids: DataFrame, percent: int) -> DataFrame:
+    """``cls, other``: classes with each other component of which a member shares a list and enough of the signature.
 
-    Bits in which two sets differ never outnumber the shingles that only one of them has.
+    A task holds a part of a list, sorted by size, and streams the list's
+    classes outside its major component past it; what it puts out is one row
+    for each class and component. Of two components neither of which is the
+    major one the smaller asks.
     """
+    part, parts = _part(F.col("rows"))
+    rows = materialize(lists.join(ids, ["cls", "comp"]).join(signed.hint("merge"), "cls"), "open")
+    columns = ["token", "part", "is_query", "n", "cls", "comp", "size", "major", "packed"]
+    held = rows.withColumn("part", part).withColumn("is_query", F.lit(0)).select(*columns)
+    asked = rows.where(F.col("comp") != F.col("major")).withColumn("part", F.explode(parts)).withColumn("is_query", F.lit(1)).select(*columns)
+    tasks = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    placed = held.unionByName(asked).repartition(tasks, "token", "part").sortWithinPartitions("token", "part", "is_query", "n", "cls")
+    least = least_matches(COUNTED, percent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, held, index = None, [], None
         for batch in batches:
-            members = [np.frombuffer(m.as_buffer(), np.uint64) for m in batch.column(1)]
-            marks = [int(np.bitwise_xor.reduce(h.view(np.int64))) for h in members]
-            bits = [np.packbits(np.bincount((h >> np.uint64(7)).astype(np.int64) % (64 * BITMAP_WORDS), minlength=64 * BITMAP_WORDS) & 1 != 0).view(np.int64).tolist() for h in members]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(marks, pa.int64()), pa.array(bits, pa.list_(pa.int64()))], names=["id", "mark", "bits"])
-
-    return sets.select("id", "members").mapInArrow(run, "id long, mark long, bits array<bigint>")
-
-
-def _near_components(sets: DataFrame, ids: DataFrame, percent: int) -> DataFrame:
-    """``cls, other``: documents of ``ids(cls, comp, size)`` with each larger component that may hold a link to them.
+            found: set[tuple[int, int]] = set()
+            for token, part, is_query, n, cls, comp, size, major, packed in zip(*(batch.column(i).to_pylist() for i in range(9))):
+                if (token, part) != at:
+                    at, held, index = (token, part), [], None
+                if not is_query:
+                    held.append((n, comp, size, packed))
+                    continue
+                if not held:
+                    continue
+                if index is None:
+                    sizes, comps, weights, raw = zip(*held)
+                    index = np.array(sizes), np.array(comps), np.array(weights), np.frombuffer(b"".join(raw), np.uint8).reshape(len(raw), -1)
+                sizes, comps, weights, signs = index
+                low, high = np.searchsorted(100 * sizes, percent * n), np.searchsorted(percent * sizes, 100 * n, "right")
+                others, weights = comps[low:high], weights[low:high]
+                asks = (others != comp) & ((others == major) | (size < weights) | ((size == weights) & (comp < others)))
+                near = others[asks][(signs[low:high][asks] == np.frombuffer(packed, np.uint8)).sum(1) >= least]
+                found.update((cls, other) for other in set(near.tolist()))
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found)], names=["cls", "other"])
 
-    A prefix join on full sets: shingles in the order of rarity among these
-    documents; similar sets share one of the rarest (100 - percent) % of each,
-    and where it stands bounds what they can share at all; so do the bits in
-    which their bitmaps differ. A component appears in a list once for each
-    range of set sizes, with its best bound, so a large one costs a document no
-    more than a small one.
-    """
-    rows = materialize(_exploded(sets), "shingles")
-    shared = rows.groupBy("h").agg(F.count(F.lit(1)).alias("df")).where(F.col("df") >= 2)
-    listed = rows.join(shared, "h").groupBy("id", "mark", "n").agg(F.array_sort(F.collect_list(F.struct("df", "h"))).alias("t"))
-    listed = listed.join(_bitmaps(sets), ["id", "mark"])
-    alone = F.col("n") - F.size("t")
-    prefix = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1 - alone
-    posts = listed.where(prefix > 0).select("id", "n", "bits", alone.alias("alone"), F.posexplode(F.slice("t", F.lit(1), prefix.cast("int"))).alias("i", "t"))
-    posts = posts.select(F.col("t.h").alias("h"), F.col("id").alias("cls"), "n", "bits", (F.col("n") - F.col("alone") - F.col("i")).alias("rest")).join(ids, "cls")
-    posts = materialize(_mixed(posts.select("h", "cls", "n", "bits", "rest", "comp", "size"), "h").drop("major"), "set-prefixes")
-    scale = F.floor(F.log(F.col("n").cast("double")) * 8).alias("scale")
-    best = posts.groupBy("h", "comp", "size", scale).agg(F.min("n").alias("least"), F.max("n").alias("most"), F.max("rest").alias("best"), F.count(F.lit(1)).alias("docs"), F.first("bits").alias("other_bits"))
-    best = best.select("h", F.col("comp").alias("other"), F.col("size").alias("other_size"), "least", "most", "best", "docs", "other_bits")
-    smaller = (F.col("size") < F.col("other_size")) | ((F.col("size") == F.col("other_size")) & (F.col("comp") < F.col("other")))
-    near = 100 * F.least("n", "most") >= percent * F.greatest("n", "least")
-    reach = F.least("rest", "best") * (100 + percent) >= percent * (F.col("n") + F.col("least"))
-    both, apart = F.col("n") + F.col("least"), F.expr(" + ".join(f"bit_count(bits[{i}] ^ other_bits[{i}])" for i in range(BITMAP_WORDS)))
-    close = (F.col("docs") > 1) | ((both - apart) * (100 + percent) >= both * (2 * percent))
-    met = posts.alias("x").join(best.alias("y"), (F.col("x.h") == F.col("y.h")) & smaller & near & reach & close)
-    return met.select("cls", "other").distinct()
+    return placed.mapInArrow(run, "cls long, other long").distinct()
 
 
 #: Members of a component that are compared with a document at a time.
@@ -264,46 +279,41 @@ def _links_to_components(sets: DataFrame, ids: DataFrame, asked: DataFrame, perc
     return placed.mapInArrow(run, "a long, b long")
 
 
-def near_duplicates(
-    docs: DataFrame, *, size: int = 5, percent: int = 75, coordinates: int = COORDINATES, matches: int = MATCHES, hubs: int = HUBS
-) -> DataFrame:
-    """One row per document: ``doc_id, n_shingles, component_id, kept``.
+def near_duplicates(docs: DataFrame, *, size: int = 5, percent: int = 75, hubs: int = HUBS) -> DataFrame:
+    """One row per row of ``docs(doc_id, text)``: ``doc_id, n_shingles, component_id, kept``.
 
-    Rows that repeat a doc_id are one document. Without doc_id a row takes no
-    part: its component is null and ``kept`` is true. A document without words
-    is its own component. Signature agreement decides which pairs are compared,
-    so a pair exactly at the threshold is missed with a probability of 1e-5.
+    Rows that repeat a doc_id are one document, which links with all that one
+    of its texts links with. Without doc_id a row takes no part: its component
+    is null and ``kept`` is true. A document without words is its own
+    component. Collisions decide which pairs are compared, so a pair exactly at
+    the threshold is missed with a probability of about 2 * ``MISSED``.
     """
     small_batches(docs.sparkSession)
-    rows = materialize(signatures(docs, size=size, coordinates=coordinates), "signatures")
+    docs = only(docs, "doc_id", "text")
+    rows = materialize(signatures(docs, size=size), "signatures", whole=True)
     named = rows.where(F.col("sig").isNotNull() & F.col("doc_id").isNotNull())
-    classes = materialize(named.groupBy("f1", "f2", "n_shingles").agg(F.min("doc_id").alias("cls"), F.first("sig").alias("sig")), "classes")
-    postings = materialize(_postings(classes, coordinates, matches), "postings")
-    words = -(-coordinates // 8)
-
-    def hub(k: int) -> Column:
-        me = F.struct("cls", "packed")
-        return F.min_by(me, F.xxhash64(F.lit(k), "cls")) if k else F.min(me)
-
-    lists = postings.groupBy("token").agg(F.array_distinct(F.array(*[hub(k) for k in range(hubs)])).alias("hubs"), F.count(F.lit(1)).alias("n")).where(F.col("n") >= 2)
-    stars = postings.join(lists.select("token", "hubs"), "token").select("cls", "packed", F.explode("hubs").alias("hub")).where(F.col("cls") != F.col("hub.cls"))
-    stars = stars.where(F.expr(f"{_agreements('packed', 'hub.packed', words)} >= {matches}"))
-    pairs = stars.select(F.least("cls", "hub.cls").alias("a"), F.greatest("cls", "hub.cls").alias("b")).distinct()
-    first = materialize(pairs, "pairs")
+    classes = named.groupBy("f1", "f2", "n_shingles").agg(F.min("doc_id").alias("cls"), F.first("sig").alias("sig"), F.first("packed").alias("packed"))
+    classes = materialize(classes.withColumnRenamed("n_shingles", "n"), "classes")
+    signed = classes.select("cls", "n", "packed")
+    postings = materialize(_postings(classes, least_matches(COORDINATES, percent)), "postings")
+    first = materialize(_with_hubs(postings, signed, hubs, percent), "pairs")
     links = materialize(confirmed(docs, first, size=size, percent=percent), "links")
     labels = materialize(connected_components(links), "labels")
 
-    # What is left: pairs of different components that meet in a list.
-    posted = postings.select("token", "cls").join(labels.withColumnRenamed("vertex", "cls"), "cls", "left").select("token", "cls", F.coalesce("component", "cls").alias("comp"))
-    open_ids = _mixed(posted, "token").select("cls", "comp").distinct()
-    sizes = open_ids.groupBy("comp").agg(F.count(F.lit(1)).alias("size"))
-    open_ids = materialize(open_ids.join(sizes, "comp").select("cls", "comp", "size"), "open")
-    sets = materialize(_sets(docs, open_ids.select(F.col("cls").alias("id")).distinct(), size), "sets")
-    asked = materialize(_near_components(sets, open_ids, percent), "asked")
-    more = materialize(_links_to_components(sets, open_ids, asked, percent), "links")
-    final = connected_components(links.unionByName(more)) if not more.isEmpty() else labels
-
-    known = classes.select("f1", "f2", "n_shingles", "cls").join(final.withColumnRenamed("vertex", "cls"), "cls", "left")
+    # What is left: documents of different components that meet in a list.
+    lists = materialize(_open_lists(postings, labels), "lists")
+    ids = lists.select("cls", "comp").distinct()
+    ids = materialize(ids.join(ids.groupBy("comp").agg(F.count(F.lit(1)).alias("size")), "comp").select("cls", "comp", "size"), "members")
+    asked = materialize(_near_components(lists, signed, ids, percent), "asked")
+    if not asked.isEmpty():
+        wanted = asked.select(F.col("other").alias("comp")).distinct()
+        needed = asked.select("cls").unionByName(ids.join(wanted, "comp", "left_semi").select("cls")).distinct()
+        sets = materialize(_sets(docs, needed.withColumnRenamed("cls", "id"), size), "sets")
+        more = materialize(_links_to_components(sets, ids, asked, percent), "links")
+        if not more.isEmpty():
+            labels = materialize(connected_components(links.unionByName(more)), "labels")
+
+    known = classes.select("f1", "f2", F.col("n").alias("n_shingles"), "cls").join(labels.withColumnRenamed("vertex", "cls"), "cls", "left")
     known = known.select("f1", "f2", "n_shingles", F.coalesce("component", "cls").alias("known"))
     joined = rows.select("doc_id", "n_shingles", "f1", "f2").join(known, ["f1", "f2", "n_shingles"], "left")
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("known", "doc_id"))
