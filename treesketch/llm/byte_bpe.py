@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treesketch.llm.storage import small_batches
+from treesketch.llm.storage import only, small_batches
 from treesketch.llm.wordpieces import text_groups
 from treesketch.llm.worker import kept
 
@@ -140,7 +140,7 @@ def encode_byte_bpe(docs: DataFrame, *, ranks: str | None = None, pattern: str |
                 flat = np.concatenate(ids) if ids else np.zeros(0, "<u4")
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.ListArray.from_arrays(pa.array(stops), pa.array(flat.astype(np.int32)))], names=["doc_id", "ids"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, ids array<int>")
+    return only(docs, "doc_id", "text").select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, ids array<int>")
 
 
 def decode_byte_bpe(encoded: DataFrame, *, ranks: str | None = None) -> DataFrame:

@@ -13,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from treesketch.llm.storage import materialize
+from treesketch.llm.storage import Columns, materialize, only
 
 #: White space stripped from a line's ends, and the letters that are lower-cased (fixed values).
 STRIPPED = "\x20\x09\x0a\x0b\x0c\x0d"
@@ -26,7 +26,7 @@ def _rows(docs: DataFrame) -> DataFrame:
     """``dk, th, text``: what a row is known by. A row without doc_id is its own document."""
     text = F.coalesce(F.col("text"), F.lit(""))
     th = F.xxhash64(text)
-    return docs.select(F.coalesce(F.col("doc_id").cast("long"), th).alias("dk"), th.alias("th"), text.alias("text"), F.col("doc_id").cast("long").alias("doc_id"))
+    return only(docs, "doc_id", "text").select(F.coalesce(F.col("doc_id").cast("long"), th).alias("dk"), th.alias("th"), text.alias("text"), F.col("doc_id").cast("long").alias("doc_id"))
 
 
 def line_hashes(docs: DataFrame, min_chars: int = 1) -> DataFrame:
@@ -55,7 +55,7 @@ def keep_bitmaps(docs: DataFrame, *, min_docs: int = 10, min_chars: int = 1, kee
     """
     if keep not in ("none", "first"):
         raise ValueError("keep is 'none' or 'first'")
-    hashes = materialize(line_hashes(docs, min_chars), "lines")
+    hashes = materialize(line_hashes(docs, min_chars), "lines", whole=True)
     keys = materialize(frequent_keys(hashes, min_docs), "line-keys")
     small = keys if keep == "first" else keys.select("h1", "h2")
     if keys.count() <= BROADCAST_KEYS:
@@ -82,20 +82,21 @@ def drop_lines(docs: DataFrame, bitmaps: DataFrame, *, least_left: float = 0.0)
     """``docs`` with ``text`` rebuilt from the lines its bitmap keeps, and ``n_lines, n_dropped``.
 
     A document of which less than the share ``least_left`` of its characters
-    would be left keeps all its lines.
-    Works on whole rows: other columns pass through, whatever their names but
-    for ``dk, th, dropped`` with the prefix ``_line_``.
+    would be left keeps all its lines. Works on whole rows; given columns
+    ``n_lines`` and ``n_dropped``, in any case, make way for the new ones, all
+    others pass through, whatever their names.
     """
-    text = F.coalesce(F.col("text"), F.lit(""))
+    given = Columns(docs)
+    text = F.coalesce(F.col(given["text"]), F.lit(""))
     th = F.xxhash64(text)
-    rows = docs.withColumn("_line_th", th).withColumn("_line_dk", F.coalesce(F.col("doc_id").cast("long"), th))
-    maps = bitmaps.select(F.col("dk").alias("_line_dk"), F.col("th").alias("_line_th"), F.col("dropped").alias("_line_dropped"), F.col("n_dropped").alias("_line_n"))
-    joined = rows.join(maps, ["_line_dk", "_line_th"], "left")
+    rows = given.frame.select("*", th.alias("th"), F.coalesce(F.col(given["doc_id"]).cast("long"), th).alias("dk"))
+    joined = rows.join(bitmaps.select("dk", "th", "dropped", F.col("n_dropped").alias("n")), ["dk", "th"], "left")
     lines = F.split(text, "\n", -1)
-    kept = F.when(F.col("_line_dropped").isNull(), text).otherwise(F.array_join(kept_lines(lines, F.col("_line_dropped")), "\n"))
-    n_dropped = F.coalesce("_line_n", F.lit(0))
+    kept = F.when(F.col("dropped").isNull(), text).otherwise(F.array_join(kept_lines(lines, F.col("dropped")), "\n"))
+    n_dropped = F.coalesce("n", F.lit(0))
     if least_left > 0:
         whole = F.length(kept) < least_left * F.length(text)
         kept, n_dropped = F.when(whole, text).otherwise(kept), F.when(whole, F.lit(0)).otherwise(n_dropped)
-    names = [c for c in docs.columns if c not in ("text", "n_lines", "n_dropped")]
-    return joined.select(*[F.col(f"`{c}`") for c in names], kept.alias("text"), F.size(lines).cast("long").alias("n_lines"), n_dropped.cast("long").alias("n_dropped"))
+    places = [i for i in given.others(("n_lines", "n_dropped")) if i != given.place("text")]
+    chosen = joined.select(*[f"_{i}" for i in places], kept.alias("text"), F.size(lines).cast("long").alias("n_lines"), n_dropped.cast("long").alias("n_dropped"))
+    return given.named(chosen, places, ("text", "n_lines", "n_dropped"))
