@@ -16,7 +16,7 @@ from treesketch.llm.near_dedup import near_duplicates
 from treesketch.llm.packing import pack_pieces, token_pieces
 from treesketch.llm.passages import remove_repeats
 from treesketch.llm.queries import GOOD
-from treesketch.llm.storage import materialize
+from treesketch.llm.storage import materialize, named_in, only, release_scratch, written
 
 #: A document of which the line stage would leave less than this share of its characters is a copy among ten and stays whole for the near-duplicate stage.
 LEAST_LEFT = 0.5
@@ -31,29 +31,41 @@ def _like_documents(docs: DataFrame) -> DataFrame:
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose quality score is ``GOOD`` at least; the model is fitted on the given labels."""
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", F.col("quality").alias("label"))
+    docs = only(docs, *COLUMNS)
     return score_quality(docs, fit_quality(docs, labels)).where(F.col("score") >= GOOD).select(*COLUMNS)
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without the lines that ten of them have; a document that is mostly such lines stays whole."""
+    docs = only(docs, *COLUMNS)
     return _like_documents(drop_lines(docs, keep_bitmaps(docs, min_docs=10), least_left=LEAST_LEFT))
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates; documents without words or id are groups of their own."""
-    kept = near_duplicates(docs).where(F.col("kept") & F.col("doc_id").isNotNull()).select("doc_id").distinct()
-    named = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*COLUMNS)
-    return named.unionByName(docs.where(F.col("doc_id").isNull()).select(*COLUMNS))
+    """One document of each group of near duplicates; documents without words or id are groups of their own.
+
+    Rows that repeat a doc_id are one document: each of its different texts
+    stays, once, with the least of its other columns, or all of them go.
+    """
+    docs = only(docs, *COLUMNS)
+    groups = materialize(near_duplicates(docs), "groups").where(F.col("doc_id").isNotNull())
+    kept = named_in(docs, groups.where("kept").select(F.col("doc_id").alias("id")).distinct(), "doc_id")
+    twice = materialize(groups.groupBy(F.col("doc_id").alias("id")).agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("id"), "repeated")
+    if not twice.isEmpty():
+        rest = F.struct(*COLUMNS[2:])
+        once = named_in(kept, twice, "doc_id").groupBy("doc_id", "text").agg(F.min(rest).alias("rest")).select("doc_id", "text", "rest.*")
+        kept = named_in(kept, twice, "doc_id", "left_anti").unionByName(once)
+    return kept.unionByName(docs.where(F.col("doc_id").isNull()))
 
 
 def passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without passages of fifty words or more that an earlier document has."""
-    return _like_documents(remove_repeats(docs))
+    return _like_documents(remove_repeats(only(docs, *COLUMNS)))
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token pieces placed in sequences of 4096: doc_id, piece, start, length, ids_crc32, sequence_id, offset."""
-    pieces = token_pieces(docs, end_id=1, capacity=4096)
+    pieces = token_pieces(only(docs, *COLUMNS), end_id=1, capacity=4096)
     return pack_pieces(pieces.select("doc_id", "piece", "start", "length", F.crc32("ids").alias("ids_crc32")), capacity=4096)
 
 
@@ -64,7 +76,10 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages in order, each written and read again; the tables that a stage wrote on its way are deleted once its result stands."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES:
-        docs = materialize(stage(spark, docs, sf_dir), f"stage-{name.replace(' ', '-')}")
+        before = written()
+        docs = materialize(stage(spark, docs, sf_dir), f"stage-{name.replace(' ', '-')}", whole=True)
+        release_scratch(spark, before, keep=1)
     return docs
