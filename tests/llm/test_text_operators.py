@@ -149,8 +149,10 @@ def test_chain_equals_brute_force():
 def test_alignment_passes_small_edits():
     x = np.arange(100, dtype=np.uint32)
     y = np.concatenate([np.arange(500, 520), x[10:40], [999], x[41:90]]).astype(np.uint32)
-    start, end, agreed = passages.align(x, y, np.array([12, 60]), np.array([22, 70]))
-    assert (start, end) == (10, 90) and agreed == 79
+    start, agreeing = passages.align(x, y, np.array([12, 60]), np.array([22, 70]))
+    assert start == 10 and len(agreeing) == 80 and agreeing.sum() == 79 and not agreeing[30]
+    assert passages.repeated_parts(agreeing) == [(0, 80)]
+    assert len(passages.align(x, y + 1000, np.array([12, 60]), np.array([22, 70]))[1]) == 0  # seeds whose words differ
 
 
 # 4 and 6 token output and packing
@@ -159,7 +161,7 @@ def test_alignment_passes_small_edits():
 def test_encoder_equals_the_library():
     rng = np.random.default_rng(4)
     alphabet = ["a", "Be", "É", "é", "İ", "ß", "Σ", "1", "²", "'s", "'", ".", ",", "..", "_", "%%", " ", " ", "\n", "\t", "é", "漢", "😀", "<|endoftext|>", "\r", "\x85", "|", "ŉ"]
-    texts = ["".join(rng.choice(alphabet, rng.integers(0, 20))) for _ in range(2000)] + [None, ""]
+    texts = ["".join(rng.choice(alphabet, rng.integers(0, 20))) for _ in range(4000)] + [None, "", "Word.\x1c", "U.S.\x1c"]
     encoder = wordpieces.WordPieceEncoder(P.path("word_bpe_49k.json"), keep=50)
     got = encoder.encode(texts)
     assert [np.frombuffer(g, "<u2").tolist() for g in got] == [e.ids for e in encoder.tokenizer.encode_batch([t or "" for t in texts], add_special_tokens=False)]
@@ -178,6 +180,9 @@ def test_elias_fano(values, more):
 
 def test_token_dataset_round_trip(spark, odd, empty, tmp_path):
     path = token_shards.write_token_dataset(odd, f"{tmp_path}/a", end_id=2, shards=4, block_tokens=64)
+    by_id = {d: sorted((r.start, r.n_tokens, bytes(r.ids)) for r in token_shards.read_document(spark, path, d).collect()) for d in (1, 6, -5, 9, 77)}
+    everything = token_shards.read_token_dataset(spark, path).collect()
+    assert by_id == {d: sorted((r.start, r.n_tokens, bytes(r.ids)) for r in everything if r.doc_id == d) for d in by_id} and len(by_id[6]) == 2 and not by_id[77]
     got = token_shards.read_token_dataset(spark, path).collect()
     order = sorted(got, key=lambda r: r.start)
     assert sum(r.n_tokens for r in order) == order[-1].start + order[-1].n_tokens
