@@ -9,7 +9,7 @@ from treesketch.learning.blocks import embedding_blocks
 from treesketch.learning.gradients import Linear, Perceptron, Softmax, logistic
 from treesketch.learning.schedule import schedule_at, warmup_schedule
 from treesketch.learning.simulate import Problem, simulate
-from treesketch.learning.trainer import METHODS, TrainSpec, evaluate, train
+from treesketch.learning.trainer import METHODS, TrainSpec, evaluate, train, train_all
 
 SMALL = replace(runs.SMALL, steps=4, evaluate_every=4, sketch=SketchSpec(5, 256, 7))
 
@@ -49,6 +49,40 @@ def test_one_process_loop_gives_the_same_run(small, method):
     assert np.allclose(a.weights, b["weights"]) and sum(t["values"] for t in a.trace) == b["values"]
 
 
+@pytest.mark.parametrize("options", [dict(warmup=True, steps_per_epoch=1, steps=5), dict(momentum=0.5, steps=3)])
+def test_runs_that_share_jobs_equal_the_loop(small, options):
+    """All five methods at once; under warm-up the k changes with each step."""
+    specs = {m: replace(SMALL, method=m, evaluate_every=9, **options) for m in METHODS}
+    problem, got = Problem(small, 64), train_all(small, specs)
+    for m, spec in specs.items():
+        want = simulate(problem, spec)
+        assert np.allclose(got[m].weights, want["weights"], rtol=0, atol=1e-12) and sum(t["values"] for t in got[m].trace) == want["values"]
+        assert np.allclose([t["loss"] for t in got[m].trace], want["losses"])
+    assert small.is_cached
+
+
+def test_a_step_shuffles_batches_and_messages_only(spark, tiny):
+    """Rows that the first job shuffles: one for each worker and task, whatever the number of examples; top-k messages have k numbers."""
+    from treesketch.learning import trainer
+    from treesketch.plans.rewrites import shuffle_metrics
+
+    blocks = runs.small_blocks(spark, tiny)
+    sizes = []
+    for copies in (1, 30):
+        many = blocks
+        for _ in range(copies - 1):
+            many = many.unionByName(blocks)
+        placed = trainer.place(many, 4)
+        placed.count()
+        spec = replace(SMALL, method="tree_topk", k=7)
+        now = {"a": {"weights": spec.model.start(1), "sent": None, "k": 7}}
+        local = trainer._local_vectors(placed, None, {"a": spec}, now, 1).persist()
+        assert all(len(r["at"]) == 28 and len(r["message"]) == 56 for r in local.select("at", "message").collect())
+        sizes.append(shuffle_metrics(trainer._minibatch(placed, 16, 1, 1).repartition(4, "worker").select("worker"))["records"])
+        placed.unpersist(), local.unpersist()
+    assert sizes[0] == sizes[1] <= 8
+
+
 def test_too_small_k_harms_and_the_signed_test_does_worse(spark, tiny):
     """Loose guards on a small table, not evidence: k = 4 against k = 65, and the signed comparison at k = 65."""
     problem = Problem(runs.small_blocks(spark, tiny), 64)

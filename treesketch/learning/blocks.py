@@ -84,3 +84,22 @@ class Block:
             at = slice(self.starts[k], self.starts[k + 1])
             x[i, self.index[at]] = self.value[at]
         return x
+
+    def some(self, take: np.ndarray) -> dict:
+        """A row of the chosen examples only."""
+        sizes = self.starts[take + 1] - self.starts[take]
+        starts = np.concatenate([[0], np.cumsum(sizes)])
+        at = np.repeat(self.starts[take] - starts[:-1], sizes) + np.arange(starts[-1])
+        parts = {"keys": self.keys[take], "labels": self.labels[take], "index": self.index[at], "value": self.value[at], "starts": starts.astype(np.int64)}
+        return {"n": len(take)} | {c: x.tobytes() for c, x in parts.items()}
+
+
+def joined(rows: list[dict]) -> dict:
+    """Rows of blocks as one."""
+    if len(rows) == 1:
+        return rows[0]
+    starts, shift = [np.zeros(1, np.int64)], 0
+    for row in rows:
+        starts.append(np.frombuffer(row["starts"], np.int64)[1:] + shift)
+        shift = int(starts[-1][-1]) if len(starts[-1]) else shift
+    return {"n": sum(r["n"] for r in rows), "starts": np.concatenate(starts).tobytes()} | {c: b"".join(r[c] for r in rows) for c in ("keys", "labels", "index", "value")}

@@ -1,12 +1,17 @@
 """Synchronous data-parallel training with every method of exchange.
 
-A step is two small jobs. The first computes each worker's gradient next to its
-examples, adds what earlier steps left unsent, and merges the compressed
-vectors along the method's topology; what comes to the driver is the merged
-message, of fixed size. The second fetches the exact values on the support. With
-a residual the workers' vectors go through the shared checkpoint folder from
-step to step; batches and hashes depend on keys and step alone, so a lost
-executor's part is recomputed to the same values.
+Examples are dealt out by worker once and stay in memory. A step is three small
+jobs. The first takes each worker's mini-batch next to its examples, computes
+the gradient and adds what earlier steps left unsent; the workers' vectors go
+through the shared checkpoint folder and are deleted a step later. The second
+merges the compressed vectors along the method's topology; what comes to the
+driver is the merged message. The third fetches the exact values on the
+support. So what a step shuffles depends on batch, workers and message, not on
+the number of examples. Batches and hashes depend on keys and step alone, and a
+lost executor's part is recomputed to the same values.
+
+Several runs on the same examples, workers and batches share their jobs; a run
+is a key beside the worker.
 """
 
 from __future__ import annotations
@@ -22,9 +27,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from treesketch.functions.hashing import SketchSpec, np_fill_order
-from treesketch.learning.blocks import Block
+from treesketch.learning.blocks import Block, joined
 from treesketch.learning.schedule import schedule_at
 from treesketch.operators.topology import ledger_lines, rounds
+from treesketch.sources import scratch
 
 METHODS = ("dense", "star_topk", "tree_topk", "star_sketch", "tree_sketch")
 #: Numbers in all workers' vectors together that the array path allows (1 GB); larger models use ``plans.steps`` on frames.
@@ -101,100 +107,180 @@ def np_recover(cells: np.ndarray, spec: SketchSpec, d: int, k: int, how: str, se
     return support, est[support], int(min(heavy.sum(), k))
 
 
-def _local_vectors(blocks: DataFrame, state: DataFrame | None, spec: TrainSpec, weights: np.ndarray, sent: dict | None, step: int) -> DataFrame:
-    """(worker, loss, seconds, compress_seconds, u binary, message binary) with u = gradient + what was left unsent.
+BLOCK_COLUMNS = ("worker", "n", "keys", "labels", "index", "value", "starts")
+LOCAL_SCHEMA = "run string, worker int, loss double, seconds double, compress_seconds double, u binary, at binary, message binary"
+MESSAGE_SCHEMA = "run string, worker int, child int, loss double, seconds double, compress_seconds double, n long, at binary, message binary"
 
-    ``sent`` tells what the last step delivered: those entries of u are cleared first.
+
+def place(blocks: DataFrame, workers: int) -> DataFrame:
+    """The training blocks by worker, in several parts of a worker where there are the cores for it; kept in memory or on disk."""
+    parts = max(1, blocks.sparkSession.sparkContext.defaultParallelism // workers)
+    rows = blocks.where(~F.col("held_out")).select(*BLOCK_COLUMNS)
+    return rows.repartition(workers * parts, "worker", F.pmod(F.xxhash64("keys"), F.lit(parts))).persist(StorageLevel.MEMORY_AND_DISK)
+
+
+def _first(block: Block, batch: int, seed: int, step: int) -> dict:
+    """The ``batch`` examples of a block that the shared order of the step puts first."""
+    order = np_fill_order(block.keys, seed, step)
+    take = np.argpartition(order, batch - 1)[:batch] if len(order) > batch else np.arange(len(order))
+    return block.some(np.sort(take))
+
+
+def _minibatch(placed: DataFrame, batch: int, seed: int, step: int) -> DataFrame:
+    """For each worker and task at most ``batch`` examples that can be in the worker's mini-batch; no shuffle."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, dict] = {}
+        for rows in batches:
+            for row in rows.to_pylist():
+                worker, now = row.pop("worker"), _first(Block(row), batch, seed, step)
+                held[worker] = _first(Block(joined([held[worker], now])), batch, seed, step) if worker in held else now
+        for worker, row in sorted(held.items()):
+            yield pa.RecordBatch.from_arrays([pa.array([worker], pa.int32()), pa.array([row["n"]], pa.int32()), *[pa.array([row[c]], pa.binary()) for c in BLOCK_COLUMNS[2:]]], names=list(BLOCK_COLUMNS))
+
+    return placed.mapInArrow(run, "worker int, n int, keys binary, labels binary, index binary, value binary, starts binary")
+
+
+def _unsent(u: np.ndarray, sent: dict) -> np.ndarray:
+    """What a worker's last vector still owes: all but what the last step delivered of it, by the k of that step."""
+    rest = u.copy()
+    rest[sent["support"] if sent["k"] is None else np.intersect1d(np_top(u, sent["k"]), sent["support"])] = 0.0
+    return rest
+
+
+def _compress(u: np.ndarray, spec: TrainSpec, k: int) -> tuple[bytes | None, bytes]:
+    """A worker's message: coordinates (none for a whole vector or a sketch) and values."""
+    if spec.method.endswith("sketch"):
+        coord = np.arange(len(u))
+        return None, np_sketch(u, spec.sketch, spec.sketch.np_buckets(coord), spec.sketch.np_signs(coord)).tobytes()
+    if spec.method == "dense":
+        return None, u.tobytes()
+    top = np_top(u, k)
+    return top.astype("<i4").tobytes(), u[top].tobytes()
+
+
+def _local_vectors(placed: DataFrame, state: DataFrame | None, specs: dict[str, TrainSpec], now: dict[str, dict], step: int) -> DataFrame:
+    """A row of ``LOCAL_SCHEMA`` for each run and worker, with u = gradient + what was left unsent.
+
+    ``now`` has the weights, the k and what was last sent of each run.
     """
-    model, method, k = spec.model, spec.method, spec.k
-    sketched = method.endswith("sketch")
-    broadcast = blocks.sparkSession.sparkContext.broadcast((weights, sent))
+    one = next(iter(specs.values()))
+    known = placed.sparkSession.sparkContext.broadcast(now)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        w, last = broadcast.value
-        parts: dict[int, list[Block]] = {}
-        left: dict[int, np.ndarray] = {}
+        runs = known.value
+        parts: dict[int, list[dict]] = {}
+        left: dict[tuple[str, int], np.ndarray] = {}
         for batch in batches:
             for row in batch.to_pylist():
                 if row["u"] is not None:
-                    left[row["worker"]] = np.frombuffer(row["u"])
+                    left[row["run"], row["worker"]] = np.frombuffer(row["u"])
                 else:
-                    parts.setdefault(row["worker"], []).append(Block(row))
+                    parts.setdefault(row["worker"], []).append(row)
         for worker in sorted(parts):
-            began = time.perf_counter()
-            chosen = sorted((int(o), b, i) for b, block in enumerate(parts[worker]) for i, o in enumerate(np_fill_order(block.keys, spec.seed, step)))[: spec.batch]
-            x, y = [], []
-            for b, block in enumerate(parts[worker]):
-                take = np.array([i for _, c, i in chosen if c == b], np.int64)
-                x.append(block.dense(take, model.features))
-                y.append(block.labels[take])
-            g, loss = model.gradient(w, np.concatenate(x), np.concatenate(y))
-            compute = time.perf_counter() - began
-            began = time.perf_counter()
-            u = g
-            if spec.residual == "local" and worker in left and last is not None:
-                rest = left[worker].copy()
-                rest[last["support"] if last["by_worker"] is None else np.intersect1d(np_top(rest, k), last["support"])] = 0.0
-                u = g + rest
-            if sketched:
-                coord = np.arange(len(u))
-                message = np_sketch(u, spec.sketch, spec.sketch.np_buckets(coord), spec.sketch.np_signs(coord))
-            elif method == "dense":
-                message = u
-            else:
-                message = np.zeros(len(u))
-                top = np_top(u, k)
-                message[top] = u[top]
-            yield pa.RecordBatch.from_arrays(
-                [pa.array([worker], pa.int32()), pa.array([loss]), pa.array([compute]), pa.array([time.perf_counter() - began]), pa.array([u.tobytes()], pa.binary()), pa.array([message.tobytes()], pa.binary())],
-                names=["worker", "loss", "seconds", "compress_seconds", "u", "message"],
-            )
-
-    columns = ["worker", "n", "keys", "labels", "index", "value", "starts"]
-    rows = blocks.where(~F.col("held_out")).select(*columns, F.lit(None).cast("binary").alias("u"))
+            block = Block(_first(Block(joined(parts[worker])), one.batch, one.seed, step))
+            x = block.dense(np.arange(block.n), one.model.features)
+            for name, spec in specs.items():
+                began = time.perf_counter()
+                u, loss = spec.model.gradient(runs[name]["weights"], x, block.labels)
+                compute, began = time.perf_counter() - began, time.perf_counter()
+                if spec.residual == "local" and (name, worker) in left and runs[name]["sent"] is not None:
+                    u = u + _unsent(left[name, worker], runs[name]["sent"])
+                at, message = _compress(u, spec, runs[name]["k"])
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([name]), pa.array([worker], pa.int32()), pa.array([loss]), pa.array([compute]), pa.array([time.perf_counter() - began]), pa.array([u.tobytes()], pa.binary()), pa.array([at], pa.binary()), pa.array([message], pa.binary())],
+                    names=["run", "worker", "loss", "seconds", "compress_seconds", "u", "at", "message"],
+                )
+
+    rows = _minibatch(placed, one.batch, one.seed, step).select(F.lit(None).cast("string").alias("run"), *BLOCK_COLUMNS, F.lit(None).cast("binary").alias("u"))
     if state is not None:
-        nothing = [F.lit(None).cast("int").alias("n"), *[F.lit(None).cast("binary").alias(c) for c in columns[2:]]]
-        rows = rows.unionByName(state.select("worker", *nothing, "u"))
-    placed = rows.repartition(spec.workers, "worker")
-    return placed.mapInArrow(run, "worker int, loss double, seconds double, compress_seconds double, u binary, message binary")
+        nothing = [F.lit(None).cast("int").alias("n"), *[F.lit(None).cast("binary").alias(c) for c in BLOCK_COLUMNS[2:]]]
+        rows = rows.unionByName(state.select("run", "worker", *nothing, "u"))
+    return rows.repartition(one.workers, "worker").mapInArrow(run, LOCAL_SCHEMA)
+
+
+class _Sum:
+    """The sum of messages: values with coordinates, or plain arrays."""
+
+    def __init__(self, at: bytes | None, message: bytes):
+        self.at = None if at is None else np.frombuffer(at, "<i4").astype(np.int64)
+        self.values = np.frombuffer(message)
+
+    def add(self, other: _Sum) -> None:
+        if self.at is None:
+            self.values = self.values + other.values
+            return
+        both, place = np.unique(np.concatenate([self.at, other.at]), return_inverse=True)
+        values = np.zeros(len(both))
+        values[place[: len(self.at)]] = self.values
+        values[place[len(self.at) :]] += other.values
+        self.at, self.values = both, values
+
+    def cut(self, k: int) -> None:
+        top = np_top(self.values, k)
+        self.at, self.values = self.at[top], self.values[top]
 
 
-def _merge(local: DataFrame, spec: TrainSpec, k: int) -> np.ndarray:
-    """The merged message: rounds of pairwise sums in the tree, one sum at the star; cut to k in the tree of top-k."""
-    cut = spec.method == "tree_topk"
+def _merge(local: DataFrame, specs: dict[str, TrainSpec], ks: dict[str, int]) -> dict[str, tuple]:
+    """(sum, mean loss, longest gradient, longest compression, workers) of each run.
+
+    Rounds of pairwise sums in the trees, one sum at the star; cut to k after
+    each merge in the tree of top-k.
+    """
+    workers = next(iter(specs.values())).workers
+    stars = [n for n, s in specs.items() if s.method.startswith("star")]
+    cuts = {n: ks[n] for n, s in specs.items() if s.method == "tree_topk"}
 
     def summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums: dict[int, np.ndarray] = {}
+        at, total, facts = None, None, None
+
+        def made() -> pa.RecordBatch:
+            if at[0] in cuts:
+                total.cut(cuts[at[0]])
+            where = None if total.at is None else total.at.astype("<i4").tobytes()
+            values = [[at[0]], [at[1]], [at[1]], *[[f] for f in facts], [where], [total.values.tobytes()]]
+            return pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(values, types)], names=names)
+
         for batch in batches:
-            for worker, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                part = np.frombuffer(raw)
-                sums[worker] = sums[worker] + part if worker in sums else part
-        for worker, total in sorted(sums.items()):
-            if cut:
-                kept = np.zeros(len(total))
-                top = np_top(total, k)
-                kept[top] = total[top]
-                total = kept
-            yield pa.RecordBatch.from_arrays([pa.array([worker], pa.int32()), pa.array([total.tobytes()], pa.binary())], names=["worker", "message"])
-
-    now = local.select("worker", "message")
-    steps = rounds(spec.workers) if spec.method.startswith("tree") or spec.method == "dense" else 1
-    for i in range(steps):
-        to = F.shiftright("worker", 1) if steps > 1 or spec.workers <= 2 else F.lit(0)
-        now = now.select(to.cast("int").alias("worker"), "message").repartition(max(1, -(-spec.workers >> (i + 1))), "worker").sortWithinPartitions("worker", F.xxhash64("message")).mapInArrow(summed, "worker int, message binary")
-    rows = now.collect()
-    return np.sum([np.frombuffer(r["message"]) for r in rows], axis=0)
-
-
-def _exact(local: DataFrame, support: np.ndarray) -> np.ndarray:
-    """Sum over workers of u on the support: k numbers from each."""
+            for run, worker, _, loss, seconds, compress, n, where, message in zip(*(batch.column(i).to_pylist() for i in range(9))):
+                if (run, worker) == at:
+                    total.add(_Sum(where, message))
+                    facts = [facts[0] + loss, max(facts[1], seconds), max(facts[2], compress), facts[3] + n]
+                    continue
+                if at is not None:
+                    yield made()
+                at, total, facts = (run, worker), _Sum(where, message), [loss, seconds, compress, n]
+        if at is not None:
+            yield made()
+
+    names = ["run", "worker", "child", "loss", "seconds", "compress_seconds", "n", "at", "message"]
+    types = (pa.string(), pa.int32(), pa.int32(), pa.float64(), pa.float64(), pa.float64(), pa.int64(), pa.binary(), pa.binary())
+    now = local.select("run", "worker", "loss", "seconds", "compress_seconds", F.lit(1).cast("long").alias("n"), "at", "message")
+    cores = local.sparkSession.sparkContext.defaultParallelism
+    for i in range(max(1, rounds(workers) if len(stars) < len(specs) else 1)):
+        to = F.when(F.col("run").isin(stars), F.lit(0)).otherwise(F.shiftright("worker", 1)) if stars else F.shiftright("worker", 1)
+        dealt = now.select("run", to.cast("int").alias("worker"), F.col("worker").alias("child"), *names[3:])
+        parts = min(cores, len(specs) * max(1, -(-workers >> (i + 1))))
+        now = dealt.repartition(parts, "run", "worker").sortWithinPartitions("run", "worker", "child").mapInArrow(summed, MESSAGE_SCHEMA)
+    out = {}
+    for r in now.collect():
+        out[r["run"]] = (_Sum(r["at"], r["message"]), r["loss"] / r["n"], r["seconds"], r["compress_seconds"], r["n"])
+    return out
+
+
+def _exact(local: DataFrame, supports: dict[str, np.ndarray]) -> dict[str, np.ndarray]:
+    """Sum over workers of u on each run's support: k numbers from each worker."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for raw in batch.column(0).to_pylist():
-                yield pa.RecordBatch.from_arrays([pa.array([np.frombuffer(raw)[support].tobytes()], pa.binary())], names=["v"])
+            for name, worker, raw in zip(*(batch.column(i).to_pylist() for i in range(3))):
+                yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([worker], pa.int32()), pa.array([np.frombuffer(raw)[supports[name]].tobytes()], pa.binary())], names=["run", "worker", "v"])
 
-    return np.sum([np.frombuffer(r["v"]) for r in local.select("u").mapInArrow(run, "v binary").collect()], axis=0)
+    rows = local.where(F.col("run").isin(list(supports))).select("run", "worker", "u").mapInArrow(run, "run string, worker int, v binary").collect()
+    out = {name: np.zeros(len(s)) for name, s in supports.items()}
+    for r in sorted(rows, key=lambda r: (r["run"], r["worker"])):
+        out[r["run"]] = out[r["run"]] + np.frombuffer(r["v"])
+    return out
 
 
 def evaluate(blocks: DataFrame, model, weights: np.ndarray, *, held_out: bool = True) -> tuple[float, float]:
@@ -213,51 +299,89 @@ def evaluate(blocks: DataFrame, model, weights: np.ndarray, *, held_out: bool =
     return (sum(r["hit"] for r in found) / n, float(np.mean([r["hit"] / r["n"] for r in found]))) if n else (0.0, 0.0)
 
 
-def train(blocks: DataFrame, spec: TrainSpec) -> TrainResult:
-    """Run ``spec.steps`` steps on blocks of examples; see the module for what a step is."""
-    model, d = spec.model, spec.model.size
-    blocks = blocks.persist(StorageLevel.MEMORY_AND_DISK)
-    w, velocity = model.start(spec.seed), np.zeros(d)
-    state, sent, trace, messages = None, None, [], []
-    best, since = np.inf, 0
-    acc = macro = 0.0
-    for step in range(1, spec.steps + 1):
-        epoch = (step - 1) // spec.steps_per_epoch
-        k, rate = schedule_at(epoch, d, spec.k, spec.rate, spec.warmup)
-        now = spec if k == spec.k else TrainSpec(**{**spec.__dict__, "k": k})
+@dataclass
+class _Run:
+    """What changes from step to step in one run."""
+
+    spec: TrainSpec
+    weights: np.ndarray
+    velocity: np.ndarray
+    sent: dict | None = None
+    trace: list[dict] = field(default_factory=list)
+    messages: list[tuple] = field(default_factory=list)
+    best: float = np.inf
+    since: int = 0
+    scores: tuple[float, float] = (0.0, 0.0)
+
+
+def train_all(blocks: DataFrame, specs: dict[str, TrainSpec]) -> dict[str, TrainResult]:
+    """Several runs at once on the same blocks; all share workers, batch, seed, steps, model and the steps between evaluations.
+
+    The times of a step that runs share, its communication, are dealt out
+    evenly; for times of a method run it alone. ``blocks`` stays as it is,
+    cached or not.
+    """
+    shared = {(s.workers, s.batch, s.seed, s.steps, s.evaluate_every, s.model) for s in specs.values()}
+    if len(shared) != 1:
+        raise ValueError("runs that share their jobs must agree in workers, batch, seed, steps, evaluate_every and model")
+    spark = blocks.sparkSession
+    one = next(iter(specs.values()))
+    d = one.model.size
+    if d * one.workers * len(specs) > MAX_STATE:
+        raise ValueError("too many numbers in all runs' vectors; run fewer at once")
+    runs = {n: _Run(s, s.model.start(s.seed), np.zeros(d)) for n, s in specs.items()}
+    placed, state, old = place(blocks, one.workers), None, None
+    for step in range(1, one.steps + 1):
+        active = {n: r for n, r in runs.items() if not (r.spec.patience and r.since >= r.spec.patience)}
+        if not active:
+            break
         began = time.perf_counter()
-        local = _local_vectors(blocks, state, now, w, sent, step)
-        local = local.checkpoint() if spec.residual == "local" else local.persist(StorageLevel.MEMORY_AND_DISK)
-        stats = local.agg(F.avg("loss"), F.max("seconds"), F.max("compress_seconds"), F.count(F.lit(1))).first()
+        plan = {n: schedule_at((step - 1) // r.spec.steps_per_epoch, d, r.spec.k, r.spec.rate, r.spec.warmup) for n, r in active.items()}
+        now = {n: r.spec for n, r in active.items()}
+        local = _local_vectors(placed, state, now, {n: {"weights": r.weights, "sent": r.sent, "k": plan[n][0]} for n, r in active.items()}, step)
+        local, path = scratch.keep(local, "vectors")
         computed = time.perf_counter() - began
-        merged = _merge(local, now, k)
-        heavy = 0
-        if spec.method.endswith("sketch"):
-            support, values, heavy = np_recover(merged, spec.sketch, d, k, spec.recover, spec.seed, step, spec.literal_signed)
-            if spec.exact:
-                values = _exact(local, support)
-        else:
-            support = np.flatnonzero(merged)
-            values = merged[support]
-        update = np.zeros(d)
-        update[support] = values
-        velocity = spec.momentum * velocity + update
-        w = w - rate / (spec.workers if spec.combine == "mean" else 1) * velocity
-        state = local if spec.residual == "local" else None
-        if state is None:
-            local.unpersist()
-        sent = {"support": support, "by_worker": True if spec.method.endswith("topk") else None}
-        total = time.perf_counter() - began
-        if step % spec.evaluate_every == 0 or step == spec.steps:
-            acc, macro = evaluate(blocks, model, w)
-        lines = ledger_lines(spec.method, spec.workers, d=d, k=len(support) if spec.method.endswith("sketch") else k, size=spec.sketch.size, union=len(support) if spec.method == "star_topk" else None)
-        messages += [(step, *line) for line in lines]
-        trace.append({
-            "step": step, "epoch": epoch, "method": spec.method, "loss": float(stats[0]), "acc": acc, "macro": macro, "k": k, "heavy": heavy, "support": len(support),
-            "t_compute": float(stats[1]), "t_compress": float(stats[2]), "t_comm": max(0.0, total - computed), "seconds": total, "examples": spec.batch * int(stats[3]), "values": sum(x[5] for x in lines),
-        })
-        best, since = (stats[0], 0) if stats[0] < best - 1e-4 else (best, since + 1)
-        if spec.patience and since >= spec.patience:
-            break
-    blocks.unpersist()
-    return TrainResult(w, trace, messages)
+        merged = _merge(local, now, {n: k for n, (k, _) in plan.items()})
+        found, wanted = {}, {}
+        for n, r in active.items():
+            total = merged[n][0]
+            if r.spec.method.endswith("sketch"):
+                support, values, heavy = np_recover(total.values, r.spec.sketch, d, plan[n][0], r.spec.recover, r.spec.seed, step, r.spec.literal_signed)
+                if r.spec.exact:
+                    wanted[n] = support
+            else:
+                at = np.arange(d) if total.at is None else total.at
+                support, values, heavy = at[total.values != 0], total.values[total.values != 0], 0
+            found[n] = [support, values, heavy]
+        for n, values in (_exact(local, wanted) if wanted else {}).items():
+            found[n][1] = values
+        if old:
+            scratch.drop(spark, old)
+        state, old = local, path
+        seconds = time.perf_counter() - began
+        for n, r in active.items():
+            (support, values, heavy), (k, rate), spec = found[n], plan[n], r.spec
+            update = np.zeros(d)
+            update[support] = values
+            r.velocity = spec.momentum * r.velocity + update
+            r.weights = r.weights - rate / (spec.workers if spec.combine == "mean" else 1) * r.velocity
+            r.sent = {"support": support, "k": k if spec.method.endswith("topk") else None}
+            if step % spec.evaluate_every == 0 or step == spec.steps:
+                r.scores = evaluate(blocks, spec.model, r.weights)
+            _, loss, t_compute, t_compress, n_workers = merged[n]
+            lines = ledger_lines(spec.method, spec.workers, d=d, k=len(support) if spec.method.endswith("sketch") else k, size=spec.sketch.size, union=len(support) if spec.method == "star_topk" else None)
+            r.messages += [(step, *line) for line in lines]
+            r.trace.append({
+                "step": step, "epoch": (step - 1) // spec.steps_per_epoch, "method": spec.method, "loss": loss, "acc": r.scores[0], "macro": r.scores[1], "k": k, "heavy": heavy, "support": len(support),
+                "t_compute": t_compute, "t_compress": t_compress, "t_comm": max(0.0, seconds - computed) / len(active), "seconds": seconds / len(active), "examples": spec.batch * n_workers, "values": sum(x[5] for x in lines),
+            })
+            r.best, r.since = (loss, 0) if loss < r.best - 1e-4 else (r.best, r.since + 1)
+    if old:
+        scratch.drop(spark, old)
+    placed.unpersist()
+    return {n: TrainResult(r.weights, r.trace, r.messages) for n, r in runs.items()}
+
+
+def train(blocks: DataFrame, spec: TrainSpec) -> TrainResult:
+    """Run ``spec.steps`` steps on blocks of examples; see the module for what a step is."""
+    return train_all(blocks, {spec.method: spec})[spec.method]
