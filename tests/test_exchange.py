@@ -171,3 +171,63 @@ def test_measures(spark):
     assert measures.comm_share(trace).first()["comm_share"] == 0.25
     rates = literal_rows(spark, [("x", 1, 10.0), ("x", 4, 20.0)], "method string, workers int, examples_per_s double")
     assert {r.workers: r.efficiency for r in measures.scaling_efficiency(rates).collect()} == {1: 1.0, 4: 0.5}
+
+
+def test_large_k_finds_a_threshold_first(spark):
+    """For k = 5,000 the same rows as by plain ordering, without a driver merge of k rows of each task."""
+    import numpy as np
+
+    from treesketch.functions.hashing import np_fill_order
+    from treesketch.operators import compressors, recovery
+    from treesketch.plans.rewrites import physical_plan
+
+    n, k = 20_000, 5_000
+    value = F.expr("CAST(CASE WHEN id % 7 = 0 THEN -1 ELSE 1 END * pmod(id * 7919, 1009) AS BIGINT)")
+    coords = spark.range(2 * n).select((F.col("id") % 2).cast("int").alias("worker"), F.floor(F.col("id") / 2).alias("coord"), value.alias("val"))
+    table: dict[int, dict[int, int]] = {0: {}, 1: {}}
+    for r in coords.collect():
+        table[r.worker][r.coord] = r.val
+    best = lambda d, k: sorted((c for c in d if d[c]), key=lambda c: (-abs(d[c]), c))[:k]
+    got = compressors.local_topk(coords, k)
+    assert "TakeOrdered" not in physical_plan(got)
+    assert sorted((r.worker, r.coord) for r in got.collect()) == sorted((w, c) for w in table for c in best(table[w], k))
+    total = {c: table[0][c] + table[1][c] for c in table[0]}
+    assert {r.coord for r in compressors.exact_topk(coords, k).collect()} == set(best(total, k))
+    drawn = lambda cs: sorted(cs, key=lambda c: (int(np_fill_order(np.array([c]), 3, 4)[0]), c))
+    some = compressors.random_k(coords, k, 3, 4)
+    assert "TakeOrdered" not in physical_plan(some) and {r.coord for r in some.collect()} == set(drawn([c for c in total if total[c]])[:k])
+    split = spark.range(n).select(F.col("id").alias("coord"), (F.col("id") % 1013 - 500).alias("est")).withColumn("heavy", F.abs("est") > 450)
+    rows = {r.coord: r for r in split.collect()}
+    heavy = [c for c in rows if rows[c].heavy]
+    fill = drawn([c for c in rows if not rows[c].heavy])
+    whole = recovery.heavy_random(split, k, 3, 4)
+    assert "TakeOrdered" not in physical_plan(whole) and {r.coord for r in whole.collect()} == set(heavy) | set(fill[: k - len(heavy)])
+    assert {r.coord for r in recovery.heavy_random(split, 1_500, 3, 4).collect()} == set(best({c: rows[c].est for c in heavy}, 1_500))
+
+
+def test_a_million_cells_make_a_block_in_seconds(spark):
+    import time
+
+    from treesketch.functions.hashing import SketchSpec
+    from treesketch.operators import sketch as sk
+
+    spec = SketchSpec(5, 200_000, 7)
+    cells = spark.range(spec.size).where("id % 3 <> 1").select(F.floor(F.col("id") / spec.width).cast("int").alias("hrow"), (F.col("id") % spec.width).cast("int").alias("bucket"), (F.col("id") + 1).alias("val"))
+    began = time.perf_counter()
+    got = sk.block(cells, spec).select(F.size("cells").alias("n"), F.aggregate("cells", F.lit(0).cast("long"), lambda s, x: s + x).alias("s"), F.get("cells", F.lit(999_999)).alias("last"), F.get("cells", F.lit(1)).alias("gap")).first()
+    assert time.perf_counter() - began < 60
+    assert got.n == spec.size and got.s == sum(i + 1 for i in range(spec.size) if i % 3 != 1) and got.last == 1_000_000 and got.gap == 0
+    assert sk.block(cells.limit(0), SketchSpec(3, 4, 7)).first().cells == [0] * 12
+
+
+def test_unfit_rows_are_counted_or_stop_the_job(spark):
+    from pyspark.errors import PySparkException
+
+    from treesketch.operators import sketch as sk
+
+    rows = [(0, 1, 1.0), (0, None, 1.0), (0, -1, 1.0), (0, 2**31 - 1, 1.0), (0, 3, None), (0, 4, float("nan")), (0, 5, float("-inf")), (0, None, None)]
+    coords = spark.createDataFrame(rows, "worker int, coord long, val double")
+    assert {r.reason: r.n for r in sk.rejected(coords).collect()} == {"no coordinate": 2, "coordinate out of range": 2, "no value": 1, "value not finite": 2}
+    assert [r.coord for r in sk.valid(coords).collect()] == [1] and sk.checked(sk.valid(coords)).count() == 1
+    with pytest.raises(PySparkException):
+        sk.checked(coords).collect()

@@ -7,7 +7,7 @@ not repeated.
 
 from __future__ import annotations
 
-from treesketch.experiments.queries import D, GRID, K, PUBLISHED, SEED, SPEC, STEP, TREE_SIZES, WIDE
+from treesketch.experiments.queries import D, GRID, K, PUBLISHED, SEED, SMALL_D, SMALL_K, SPEC, STEP, TREE_SIZES, WIDE
 from treesketch.functions.cost import METHODS
 from treesketch.functions.hashing import PRIME, SketchSpec, size_for, sql_fill_order
 from treesketch.learning.schedule import WARMUP_DENSITIES_PPM, WARMUP_RATES_PERMILLE
@@ -170,6 +170,32 @@ def _token_error(spec: SketchSpec) -> str:
     )
 
 
+# Where each worker's part gets to when round i pairs the ranks 0, i, 2i, ...: it stays, and from an odd one of them it also goes to the one before.
+_STRIDES = (
+    "WITH RECURSIVE " + _values("sizes", "workers", [(p,) for p in TREE_SIZES]) + ", "
+    "held AS (SELECT workers, 0 AS round, CAST(w AS BIGINT) AS w, CAST(w AS BIGINT) AS place FROM sizes, unnest(range(workers)) AS t(w) "
+    "UNION SELECT workers, round + 1, w, unnest(CASE WHEN place % (round + 1) = 0 AND (place // (round + 1)) % 2 = 1 THEN [place, place - (round + 1)] ELSE [place] END) "
+    "FROM held WHERE round < ceil(log2(workers))) "
+    "SELECT workers, CAST(count(DISTINCT w) AS INT) AS covered FROM held WHERE place = 0 AND round = ceil(log2(workers)) GROUP BY workers"
+)
+
+
+def _gradient() -> list[str]:
+    one_less = f"CASE WHEN label = c THEN {1 - CLASSES} ELSE 1 END"
+    return [
+        _COMPONENT_ROWS,
+        f"every AS (SELECT {_worker('key')} AS worker, label, j, x FROM xs WHERE label IS NOT NULL UNION ALL SELECT {_worker('vec_id')}, label, {COMPONENTS}, 1048576 FROM embeddings WHERE label IS NOT NULL)",
+        f"gradient AS (SELECT worker, c * {COMPONENTS + 1} + j AS coord, CAST(sum(x * {one_less}) AS BIGINT) AS val FROM every, range({CLASSES}) AS t(c) GROUP BY ALL HAVING sum(x * {one_less}) <> 0)",
+    ]
+
+
+def _first_step() -> str:
+    """The support and exact values of one step on the gradient at 0, from the sketch of the summed gradient."""
+    heavy = f"split AS (SELECT coord, est, CAST(est AS HUGEINT) * est * {SMALL_K} >= l2sq AS heavy FROM est, norm)"
+    domain = f"(SELECT range AS coord FROM range({SMALL_D}))"
+    return _with(SPEC.sql_rows(), *_gradient(), _total("gradient"), _cells("total", by=""), _estimates(domain=domain), _norm(), heavy, _SUPPORT.replace(f"LIMIT {K}", f"LIMIT {SMALL_K}"))
+
+
 def oracle_sql() -> dict[str, str]:
     rows = SPEC.sql_rows()
     energy_rank = "row_number() OVER (ORDER BY abs(exact) DESC, coord)"
@@ -224,8 +250,7 @@ def oracle_sql() -> dict[str, str]:
         "counted_ledger": _with(rows, _parts(5), _cells("parts", "c0")) + " UNION ALL ".join(
             f"SELECT {i} AS round, CAST({n // 2} AS BIGINT) AS messages, count(*) AS values FROM (SELECT worker // {2 ** (i - 1)} AS w, hrow, bucket, sum(val) AS v FROM c0 GROUP BY ALL HAVING sum(val) <> 0) WHERE w % 2 = 1" for i, n in ((1, 5), (2, 3), (3, 2))
         ),
-        # which workers the root gathers when round i pairs neighbours in steps of i: by hand for the sizes asked
-        "literal_stride_coverage": _with(_values("t", "workers, covered", [(p, {1: 1, 2: 2, 3: 3, 4: 4}.get(p, 4 if p <= 8 else 8)) for p in TREE_SIZES])) + "SELECT * FROM t",
+        "literal_stride_coverage": _STRIDES,
         "cost_grid": grid + "SELECT * FROM times",
         "cost_speedup": grid + f", {wide} SELECT workers, d, k, size, alpha, " + ", ".join(f"{_micro(f'CAST({m} AS DOUBLE) / tree_sketch')} AS over_{m}_micro" for m in METHODS if m != "tree_sketch") + ", CAST(alpha < k - size AS INT) AS beats_tree_topk FROM wide",
         "compression_ratio": _with(_values("t", "method, values", [("dense", D), ("star_topk", 2 * K), ("tree_topk", 2 * K), ("star_sketch", SPEC.size + K), ("tree_sketch", SPEC.size + K)])) + f"SELECT method, CAST(values AS BIGINT) AS values, {_micro(f'CAST({D} AS DOUBLE) / values')} AS ratio_micro FROM t",
@@ -233,8 +258,9 @@ def oracle_sql() -> dict[str, str]:
         "minibatch": f"SELECT key, worker FROM (SELECT *, row_number() OVER (PARTITION BY worker ORDER BY {sql_fill_order(f'(key % {PRIME})', SEED, 3)}, key) AS rn FROM (SELECT vec_id AS key, {_worker('vec_id')} AS worker FROM embeddings)) WHERE rn <= 16",
         "shard_counts": f"SELECT {_worker('doc_id')} AS worker, count(*) AS n FROM documents GROUP BY ALL",
         "planted_label": _with(_COMPONENT_ROWS) + f"SELECT key, CAST(arg_max(c, (s, -c)) AS INT) AS label FROM (SELECT key, c, sum(CAST(x AS HUGEINT) * ({sql_fill_order(f'(c * {COMPONENTS} + j)', 99, 0)} % 2001 - 1000)) AS s FROM xs, range({CLASSES}) AS t(c) GROUP BY ALL) GROUP BY key",
-        "softmax_gradient": _with(_COMPONENT_ROWS, f"every AS (SELECT {_worker('key')} AS worker, label, j, x FROM xs WHERE label IS NOT NULL UNION ALL SELECT {_worker('vec_id')}, label, {COMPONENTS}, 1048576 FROM embeddings WHERE label IS NOT NULL)")
-        + f"SELECT worker, c * {COMPONENTS + 1} + j AS coord, CAST(sum(x * CASE WHEN label = c THEN {1 - CLASSES} ELSE 1 END) AS BIGINT) AS val FROM every, range({CLASSES}) AS t(c) GROUP BY ALL HAVING sum(x * CASE WHEN label = c THEN {1 - CLASSES} ELSE 1 END) <> 0",
+        "softmax_gradient": _with(*_gradient()) + "SELECT * FROM gradient",
+        "training_step": _first_step() + f"SELECT d.coord, CAST(coalesce(CASE WHEN s.coord IS NOT NULL THEN -t.val END, 0) AS BIGINT) AS w FROM (SELECT range AS coord FROM range({SMALL_D})) d LEFT JOIN support s ON s.coord = d.coord LEFT JOIN total t ON t.coord = d.coord",
+        "training_residual": _first_step() + "SELECT worker, coord, val FROM gradient WHERE coord NOT IN (SELECT coord FROM support)",
         "linear_gradient": "SELECT worker, coord, CAST(sum(-y * x) AS BIGINT) AS val FROM (SELECT CAST(l_orderkey % 4 AS INT) AS worker, CAST(floor(l_extendedprice + 0.5) AS BIGINT) AS y, "
         f"unnest([CAST(0 AS BIGINT), 1, 2, 3]) AS coord, unnest([CAST(l_quantity AS BIGINT), {_CENTS.format('l_discount')}, {_CENTS.format('l_tax')}, 1]) AS x FROM lineitem) GROUP BY ALL HAVING sum(-y * x) <> 0",
         "estimate_error": _with(_tokens(), _total("tokens")) + _token_error(SPEC) + " UNION ALL " + _token_error(WIDE),

@@ -17,7 +17,7 @@ from treesketch.functions.hashing import SketchSpec, size_for
 from treesketch.learning import gradients, schedule
 from treesketch.operators import compressors, measures, recovery, topology
 from treesketch.operators import sketch as sk
-from treesketch.plans.steps import sketch_step
+from treesketch.plans.steps import apply_update, residual, sketch_step
 from treesketch.sources import tables
 from treesketch.sources.literals import literal_rows
 from treesketch.streaming import daily
@@ -213,6 +213,28 @@ def counted_ledger(spark: SparkSession, sf: str) -> DataFrame:
     return topology.counted_ledger(sk.build(tables.part_vector(spark, sf, 5, summed=False), SPEC), 5).select("round", "messages", F.col("values").cast("long").alias("values"))
 
 
+#: Numbers in the small problem's weights, and how many a step keeps.
+SMALL_D, SMALL_K = tables.CLASSES * (tables.COMPONENTS + 1), 65
+
+
+def _first_step(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
+    """The whole gradient at weight 0 in whole numbers, and the step that four workers make of it."""
+    coords = gradients.softmax_gradient_at_zero(spark, sf)
+    return coords, sketch_step(coords, SPEC, d=SMALL_D, k=SMALL_K, workers=4, seed=SEED, step=STEP)
+
+
+def training_step(spark: SparkSession, sf: str) -> DataFrame:
+    """The weights after one exact step from 0, in the gradient's unit: gradient, sketch, tree, recovery, exact values, update."""
+    _, step = _first_step(spark, sf)
+    weights = sk.dimension(spark, SMALL_D).withColumn("w", F.lit(0.0))
+    return apply_update(weights, step, 1.0, combine="sum").select("coord", F.col("w").cast("long").alias("w"))
+
+
+def training_residual(spark: SparkSession, sf: str) -> DataFrame:
+    """What each worker carries over to the next step."""
+    return residual(*_first_step(spark, sf))
+
+
 def queries() -> dict[str, Query]:
     def step(**options) -> Query:
         return lambda spark, sf: sketch_step(_tokens(spark, sf), SPEC, d=D, k=K, workers=5, seed=SEED, step=STEP, **options)
@@ -271,6 +293,8 @@ def queries() -> dict[str, Query]:
         "planted_label": tables.planted_labels,
         "softmax_gradient": gradients.softmax_gradient_at_zero,
         "linear_gradient": gradients.linear_gradient_at_zero,
+        "training_step": training_step,
+        "training_residual": training_residual,
         "estimate_error": estimate_error,
         "heavy_recall": heavy_recall,
         "support_overlap": support_overlap,

@@ -5,8 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from treesketch.functions.hashing import fill_order
-from treesketch.operators.recovery import _top
+from treesketch.operators.recovery import THRESHOLD_K, _top, drawn_first, magnitude_bin
 from treesketch.operators.topology import rounds
 
 
@@ -21,10 +20,24 @@ def exact_topk(coords: DataFrame, k: int) -> DataFrame:
 
 
 def local_topk(coords: DataFrame, k: int) -> DataFrame:
-    """Each worker's k largest |val|; ties to the smaller coordinate."""
-    order = Window.partitionBy("worker").orderBy(F.abs("val").desc(), F.col("coord"))
+    """Each worker's k largest |val|; ties to the smaller coordinate.
+
+    Up to ``THRESHOLD_K`` Spark's window limits each task's rows before the
+    shuffle. Beyond it a histogram of magnitudes for each worker, some hundred
+    rows, sets the cut; only the rows of one bin of a worker are ordered.
+    """
+    order = [F.abs("val").desc(), F.col("coord")]
     summed = coords.groupBy("worker", "coord").agg(F.sum("val").alias("val")).where(F.col("val") != 0)
-    return summed.withColumn("rn", F.row_number().over(order)).where(F.col("rn") <= k).drop("rn")
+    if k <= THRESHOLD_K:
+        return summed.withColumn("rn", F.row_number().over(Window.partitionBy("worker").orderBy(*order))).where(F.col("rn") <= k).drop("rn")
+    binned = summed.withColumn("_bin", magnitude_bin(F.abs("val")))
+    down = Window.partitionBy("worker").orderBy(F.col("_bin").desc())
+    counts = binned.groupBy("worker", "_bin").agg(F.count(F.lit(1)).alias("n")).withColumn("upto", F.sum("n").over(down))
+    cut = counts.where(F.col("upto") > k).groupBy("worker").agg(F.max("_bin").alias("_last"), F.max_by(F.lit(k) - F.col("upto") + F.col("n"), "_bin").alias("_room"))
+    marked = binned.join(F.broadcast(cut), "worker", "left")  # a row for each worker
+    whole = marked.where(F.col("_last").isNull() | (F.col("_bin") > F.col("_last"))).select(*summed.columns)
+    rest = marked.where(F.col("_bin") == F.col("_last")).withColumn("rn", F.row_number().over(Window.partitionBy("worker").orderBy(*order)))
+    return whole.unionByName(rest.where(F.col("rn") <= F.col("_room")).select(*summed.columns))
 
 
 def star_topk(coords: DataFrame, k: int) -> DataFrame:
@@ -45,7 +58,7 @@ def tree_topk(coords: DataFrame, k: int, workers: int) -> DataFrame:
 
 def random_k(coords: DataFrame, k: int, seed: int = 1, step: int = 1) -> DataFrame:
     """The dense sum on k of its coordinates in the shared random order."""
-    return dense_sum(coords).orderBy(fill_order(F.col("coord"), seed, step), F.col("coord")).limit(k)
+    return drawn_first(dense_sum(coords), k, seed, step)
 
 
 def quantize(coords: DataFrame, bits: int) -> DataFrame:

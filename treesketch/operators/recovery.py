@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from treesketch.functions.fixedpoint import wide
-from treesketch.functions.hashing import SketchSpec, fill_order
+from treesketch.functions.hashing import PRIME, SketchSpec, fill_order
 from treesketch.operators import sketch as sk
 
-#: From this k on the driver's merge of partial tops would be the bottleneck; a threshold is found first.
-THRESHOLD_K = 100_000
+#: Beyond this k the driver's merge of all tasks' first k rows would be the bottleneck; a threshold is found first.
+THRESHOLD_K = 1_000
+#: Bins of the shared random order, of equal width.
+FILL_BINS = 1 << 12
 
 
 def split_heavy(est: DataFrame, l2: DataFrame, k: int, *, literal_signed: bool = False) -> DataFrame:
@@ -29,15 +31,20 @@ def _split(both: DataFrame, k: int, literal_signed: bool) -> DataFrame:
     return both.select("coord", "est", (left >= F.col("l2sq")).alias("heavy"))
 
 
-def _top(df: DataFrame, order: list[Column], k: int, magnitude: Column) -> DataFrame:
-    """The first k rows in an order that ``magnitude`` descending leads.
+def magnitude_bin(size: Column) -> Column:
+    """A number that does not fall as ``size`` grows: eighths of powers of two, some hundred values on data."""
+    return F.floor(F.log2(F.greatest(size.cast("double"), F.lit(1e-300))) * 8).cast("int")
+
+
+def _first(df: DataFrame, order: list[Column], k: int, bin_: Column) -> DataFrame:
+    """The first k rows in an order that ``bin_`` descending agrees with.
 
-    For a large k a histogram of the magnitude's powers of two (at most some
-    hundred rows) tells which rows are surely in; only the rest of one bin is sorted.
+    For a large k a histogram of the bins (a few thousand rows at most) tells
+    which rows are surely in; only the rest of one bin is sorted.
     """
-    if k < THRESHOLD_K:
+    if k <= THRESHOLD_K:
         return df.orderBy(*order).limit(k)
-    binned = df.withColumn("_bin", F.floor(F.log2(F.greatest(magnitude.cast("double"), F.lit(1e-300)))).cast("int"))
+    binned = df.withColumn("_bin", bin_)
     counts = {r["_bin"]: r["n"] for r in binned.groupBy("_bin").agg(F.count(F.lit(1)).alias("n")).collect()}
     sure, last = 0, None
     for b in sorted(counts, reverse=True):
@@ -47,8 +54,20 @@ def _top(df: DataFrame, order: list[Column], k: int, magnitude: Column) -> DataF
         sure += counts[b]
     if last is None:
         return df
-    rest = binned.where(F.col("_bin") == last).orderBy(*order).limit(k - sure)
-    return binned.where(F.col("_bin") > last).unionByName(rest).drop("_bin")
+    rest = Window.partitionBy("_bin").orderBy(*order)  # one bin in one task, not k rows of every task at the driver
+    cut = binned.where(F.col("_bin") == last).withColumn("_at", F.row_number().over(rest)).where(F.col("_at") <= k - sure).drop("_at")
+    return binned.where(F.col("_bin") > last).unionByName(cut).drop("_bin")
+
+
+def _top(df: DataFrame, order: list[Column], k: int, magnitude: Column) -> DataFrame:
+    """The first k rows in an order that ``magnitude`` descending leads."""
+    return _first(df, order, k, magnitude_bin(magnitude))
+
+
+def drawn_first(df: DataFrame, k: int, seed: int, step: int) -> DataFrame:
+    """The k coordinates that the shared random order puts first."""
+    drawn = fill_order(F.col("coord"), seed, step)
+    return _first(df, [drawn, F.col("coord")], k, -F.floor(drawn / (PRIME // FILL_BINS + 1)).cast("int"))
 
 
 def top_estimate(est: DataFrame, k: int) -> DataFrame:
@@ -65,16 +84,23 @@ def heavy_only(split: DataFrame, k: int) -> DataFrame:
 
 def random_fill(split: DataFrame, count: int, seed: int, step: int) -> DataFrame:
     """``count`` light coordinates in the shared random order."""
-    return split.where(~F.col("heavy")).orderBy(fill_order(F.col("coord"), seed, step), F.col("coord")).limit(count)
+    return drawn_first(split.where(~F.col("heavy")), count, seed, step)
 
 
 def heavy_random(split: DataFrame, k: int, seed: int, step: int) -> DataFrame:
-    """Heavy coordinates, filled with random light ones to k: one ordering does cap and fill."""
+    """Heavy coordinates, filled with random light ones to k.
+
+    For a small k one ordering does cap and fill; for a large one the heavy
+    ones are counted, and cap and fill each find their own threshold.
+    """
     if k < 1:
         raise ValueError("k must be positive")
     size = F.when(F.col("heavy"), F.abs("est"))
     drawn = F.when(~F.col("heavy"), fill_order(F.col("coord"), seed, step))
-    return split.orderBy(F.col("heavy").desc(), size.desc(), drawn, F.col("coord")).limit(k)
+    if k <= THRESHOLD_K:
+        return split.orderBy(F.col("heavy").desc(), size.desc(), drawn, F.col("coord")).limit(k)
+    heavy = split.where("heavy").count()
+    return heavy_only(split, k) if heavy >= k else split.where("heavy").unionByName(random_fill(split, k - heavy, seed, step))
 
 
 def exact_values(coords: DataFrame, support: DataFrame) -> DataFrame:
@@ -82,9 +108,10 @@ def exact_values(coords: DataFrame, support: DataFrame) -> DataFrame:
 
     The support, at most k rows, is broadcast if Spark's size check allows.
     """
-    sums = coords.join(support.select("coord"), "coord", "left_semi").groupBy("coord").agg(F.sum("val").alias("exact"))
-    zero = F.lit(0).cast(dict(coords.dtypes)["val"])
-    return support.join(sums, "coord", "left").withColumn("exact", F.coalesce("exact", zero))
+    columns = support.columns
+    zero = F.lit(0).cast(dict(coords.dtypes)["val"]).alias("val")
+    hit = coords.select("coord", "val").join(support, "coord").select(*columns, "val")
+    return hit.unionByName(support.select(*columns, zero)).groupBy(*columns).agg(F.sum("val").alias("exact"))
 
 
 def recover(merged: DataFrame, spec: SketchSpec, candidates: DataFrame, k: int, *, method: str = "heavy_random", seed: int = 1, step: int = 1, literal_signed: bool = False) -> DataFrame:

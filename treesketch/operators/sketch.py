@@ -14,20 +14,49 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from treesketch.functions.hashing import SketchSpec
+from treesketch.functions.hashing import PRIME, SketchSpec
 from treesketch.functions.fixedpoint import wide
 
 #: Cells that a block (one row, broadcast as such) may have: 32 MB of numbers.
 MAX_BLOCK_CELLS = 1 << 22
 
 
+def _faults(coords: DataFrame) -> dict[str, Column]:
+    """What makes a row of COORD unfit, by name; the first that holds counts."""
+    real = dict(coords.dtypes)["val"] in ("double", "float")
+    faults = {
+        "no coordinate": F.col("coord").isNull(), "coordinate out of range": (F.col("coord") < 0) | (F.col("coord") >= PRIME), "no value": F.col("val").isNull(),
+        "value not finite": F.isnan("val") | (F.abs("val") == float("inf")) if real else F.lit(False),
+    }
+    return faults
+
+
 def valid(coords: DataFrame) -> DataFrame:
-    """Rows with a coordinate in [0, 2^31 - 1) and a value that is a finite number."""
-    kind = dict(coords.dtypes)["val"]
-    keep = F.col("coord").isNotNull() & F.col("val").isNotNull() & (F.col("coord") >= 0) & (F.col("coord") < (1 << 31) - 1)
-    if kind in ("double", "float"):
-        keep &= ~F.isnan("val") & (F.abs("val") != float("inf"))
-    return coords.where(keep)
+    """Rows with a coordinate in [0, 2^31 - 1) and a value that is a finite number; ``rejected`` counts the others.
+
+    Keys beyond that range are folded into it first, with ``hashing.fold_domain``.
+    """
+    unfit = F.lit(False)
+    for fault in _faults(coords).values():
+        unfit = unfit | F.coalesce(fault, F.lit(False))
+    return coords.where(~unfit)
+
+
+def rejected(coords: DataFrame) -> DataFrame:
+    """(reason, n) of the rows that ``valid`` leaves out; no row for a reason that none has."""
+    reason = F.lit(None).cast("string")
+    for name, fault in reversed(list(_faults(coords).items())):
+        reason = F.when(fault, F.lit(name)).otherwise(reason)
+    return coords.select(reason.alias("reason")).where(F.col("reason").isNotNull()).groupBy("reason").agg(F.count(F.lit(1)).alias("n"))
+
+
+def checked(coords: DataFrame) -> DataFrame:
+    """``coords`` as they are; a row that ``valid`` would leave out stops the job."""
+    reason = F.lit(None).cast("string")
+    for name, fault in _faults(coords).items():
+        reason = F.coalesce(reason, F.when(fault, F.lit(name)))
+    stop = F.raise_error(F.concat(F.lit("unfit row: "), reason)).cast("boolean")
+    return coords.where(F.when(reason.isNotNull(), stop).otherwise(F.lit(True)))
 
 
 def _nonzero_sum(df: DataFrame, by: Sequence[str]) -> DataFrame:
@@ -113,10 +142,12 @@ def block(sketch: DataFrame, spec: SketchSpec) -> DataFrame:
     if spec.size > MAX_BLOCK_CELLS:
         raise ValueError(f"{spec.size} cells are more than a block may have ({MAX_BLOCK_CELLS})")
     kind = dict(sketch.dtypes)["val"]
-    at = (F.col("hrow") * spec.width + F.col("bucket") + 1).alias("k")
-    pairs = sketch.agg(F.map_from_entries(F.collect_list(F.struct(at, F.col("val").alias("v")))).alias("m"))
-    zero = F.lit(0).cast(kind)
-    return pairs.select(F.transform(F.sequence(F.lit(1), F.lit(spec.size)), lambda k: F.coalesce(F.try_element_at("m", k), zero)).alias("cells"))
+    at = (F.col("hrow") * spec.width + F.col("bucket")).alias("k")
+    pairs = sketch.agg(F.array_sort(F.collect_list(F.struct(at, F.col("val").alias("v")))).alias("p"))
+    zeros = lambda n: F.array_repeat(F.lit(0).cast(kind), n.cast("int"))
+    one = lambda x, i: F.concat(zeros(x["k"] - F.when(i == 0, F.lit(0)).otherwise(F.get("p", i - 1)["k"] + 1)), F.array(x["v"]))
+    last = F.when(F.size("p") > 0, F.get("p", F.size("p") - 1)["k"]).otherwise(F.lit(-1))
+    return pairs.select(F.concat(F.flatten(F.transform("p", one)), zeros(F.lit(spec.size - 1) - last)).alias("cells"))
 
 
 def middle(values: Column, n: int) -> Column:

@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from treesketch.sources.literals import literal_rows
+from treesketch.sources.literals import literal_grid, literal_rows
 
 
 def rounds(workers: int) -> int:
@@ -42,19 +42,15 @@ def tree_edges(spark: SparkSession, workers: int, direction: str = "up") -> Data
 def literal_stride_coverage(spark: SparkSession, counts: list[int]) -> DataFrame:
     """(workers, covered): how many workers reach the root if round i pairs ranks with stride i instead of 2^(i-1).
 
-    A diagnostic: only powers of two up to 4 are covered. The covered set is a
-    bit mask, so counts up to 32 are allowed.
+    A diagnostic: it loses workers from five on.
     """
-
-    def covered(workers: int) -> int:
-        held = [1 << w for w in range(workers)]
-        for i in range(1, rounds(workers) + 1):
-            ranks = list(range(0, workers, i))
-            for k in range(0, len(ranks) - 1, 2):
-                held[ranks[k]] |= held[ranks[k + 1]]
-        return held[0].bit_count()
-
-    return literal_rows(spark, [(p, covered(p)) for p in counts], "workers int, covered int")
+    now = literal_grid(spark, workers=counts).select("workers", F.explode(F.sequence(F.lit(0).cast("long"), F.col("workers") - 1)).alias("w")).withColumn("at", F.array("w"))
+    for i in range(1, rounds(max(counts)) + 1):
+        # who stands on an odd one of the ranks 0, i, 2i, ... is also sent to the rank before
+        sent = F.transform(F.filter("at", lambda x: (x % i == 0) & (F.floor(x / i) % 2 == 1)), lambda x: x - i)
+        takes_part = F.lit(i) <= F.length(F.bin(F.col("workers") - 1)) * (F.col("workers") > 1).cast("int")
+        now = now.withColumn("at", F.when(takes_part, F.array_distinct(F.concat("at", sent))).otherwise(F.col("at")))
+    return now.groupBy(F.col("workers").cast("int").alias("workers")).agg(F.count_if(F.array_contains("at", 0)).cast("int").alias("covered"))
 
 
 def tree_merge(table: DataFrame, workers: int, keys: tuple[str, ...] = ("hrow", "bucket"), *, partitions: int | None = None) -> DataFrame:

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from treesketch.functions.hashing import SketchSpec
 from treesketch.operators import compressors, recovery, topology
 from treesketch.operators import sketch as sk
+from treesketch.sources import scratch
 
 
 def sketch_step(coords: DataFrame, spec: SketchSpec, *, d: int, k: int, workers: int, topology_kind: str = "tree", recover: str = "heavy_random", seed: int = 1, step: int = 1, exact: bool = True, literal_signed: bool = False, candidates: DataFrame | None = None) -> DataFrame:
@@ -15,13 +16,21 @@ def sketch_step(coords: DataFrame, spec: SketchSpec, *, d: int, k: int, workers:
 
     ``candidates`` limits the point queries to some coordinates (those seen
     anywhere, say), for dimensions too large to enumerate. ``exact=False``
-    leaves the second exchange out and takes the estimates.
+    leaves the second exchange out and takes the estimates. The vector and the
+    support, which both exchanges read, are written to the shared folder once.
     """
+    if exact:
+        coords, _ = scratch.keep(coords, "vector")
     cells = sk.build(coords, spec)
     merged = topology.tree_merge(cells, workers) if topology_kind == "tree" else topology.star_merge(cells)
     asked = candidates if candidates is not None else sk.dimension(coords.sparkSession, d)
     support = recovery.recover(merged, spec, asked, k, method=recover, seed=seed, step=step, literal_signed=literal_signed)
-    return recovery.exact_values(coords, support) if exact else support.withColumn("exact", F.col("est"))
+    return recovery.exact_values(coords, scratch.keep(support, "support")[0]) if exact else support.withColumn("exact", F.col("est"))
+
+
+def residual(coords: DataFrame, support: DataFrame) -> DataFrame:
+    """What each worker still owes after a step: its vector without the coordinates whose exact values were sent."""
+    return coords.join(support.select("coord"), "coord", "left_anti").select("worker", "coord", "val")
 
 
 def apply_update(weights: DataFrame, update: DataFrame, rate: float, *, workers: int = 1, combine: str = "mean") -> DataFrame:

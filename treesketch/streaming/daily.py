@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from treesketch.functions.fixedpoint import cents
 from treesketch.functions.hashing import SketchSpec
+from treesketch.sources import scratch
 
 EVENTS = T.StructType([T.StructField("event_id", T.LongType()), T.StructField("ts", T.TimestampNTZType()), T.StructField("user_id", T.LongType()), T.StructField("event_type", T.StringType()), T.StructField("value", T.DoubleType()), T.StructField("props", T.StringType())])
 
@@ -52,9 +51,20 @@ def read_event_stream(spark: SparkSession, path: str, *, files_per_trigger: int
 
 
 def stream_daily_sketch(spark: SparkSession, path: str, spec: SketchSpec, *, files_per_trigger: int | None = None) -> DataFrame:
-    """The daily sketches of all that a stream holds now, in complete mode: all days, also the open one."""
-    name = f"daily_{uuid.uuid4().hex}"
+    """The daily sketches of all that a stream holds now, in complete mode: all days, also the open one.
+
+    Each micro-batch's whole result goes to a folder of its own in the shared
+    folder, written by the executors; the last one is the result. A batch that
+    is run again after a failure overwrites its folder.
+    """
+    at = scratch.scratch_path(spark, "daily")
     cells = windowed_sketch(read_event_stream(spark, path, files_per_trigger=files_per_trigger), spec)
-    query = cells.writeStream.format("memory").queryName(name).outputMode("complete").trigger(availableNow=True).start()
+    done: list[str] = []
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{at}/{number}")
+        done.append(f"{at}/{number}")
+
+    query = cells.writeStream.foreachBatch(write).outputMode("complete").option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return _by_day(spark.table(name))
+    return _by_day(spark.read.schema(cells.schema).parquet(done[-1]) if done else spark.createDataFrame([], cells.schema))
