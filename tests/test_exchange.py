@@ -208,8 +208,6 @@ def test_large_k_finds_a_threshold_first(spark):
 def test_a_million_cells_make_a_block_in_seconds(spark):
     import time
 
-    from treesketch.functions.hashing import SketchSpec
-    from treesketch.operators import sketch as sk
 
     spec = SketchSpec(5, 200_000, 7)
     cells = spark.range(spec.size).where("id % 3 <> 1").select(F.floor(F.col("id") / spec.width).cast("int").alias("hrow"), (F.col("id") % spec.width).cast("int").alias("bucket"), (F.col("id") + 1).alias("val"))
@@ -223,7 +221,6 @@ def test_a_million_cells_make_a_block_in_seconds(spark):
 def test_unfit_rows_are_counted_or_stop_the_job(spark):
     from pyspark.errors import PySparkException
 
-    from treesketch.operators import sketch as sk
 
     rows = [(0, 1, 1.0), (0, None, 1.0), (0, -1, 1.0), (0, 2**31 - 1, 1.0), (0, 3, None), (0, 4, float("nan")), (0, 5, float("-inf")), (0, None, None)]
     coords = spark.createDataFrame(rows, "worker int, coord long, val double")

@@ -1,7 +1,9 @@
 """The experiments: convergence, time split, sensitivity to k, throughput, scaling, ablations.
 
-Each is a list of ``TrainSpec``; all methods of one run share rate, batch, steps
-and seed. Accuracy never stands without the values sent.
+Each is a set of ``TrainSpec`` that share rate, batch, steps and seed; what is
+compared by accuracy runs in shared jobs, what is compared by time runs alone.
+Accuracy never stands without the values sent, measured times never without the
+modelled ones: one machine without a network cannot show what a slow link costs.
 """
 
 from __future__ import annotations
@@ -9,15 +11,22 @@ from __future__ import annotations
 from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from treesketch.functions import cost
 from treesketch.functions.hashing import SketchSpec
 from treesketch.learning.blocks import LANGUAGES, embedding_blocks, language_blocks
 from treesketch.learning.gradients import Perceptron, Softmax
-from treesketch.learning.trainer import METHODS, TrainSpec, train
+from treesketch.learning.trainer import METHODS, TrainResult, TrainSpec, train, train_all
+from treesketch.operators import measures
 from treesketch.sources.tables import CLASSES, COMPONENTS
 
+#: Steps of the registered runs, and of those that are timed; ten (small) or five (large) make an epoch.
+SMALL_STEPS, LARGE_STEPS, TIMED_STEPS = 100, 40, 6
 SMALL = TrainSpec(model=Softmax(COMPONENTS, CLASSES), steps=20, batch=64, rate=20.0, k=65, sketch=SketchSpec(5, 128, 7))
 SMALL_HIDDEN = replace(SMALL, model=Perceptron(COMPONENTS, 128, CLASSES), rate=1.0, k=961, sketch=SketchSpec(5, 512, 7))
+#: Buckets of the widest model: a million weights.
+WIDE_BUCKETS = 1 << 18
 LARGE = TrainSpec(model=Softmax(4096, len(LANGUAGES)), steps=20, batch=32, rate=5.0, k=1024, sketch=SketchSpec(5, 1024, 7))
 
 
@@ -29,27 +38,52 @@ def large_blocks(spark: SparkSession, sf_dir: str, workers: int = 4) -> DataFram
     return language_blocks(spark, sf_dir, workers, buckets=4096)
 
 
-def report(spark: SparkSession, blocks: DataFrame, specs: dict[str, TrainSpec], *, every_step: bool = False) -> DataFrame:
-    """One row per run (or per step): name, method, workers, k, width, step, loss, accuracy, values sent, times."""
-    lines = []
-    blocks = blocks.persist()
-    for name, spec in specs.items():
-        result = train(blocks, spec)
-        steps = result.trace if every_step else result.trace[-1:]
-        for t in steps:
-            upto = [x for x in result.trace if x["step"] <= t["step"]]
-            seconds = sum(x["seconds"] for x in upto[1:]) or upto[0]["seconds"]  # the first step warms up
+def large_blocks_of(buckets: int):
+    return lambda spark, sf_dir, workers=4: language_blocks(spark, sf_dir, workers, buckets=buckets)
+
+
+RUN_SCHEMA = "run string, method string, workers int, k int, width int, step int, epoch int, loss double, acc double, macro double, heavy int, values_sent long, t_compute double, t_compress double, t_comm double, examples_per_s double"
+
+
+def _lines(name: str, spec: TrainSpec, result: TrainResult, every_step: bool) -> list[tuple]:
+    lines, values, seen = [], 0, []
+    for t in result.trace:
+        values += t["values"]
+        seen.append(t)
+        if every_step or t is result.trace[-1]:
+            timed = seen[1:] or seen  # the first step warms up
             lines.append((
-                name, spec.method, spec.workers, spec.k, spec.sketch.width, t["step"], t["epoch"], t["loss"], t["acc"], t["macro"], t["heavy"], sum(x["values"] for x in upto),
-                sum(x["t_compute"] for x in upto), sum(x["t_compress"] for x in upto), sum(x["t_comm"] for x in upto), sum(x["examples"] for x in upto[1:] or upto) / seconds,
+                name, spec.method, spec.workers, spec.k, spec.sketch.width, t["step"], t["epoch"], t["loss"], t["acc"], t["macro"], t["heavy"], values,
+                *(sum(x[c] for x in timed) / len(timed) for c in ("t_compute", "t_compress", "t_comm")), sum(x["examples"] for x in timed) / sum(x["seconds"] for x in timed),
             ))
+    return lines
+
+
+def report(spark: SparkSession, blocks: DataFrame, specs: dict[str, TrainSpec], *, every_step: bool = False, alone: bool = False) -> DataFrame:
+    """One row per run (or per step): name, method, sizes, loss, accuracy, values sent so far, mean times of a step, examples a second.
+
+    Runs share their jobs unless they run ``alone``, one after the other, as times of a method need.
+    """
+    blocks = blocks.persist()
+    results = {n: train(blocks, s) for n, s in specs.items()} if alone else train_all(blocks, specs)
     blocks.unpersist()
-    schema = "run string, method string, workers int, k int, width int, step int, epoch int, loss double, acc double, macro double, heavy int, values_sent long, t_compute double, t_compress double, t_comm double, examples_per_s double"
-    return spark.createDataFrame(lines, schema)
+    return spark.createDataFrame([line for n, s in specs.items() for line in _lines(n, s, results[n], every_step)], RUN_SCHEMA)
+
+
+_KEPT: dict[tuple, list] = {}
+
 
+def once(name: str, spark: SparkSession, sf_dir: str, make) -> DataFrame:
+    """The rows of an experiment, a few thousand at most, kept for the other queries of this process that read them."""
+    key = (name, spark.sparkContext.applicationId, sf_dir)
+    if key not in _KEPT:
+        df = make()
+        _KEPT[key] = [df.collect(), df.schema]
+    return spark.createDataFrame(*_KEPT[key])
 
-def methods(spec: TrainSpec) -> dict[str, TrainSpec]:
-    return {m: replace(spec, method=m) for m in METHODS}
+
+def methods(spec: TrainSpec, names: tuple[str, ...] = METHODS) -> dict[str, TrainSpec]:
+    return {m: replace(spec, method=m) for m in names}
 
 
 def k_sweep(spec: TrainSpec, ks: list[int]) -> dict[str, TrainSpec]:
@@ -70,13 +104,83 @@ def equal_volume(spec: TrainSpec) -> dict[str, TrainSpec]:
     return {"tree_sketch": replace(spec, method="tree_sketch"), "top_estimate": replace(spec, method="tree_sketch", recover="top_estimate"), "tree_topk_same_k": replace(spec, method="tree_topk"), "tree_topk_same_volume": replace(spec, method="tree_topk", k=matched)}
 
 
-def scaling(spark: SparkSession, sf_dir: str, counts: list[int], spec: TrainSpec = LARGE, methods: tuple[str, ...] = ("tree_sketch", "tree_topk")) -> DataFrame:
-    """Runs for each number of workers, with the same batch per worker."""
+#: The methods whose times are compared, and modelled links: start-up and time for a value of eight bytes at 1 Gbps, in seconds; 10^4 between them.
+TIMED = ("tree_topk", "star_sketch", "tree_sketch")
+BETA = 8 * 8 / 1e9
+ALPHA = 1e4 * BETA
+
+
+def convergence(steps: DataFrame, tolerance: float = 0.02) -> DataFrame:
+    """Per method and epoch: mean loss, last accuracy, values sent, and the epoch from which the method's accuracy stays within ``tolerance`` of its last."""
+    curves = measures.curve(steps)
+    sent = steps.groupBy("method", "epoch").agg(F.max("values_sent").alias("values_sent"))
+    settled = measures.epochs_to_converge(curves, tolerance).withColumnRenamed("epoch", "settled")
+    return curves.join(sent, ["method", "epoch"]).join(settled, "method", "left")
+
+
+def modelled(rows: DataFrame, d: int, size: int) -> DataFrame:
+    """Adds ``t_modelled``, the exchange's time by the cost model on the links above."""
+    args = {"workers": F.col("workers"), "d": F.lit(float(d)), "k": F.col("k"), "size": F.lit(float(size)), "alpha": F.lit(ALPHA), "beta": F.lit(BETA)}
+    each = F.lit(None).cast("double")
+    for m in METHODS:
+        each = F.when(F.col("method") == m, cost.predict(m, **args).cast("double")).otherwise(each)
+    return rows.withColumn("t_modelled", each)
+
+
+def timed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each timed method alone, on the small and on the large problem."""
+    out = None
+    for model, spec, make in (("small", SMALL, small_blocks), ("large", LARGE, large_blocks)):
+        spec = replace(spec, steps=TIMED_STEPS, evaluate_every=TIMED_STEPS)
+        rows = report(spark, make(spark, sf_dir), methods(spec, TIMED), alone=True)
+        rows = modelled(rows, spec.model.size, spec.sketch.size).withColumn("model", F.lit(model))
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+def time_split(rows: DataFrame) -> DataFrame:
+    """Per model and method the parts of a step, measured, and the share of communication measured and with the modelled exchange."""
+    work = F.col("t_compute") + F.col("t_compress")
+    shares = None
+    for model in ("small", "large"):
+        one = measures.comm_share(rows.where(F.col("model") == model)).withColumn("model", F.lit(model))
+        shares = one if shares is None else shares.unionByName(one)
+    parts = rows.select("model", "method", "t_compute", "t_compress", "t_comm", "t_modelled", (F.col("t_modelled") / (work + F.col("t_modelled"))).alias("modelled_share"))
+    return parts.join(shares, ["model", "method"])
+
+
+def throughput(rows: DataFrame, spec_batch: dict[str, int]) -> DataFrame:
+    """Per model and method examples a second, measured and with the modelled exchange, and the speed-up of tree-sketch over it both ways; the mean over models too."""
+    batch = F.lit(None).cast("double")
+    for model, n in spec_batch.items():
+        batch = F.when(F.col("model") == model, F.lit(float(n))).otherwise(batch)
+    work = F.col("t_compute") + F.col("t_compress") + F.col("t_modelled")
+    rates = rows.select("model", "method", "examples_per_s", (F.col("workers") * batch / work).alias("modelled_per_s"))
+    out = rates
+    for column, name in (("examples_per_s", "speedup"), ("modelled_per_s", "modelled_speedup")):
+        ratios = None
+        for over in TIMED[:-1]:
+            one = measures.speedup(rates.select("model", "method", F.col(column).alias("examples_per_s")), "tree_sketch", over)
+            ratios = one if ratios is None else ratios.unionByName(one)
+        mean = measures.mean_speedup(ratios).select(F.col("over").alias("method"), F.col("mean_speedup").alias(f"mean_{name}"))
+        out = out.join(ratios.select("model", F.col("over").alias("method"), F.col("speedup").alias(name)), ["model", "method"], "left").join(mean, "method", "left")
+    return out
+
+
+def scaling(spark: SparkSession, sf_dir: str, counts: list[int], spec: TrainSpec = LARGE, names: tuple[str, ...] = TIMED) -> DataFrame:
+    """For each number of workers with the same batch each: examples a second and efficiency, measured and with the modelled exchange."""
     out = None
     for p in counts:
-        one = report(spark, large_blocks(spark, sf_dir, p), {f"{m}_p{p}": replace(spec, method=m, workers=p) for m in methods})
+        runs = {f"{m}_p{p}": replace(spec, method=m, workers=p) for m in names}
+        one = modelled(report(spark, large_blocks(spark, sf_dir, p), runs), spec.model.size, spec.sketch.size)
         out = one if out is None else out.unionByName(one)
-    return out
+    work = F.col("t_compute") + F.col("t_compress") + F.col("t_modelled")
+    rates = out.select("method", "workers", "examples_per_s", (F.col("workers") * spec.batch / work).alias("modelled_per_s"), "t_comm", "t_modelled")
+    found = rates
+    for column, name in (("examples_per_s", "efficiency"), ("modelled_per_s", "modelled_efficiency")):
+        one = measures.scaling_efficiency(rates.select("method", "workers", F.col(column).alias("examples_per_s"))).withColumnRenamed("efficiency", name)
+        found = found.join(one, ["method", "workers"])
+    return found
 
 
 #: The grids of the sensitivity and scaling experiments.
@@ -84,15 +188,26 @@ SMALL_KS, LARGE_KS, WORKERS = [4, 16, 65, 162], [64, 256, 1024, 4096], [1, 2, 4,
 
 
 def queries() -> dict:
-    """The experiments with the steps and epochs that the sweeps use."""
-    small, large = replace(SMALL, steps=200, steps_per_epoch=10), replace(LARGE, steps=60, steps_per_epoch=5, evaluate_every=5)
+    """The experiments on the given tables, each a whole run of its steps."""
+    small = replace(SMALL, steps=SMALL_STEPS, steps_per_epoch=10, evaluate_every=10)
+    large = replace(LARGE, steps=LARGE_STEPS, steps_per_epoch=5, evaluate_every=5)
+    hidden = replace(SMALL_HIDDEN, steps=LARGE_STEPS, steps_per_epoch=10, evaluate_every=10)
+    wide = replace(LARGE, model=Softmax(WIDE_BUCKETS, len(LANGUAGES)), steps=4, steps_per_epoch=2, evaluate_every=2, k=10_000, sketch=SketchSpec(5, 4096, 7))
+    traces = {
+        "train_small": (small, small_blocks, METHODS), "train_large": (large, large_blocks, METHODS), "train_hidden": (hidden, small_blocks, TIMED),
+        "train_wide": (wide, large_blocks_of(WIDE_BUCKETS), ("tree_sketch", "tree_topk")),
+    }
     out = {}
-    for m in METHODS:
-        out[f"train_small_{m}"] = lambda spark, sf, m=m: report(spark, small_blocks(spark, sf), {m: replace(small, method=m)}, every_step=True)
-        out[f"train_large_{m}"] = lambda spark, sf, m=m: report(spark, large_blocks(spark, sf), {m: replace(large, method=m)}, every_step=True)
+    for name, (spec, make, names) in traces.items():
+        trace = lambda spark, sf, name=name, spec=spec, make=make, names=names: once(name, spark, sf, lambda: report(spark, make(spark, sf), methods(spec, names), every_step=True))
+        out[name] = trace
+        out[name.replace("train", "convergence")] = lambda spark, sf, trace=trace: convergence(trace(spark, sf))
+    times = lambda spark, sf: once("timed", spark, sf, lambda: timed(spark, sf))
+    out["time_split"] = lambda spark, sf: time_split(times(spark, sf))
+    out["throughput"] = lambda spark, sf: throughput(times(spark, sf), {"small": SMALL.batch, "large": LARGE.batch})
     out["k_sweep"] = lambda spark, sf: report(spark, small_blocks(spark, sf), k_sweep(small, SMALL_KS))
     out["k_sweep_large"] = lambda spark, sf: report(spark, large_blocks(spark, sf), k_sweep(large, LARGE_KS))
     out["ablations"] = lambda spark, sf: report(spark, small_blocks(spark, sf), ablations(small))
     out["equal_volume"] = lambda spark, sf: report(spark, small_blocks(spark, sf), equal_volume(small))
-    out["scaling"] = lambda spark, sf: scaling(spark, sf, WORKERS, large)
+    out["scaling"] = lambda spark, sf: scaling(spark, sf, WORKERS, replace(LARGE, steps=TIMED_STEPS, evaluate_every=TIMED_STEPS))
     return out
