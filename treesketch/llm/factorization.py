@@ -88,8 +88,8 @@ class FactorizationMachine:
         s = len(self.mean)
         index, value = [], []
         for statistics, bucket, x in features:
-            index += [np.arange(s), bucket + s]
-            value += [np.clip((statistics - self.mean) / self.spread, -4, 4) / 2, x]
+            index += [np.arange(s), bucket.astype(np.int64) + s]
+            value += [np.clip((statistics - self.mean) / self.spread, -4, 4) / 2, x]  # the result has double precision
         starts = np.cumsum([0] + [s + len(b) for _, b, _ in features])
         return np.concatenate(index), np.concatenate(value), starts[:-1]
 
@@ -187,7 +187,7 @@ def fit_quality(docs: DataFrame, labels: DataFrame, **options) -> FactorizationM
     def fitted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         forget()
         rows = sorted(row for batch in batches for row in zip(*(batch.column(i).to_pylist() for i in range(4))))
-        features = [(np.frombuffer(s, "<f8"), np.frombuffer(b, "<u4").astype(np.int64), np.frombuffer(v, "<f4").astype(np.float64)) for s, b, v, _ in rows]
+        features = [(np.frombuffer(s, "<f8"), np.frombuffer(b, "<u4"), np.frombuffer(v, "<f4")) for s, b, v, _ in rows]  # views, no copies
         yield pa.RecordBatch.from_arrays([pa.array([fit(features, np.array([r[3] for r in rows]), **options).to_bytes()], pa.binary())], names=["model"])
 
     rows = sample.select("text", F.col("label").cast("int").alias("label")).mapInArrow(made, "s binary, b binary, v binary, label int")

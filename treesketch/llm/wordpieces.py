@@ -14,8 +14,8 @@ import numpy as np
 
 # White space of the tokenizer's patterns in Latin-1 (fixed values); Python's isspace also takes the separators 1C to 1F, which are signs there.
 WHITE_SPACE = frozenset("\t\n\x0b\x0c\r \x85\xa0")
-#: Distinct chunks whose ids a worker keeps (some 120 MB); further ones are encoded again.
-KEPT_CHUNKS = 600_000
+#: Distinct chunks whose ids a worker keeps (some 80 MB); further ones are encoded again.
+KEPT_CHUNKS = 400_000
 
 
 def default_path() -> str:
@@ -123,7 +123,7 @@ class WordPieceEncoder:
         return {p: raw[at[i] : at[i + 1]] for i, p in enumerate(parts)}
 
 
-def text_groups(texts: list[str | None], limit: int = 1 << 21) -> Iterable[tuple[int, int]]:
+def text_groups(texts: list[str | None], limit: int = 1 << 20) -> Iterable[tuple[int, int]]:
     """Ranges of consecutive texts of about ``limit`` characters."""
     start = held = 0
     for i, text in enumerate(texts):
