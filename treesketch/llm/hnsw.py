@@ -23,6 +23,9 @@ from treesketch.llm.wordhash import mix64
 DEGREE = 12
 BUILD_BEAM = 40
 SEARCH_BEAM = 24
+#: A beam that times this many reaches the shard's size is answered by a scan of the shard; vectors that a step of a search gathers at most.
+SCAN = 8
+GATHERED = 1 << 18
 #: Members that set a shard's beam before it answers, and searches of each block that are audited.
 TUNED = 1024
 AUDITED = 16
@@ -112,8 +115,9 @@ class SmallWorld:
         sims = np.einsum("ijk,ik->ij", self.x[np.maximum(both, 0)], self.x[owners])
         table[owners] = self._select(both, np.where(both >= 0, sims, -np.inf), keep)
 
-    def _beam(self, q: np.ndarray, entry: np.ndarray, width: int, layer: int, at_once: int = 3) -> tuple[np.ndarray, np.ndarray]:
-        """The best ``width`` found for each row of ``q``, best first; -1 with -inf where there are fewer."""
+    def _beam(self, q: np.ndarray, entry: np.ndarray, width: int, layer: int) -> tuple[np.ndarray, np.ndarray]:
+        """The best ``width`` found for each row of ``q``, best first; -1 with -inf where there are fewer. A wide beam opens many of its entries at a time."""
+        at_once = max(3, width // 8)
         table, n = self.neighbours[layer], len(self.x)
         rows = len(q)
         seen = np.zeros((rows, n + 1), bool)
@@ -159,19 +163,26 @@ class SmallWorld:
         return self._beam(q, entry, width, 0)
 
     def within(self, q: np.ndarray, least: float, width: int) -> list[np.ndarray]:
-        """For each row of ``q`` the found positions with similarity ``least`` at least; beams that are full of them are doubled."""
+        """For each row of ``q`` the found positions with similarity ``least`` at least; beams that are full of them are widened."""
         n = len(self.x)
         out: list[np.ndarray] = [np.zeros(0, np.int64)] * len(q)
         todo = np.arange(len(q))
         while len(todo):
-            width = min(width, n)
-            ids, sims = self.search(q[todo], width)
-            full = (sims >= least).sum(1) > 0.75 * width
-            for i in np.flatnonzero(~full | (width >= n)):
-                out[todo[i]] = ids[i][sims[i] >= least]
-            if width >= n:
-                break
-            todo, width = todo[full], 2 * width
+            full = np.zeros(len(todo), bool)
+            wide = SCAN * width >= n
+            rows = BLOCK if wide else max(1, GATHERED // (max(3, width // 8) * self.neighbours[0].shape[1]))
+            for at in range(0, len(todo), rows):
+                part = todo[at : at + rows]
+                if wide:  # a beam of a good part of the graph is dearer than all of it
+                    for i, sims in zip(part, q[part].astype(np.float32) @ self.x.T):
+                        out[i] = np.flatnonzero(sims >= least)
+                    continue
+                ids, sims = self.search(q[part], width)
+                near = sims >= least
+                full[at : at + rows] = near.sum(1) > 0.75 * width
+                for i, row, hit in zip(part, ids, near):
+                    out[i] = row[hit]
+            todo, width = todo[full], 4 * width
         return out
 
 
