@@ -63,7 +63,7 @@ PENALTY = 1000
 THRESHOLD = 0.01
 #: Bound of a piece's vote, below which one against unmarked text is none, and the cost of a change of label, also where a marked element begins.
 VOTE, DOUBT = 4.0, 1.0
-CHANGE, CHANGE_AT_MARK = 2.0, 0.5
+CHANGE, CHANGE_AT_MARK = 2.0, 0.0
 #: Marked text alone is an article only if it has punctuation or pieces of so many characters.
 LONG = 80
 
