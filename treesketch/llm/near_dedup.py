@@ -17,21 +17,25 @@ components. Lists that then still hold several components are searched again,
 each document outside the list's largest component against all others; what
 comes out is one row for each document and component that it may belong to,
 never a pair of members, and that is confirmed against blocks of the component.
-So a large group of near copies makes about as many rows as it has members, and
-no link that could join two components is left out.
+Where a list has many such rows for the documents in it, as among texts that
+are alike but below the threshold, it gives the components that they join as
+stars instead, and these crowds are compared as a whole, in blocks. So a large
+group makes about as many rows as it has members, and no link that could join
+two components is left out.
 """
 
 from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from treesketch.llm.components import connected_components
+from treesketch.llm.components import FOREST_EDGES, connected_components, star_forest
 from treesketch.llm.storage import materialize, named_in, only, small_batches
 from treesketch.llm.wordhash import WordHasher, mix64, odd_constants, shingle_hashes
 from treesketch.llm.worker import forget
@@ -44,6 +48,8 @@ MISSED = 1e-5
 HUBS = 3
 #: Rows of a list that one task joins; longer lists are split.
 LIST_ROWS = 512
+#: Candidates of a list for each document and component in them, at most; of more come the components that they join.
+FEW = 2
 
 
 def least_matches(coordinates: int, percent: int) -> int:
@@ -179,13 +185,24 @@ def _open_lists(postings: DataFrame, labels: DataFrame) -> DataFrame:
     return named.join(materialize(mixed.select("token", "major", "rows"), "mixed"), "token")
 
 
+def _few_or_stars(met: list[tuple[int, int, np.ndarray]]) -> tuple[np.ndarray | None, np.ndarray, np.ndarray]:
+    """``cls, comp, other`` of a list's candidates (cls, comp, others) if they are few; else no cls, and stars of the components that they join."""
+    counts = [len(others) for *_, others in met]
+    cls, comp = (np.repeat(np.array([m[i] for m in met], np.int64), counts) for i in (0, 1))
+    other = np.concatenate([others for *_, others in met])
+    if len(other) <= FEW * (len(met) + len(np.unique(other))):
+        return cls, comp, other
+    return None, *star_forest(comp, other)
+
+
 def _near_components(lists: DataFrame, signed: DataFrame, ids: DataFrame, percent: int) -> DataFrame:
-    """``cls, other``: classes with each other component of which a member shares a list and enough of the signature.
+    """``cls, comp, other``: classes with each other component of which a member shares a list and enough of the signature.
 
     A task holds a part of a list, sorted by size, and streams the list's
     classes outside its major component past it; what it puts out is one row
     for each class and component. Of two components neither of which is the
-    major one the smaller asks.
+    major one the smaller asks. Rows without ``cls`` join components into
+    crowds, see ``_few_or_stars``.
     """
     part, parts = _part(F.col("rows"))
     rows = materialize(lists.join(ids, ["cls", "comp"]).join(signed.hint("merge"), "cls"), "open")
@@ -197,11 +214,25 @@ def _near_components(lists: DataFrame, signed: DataFrame, ids: DataFrame, percen
     least = least_matches(COUNTED, percent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at, held, index = None, [], None
+        at, held, index, met, waiting = None, [], None, [], 0
+        found: set[tuple[int | None, int, int]] = set()
+
+        def close() -> None:
+            nonlocal met, waiting
+            if met:
+                cls, comp, other = _few_or_stars(met)
+                found.update(zip([None] * len(comp) if cls is None else cls.tolist(), comp.tolist(), other.tolist()))
+                met, waiting = [], 0
+
+        def made() -> pa.RecordBatch:
+            out = pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found)], names=["cls", "comp", "other"])
+            found.clear()
+            return out
+
         for batch in batches:
-            found: set[tuple[int, int]] = set()
             for token, part, is_query, n, cls, comp, size, major, packed in zip(*(batch.column(i).to_pylist() for i in range(9))):
                 if (token, part) != at:
+                    close()
                     at, held, index = (token, part), [], None
                 if not is_query:
                     held.append((n, comp, size, packed))
@@ -215,12 +246,29 @@ def _near_components(lists: DataFrame, signed: DataFrame, ids: DataFrame, percen
                 low, high = np.searchsorted(100 * sizes, percent * n), np.searchsorted(percent * sizes, 100 * n, "right")
                 others, weights = comps[low:high], weights[low:high]
                 asks = (others != comp) & ((others == major) | (size < weights) | ((size == weights) & (comp < others)))
-                near = others[asks][(signs[low:high][asks] == np.frombuffer(packed, np.uint8)).sum(1) >= least]
-                found.update((cls, other) for other in set(near.tolist()))
+                near = np.unique(others[asks][(signs[low:high][asks] == np.frombuffer(packed, np.uint8)).sum(1) >= least])
+                if len(near):
+                    met.append((cls, comp, near))
+                    waiting += len(near)
+                    if waiting >= FOREST_EDGES:
+                        close()
             if found:
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found)], names=["cls", "other"])
+                yield made()
+        close()
+        if found:
+            yield made()
+
+    return placed.mapInArrow(run, "cls long, comp long, other long").distinct()
+
 
-    return placed.mapInArrow(run, "cls long, other long").distinct()
+def _crowds(asked: DataFrame, ids: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """The members of each crowd of ``asked`` as ``cls, comp, size`` with the crowd as comp, and those outside its largest component as ``cls, other``."""
+    joined = connected_components(asked.where(F.col("cls").isNull()).select(F.col("comp").alias("a"), F.col("other").alias("b")))
+    named = materialize(joined.select(F.col("vertex").alias("comp"), F.col("component").alias("crowd")), "crowds")
+    members = ids.join(named, "comp")
+    largest = members.groupBy("crowd").agg(F.max_by("comp", F.struct("size", "comp")).alias("largest"), F.count(F.lit(1)).alias("all"))
+    members = materialize(members.join(largest, "crowd"), "members")
+    return members.select("cls", F.col("crowd").alias("comp"), F.col("all").alias("size")), members.where(F.col("comp") != F.col("largest")).select("cls", F.col("crowd").alias("other"))
 
 
 #: Members of a component that are compared with a document at a time.
@@ -228,10 +276,11 @@ COMPONENT_BLOCK = 512
 
 
 def _links_to_components(sets: DataFrame, ids: DataFrame, asked: DataFrame, percent: int) -> DataFrame:
-    """``a, b``: all links of each document of ``asked(cls, other)`` to members of that component.
+    """``a, b``: links that join all that each document of ``asked(cls, other)`` links with in that component.
 
     Components are cut into blocks; a task holds a block's sets, sorted by
-    shingle, and streams the documents asked past it. Only links come out.
+    shingle, and streams the documents asked past it. Only links come out, and
+    of those found at a time the stars that join the same documents.
     """
     blocks = F.ceil(F.col("size") / COMPONENT_BLOCK).cast("int")
     targets = asked.select(F.col("other").alias("comp")).distinct().join(ids.groupBy("comp").agg(F.max("size").alias("size")), "comp")
@@ -271,10 +320,11 @@ def _links_to_components(sets: DataFrame, ids: DataFrame, asked: DataFrame, perc
                     continue
                 spots = np.repeat(low - np.concatenate([[0], np.cumsum(count)[:-1]]), count) + np.arange(count.sum())
                 both = np.bincount(owner[spots], minlength=len(sizes))
-                near = np.flatnonzero(100 * both >= percent * (sizes + len(h) - both))
-                found_a += [doc] * len(near)
-                found_b += names[near].tolist()
-            yield pa.RecordBatch.from_arrays([pa.array(found_a, pa.int64()), pa.array(found_b, pa.int64())], names=["a", "b"])
+                near = np.flatnonzero((100 * both >= percent * (sizes + len(h) - both)) & (names != doc))
+                found_a.append(np.full(len(near), doc))
+                found_b.append(names[near])
+            if found_a:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in star_forest(np.concatenate(found_a), np.concatenate(found_b))], names=["a", "b"])
 
     return placed.mapInArrow(run, "a long, b long")
 
@@ -306,12 +356,17 @@ def near_duplicates(docs: DataFrame, *, size: int = 5, percent: int = 75, hubs:
     ids = materialize(ids.join(ids.groupBy("comp").agg(F.count(F.lit(1)).alias("size")), "comp").select("cls", "comp", "size"), "members")
     asked = materialize(_near_components(lists, signed, ids, percent), "asked")
     if not asked.isEmpty():
-        wanted = asked.select(F.col("other").alias("comp")).distinct()
-        needed = asked.select("cls").unionByName(ids.join(wanted, "comp", "left_semi").select("cls")).distinct()
-        sets = materialize(_sets(docs, needed.withColumnRenamed("cls", "id"), size), "sets")
-        more = materialize(_links_to_components(sets, ids, asked, percent), "links")
-        if not more.isEmpty():
-            labels = materialize(connected_components(links.unionByName(more)), "labels")
+        single = asked.where(F.col("cls").isNotNull()).select("cls", "other")
+        wanted = single.select(F.col("other").alias("comp")).distinct()
+        needed = single.select("cls").unionByName(ids.join(wanted, "comp", "left_semi").select("cls"))
+        groups = [(ids, single)]
+        if not asked.where(F.col("cls").isNull()).isEmpty():
+            groups.append(_crowds(asked, ids))
+            needed = needed.unionByName(groups[1][0].select("cls"))
+        sets = materialize(_sets(docs, needed.distinct().withColumnRenamed("cls", "id"), size), "sets")
+        more = [materialize(_links_to_components(sets, members, queries, percent), "links") for members, queries in groups]
+        if not all(m.isEmpty() for m in more):
+            labels = materialize(connected_components(reduce(DataFrame.unionByName, more, links)), "labels")
 
     known = classes.select("f1", "f2", F.col("n").alias("n_shingles"), "cls").join(labels.withColumnRenamed("vertex", "cls"), "cls", "left")
     known = known.select("f1", "f2", "n_shingles", F.coalesce("component", "cls").alias("known"))
