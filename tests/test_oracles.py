@@ -30,3 +30,8 @@ def test_same_rows(spark, db, tiny, name):
     assert sorted(df.columns) == columns
     at = [want.columns.index(c) for c in columns]
     assert sorted(repr(tuple(r[c] for c in columns)) for r in df.collect()) == sorted(repr(tuple(r[i] for i in at)) for r in want.fetchall())
+
+
+@pytest.mark.parametrize("name", ["compression_ratio", "cost_grid", "cost_speedup", "ledger_rollup", "literal_stride_coverage", "sketch_sizes", "speedup_table", "tree_edges", "tree_ledger", "warmup_schedule"])
+def test_closed_forms_take_their_sizes_from_a_table(spark, tiny, name):
+    assert QUERIES[name](spark, tiny).inputFiles()
