@@ -218,6 +218,38 @@ def test_hot_seeds_make_few_rows(spark):
     assert all((r.n_removed >= 58) == (r.doc_id > 0) for r in got)
 
 
+def test_window_minima_equal_brute_force():
+    rng = np.random.default_rng(5)
+    for n, window in [(9, 8), (40, 8), (40, 1), (25, 5), (300, 7)]:
+        order = rng.integers(0, 6, n).astype(np.uint64)  # with equals
+        want = sorted({int(order[i : i + window].argmin()) + i for i in range(n - window + 1)})
+        assert passages._window_minima(order, window).tolist() == want
+
+
+def test_extension_stops_at_once_where_nothing_agrees(monkeypatch):
+    """Beside a seed that two documents share by chance, words are not compared once for each way to pass over some."""
+    compared, equal = [], np.array_equal
+    monkeypatch.setattr(np, "array_equal", lambda *c: compared.append(1) or equal(*c))
+    x, y = np.arange(200, dtype=np.uint32), np.arange(1000, 1200, dtype=np.uint32)
+    y[90:96] = x[90:96]
+    start, agreeing = passages.align(x, y, np.array([90]), np.array([90]))
+    assert (start, agreeing.tolist()) == (90, [True] * 6)
+    assert len(compared) <= 1  # the seed itself
+
+
+def test_extension_passes_over_the_fewest_words():
+    """Held against every way tried in turn."""
+    rng = np.random.default_rng(6)
+    ways = sorted(((p, q) for p in range(5) for q in range(5) if p != q), key=lambda w: (max(w), sum(w)))
+    resumed = 0
+    for _ in range(2_000):
+        x, y = (rng.integers(0, 2, int(rng.integers(0, 12))) for _ in range(2))
+        want = next((w for w in ways if w[0] + 4 <= len(x) and w[1] + 4 <= len(y) and np.array_equal(x[w[0] : w[0] + 4], y[w[1] : w[1] + 4])), None)
+        assert passages._resumed(x, y) == want
+        resumed += want is not None
+    assert resumed > 100
+
+
 # 5: signatures
 
 

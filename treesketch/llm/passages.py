@@ -34,11 +34,25 @@ MAX_GAP, GAP_COST = 48, 0.1
 MARGIN, SHORT_MARGIN = 256, 96
 #: An alignment goes on over words that differ, each at this cost in agreeing words, until it has lost so many.
 MISS_COST, DROP = 2, 15
+#: Words that one side may lack where an alignment goes on, and the words that must agree after them; the ways to pass over them, fewest first.
+SLACK, PROOF = 4, 4
+SHIFTS = sorted(((p, q) for p in range(SLACK + 1) for q in range(SLACK + 1) if p != q), key=lambda s: (max(s), sum(s)))
 #: Documents of one batch with the same seed that go to the corpus-wide join each; of more, the first and the last.
 HOT = 4
 #: Matches that a task handles at a time.
 BUFFER = 50_000
 
+def _window_minima(order: np.ndarray, window: int) -> np.ndarray:
+    """Places of the least value of each window, the first of equals, once each: minima of windows twice as long from two shorter ones."""
+    at, size = np.arange(len(order)), 1
+    while size < window:
+        step = min(size, window - size)
+        left, right = at[:-step], at[step:]
+        at = np.where(order[left] <= order[right], left, right)
+        size += step
+    return at[np.append(True, at[1:] != at[:-1])]
+
+
 def minimizers(words: np.ndarray, k: int = KMER, window: int = WINDOW) -> tuple[np.ndarray, np.ndarray]:
     """Positions and hashes of the least k-mer of each window; of all k-mers together in a shorter text."""
     if len(words) < k:
@@ -48,7 +62,7 @@ def minimizers(words: np.ndarray, k: int = KMER, window: int = WINDOW) -> tuple[
     if len(order) <= window:
         at = np.array([int(np.argmin(order))])
     else:
-        at = np.unique(np.lib.stride_tricks.sliding_window_view(order, window).argmin(1) + np.arange(len(order) - window + 1))
+        at = _window_minima(order, window)
     return at, grams[at]
 
 
@@ -142,30 +156,39 @@ def _agreeing(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     return out
 
 
-def _extend(x: np.ndarray, y: np.ndarray, slack: int = 4, proof: int = 4) -> np.ndarray:
+def _resumed(x: np.ndarray, y: np.ndarray) -> tuple[int, int] | None:
+    """The fewest words to pass over at the start of x and of y so that ``PROOF`` words agree; None if there are none."""
+    x, y = x[: SLACK + PROOF].tolist(), y[: SLACK + PROOF].tolist()
+    in_x, in_y = ([w[i : i + PROOF] for i in range(len(w) - PROOF + 1)] for w in (x, y))
+    if not any(w in in_y for w in in_x):
+        return None
+    return next(((p, q) for p, q in SHIFTS if p < len(in_x) and q < len(in_y) and in_x[p] == in_y[q]), None)
+
+
+def _extend(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     """Which words of x, from its start, agree with y in an alignment that goes on while it pays.
 
     Words that differ cost ``MISS_COST``; where the score has fallen by
     ``DROP`` the alignment goes back to its best end, and on from there only
-    over some words that one side lacks, if ``proof`` words agree after them.
+    over up to ``SLACK`` words that one side lacks, if ``PROOF`` words agree
+    after them.
     """
     out, i, j = [], 0, 0
     while i < len(x) and j < len(y):
         n = min(len(x) - i, len(y) - j)
         same = x[i : i + n] == y[j : j + n]
-        score = np.cumsum(np.where(same, 1, -MISS_COST))
-        fallen = np.flatnonzero(np.maximum(np.maximum.accumulate(score), 0) - score > DROP)
-        score = score[: fallen[0]] if len(fallen) else score
-        best = len(score) - int(score[::-1].argmax()) if len(score) and score.max() >= 0 else 0
-        out.append(same[:best])
-        i, j = i + best, j + best
-        for di, dj in sorted(((p, q) for p in range(slack + 1) for q in range(slack + 1) if p != q), key=lambda s: (max(s), sum(s))):
-            if i + di + proof <= len(x) and j + dj + proof <= len(y) and np.array_equal(x[i + di : i + di + proof], y[j + dj : j + dj + proof]):
-                out.append(np.zeros(di, bool))
-                i, j = i + di, j + dj
-                break
-        else:
+        if same[: DROP // MISS_COST + 1].any():
+            score = np.cumsum(np.where(same, 1, -MISS_COST))
+            fallen = np.flatnonzero(np.maximum(np.maximum.accumulate(score), 0) - score > DROP)
+            score = score[: fallen[0]] if len(fallen) else score
+            best = len(score) - int(score[::-1].argmax()) if len(score) and score.max() >= 0 else 0
+            out.append(same[:best])
+            i, j = i + best, j + best
+        shift = _resumed(x[i:], y[j:])
+        if shift is None:
             break
+        out.append(np.zeros(shift[0], bool))
+        i, j = i + shift[0], j + shift[1]
     return np.concatenate(out) if out else np.zeros(0, bool)
 
 

@@ -44,8 +44,10 @@ class WordHasher:
 
     def spans(self, raw: bytes) -> tuple[np.ndarray, np.ndarray]:
         """Start and end of each word, in bytes."""
-        edge = np.diff(self._space[np.frombuffer(raw, np.uint8)].astype(np.int8), prepend=1, append=1)
-        return np.flatnonzero(edge == -1), np.flatnonzero(edge == 1)
+        space = np.ones(len(raw) + 2, bool)
+        space[1:-1] = self._space[np.frombuffer(raw, np.uint8)]
+        edges = np.flatnonzero(space[1:] != space[:-1])
+        return edges[0::2], edges[1::2]
 
     def words(self, raw: bytes) -> np.ndarray:
         """One hash for each word, in order."""
