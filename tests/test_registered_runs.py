@@ -1,8 +1,11 @@
 """The registered training queries run the whole experiments, and give the measures."""
 
+import time
+from contextlib import suppress
 from dataclasses import replace
 
 import pytest
+from pyspark.sql import functions as F
 
 from treesketch.experiments import runs
 from treesketch.learning.schedule import schedule_at
@@ -66,3 +69,37 @@ def test_measures_of_runs(spark, tiny, short, monkeypatch):
     assert rates["small", "tree_sketch"].speedup is None
     found = {(r.method, r.workers): r for r in runs.scaling(spark, tiny, [1, 2], replace(short["large"], steps=2, evaluate_every=2), ("tree_sketch",)).collect()}
     assert found["tree_sketch", 1].efficiency == 1 and found["tree_sketch", 2].modelled_efficiency < 1
+
+
+def test_scaling_times_each_method_alone(spark, tiny, short):
+    """Methods that shared their jobs had one rate and one efficiency at a number of workers."""
+    spec = replace(short["large"], steps=2, evaluate_every=2)
+    found = runs.scaling(spark, tiny, [1, 2], spec).collect()
+    assert {(r.method, r.workers) for r in found} == {(m, p) for m in runs.COMPARED for p in (1, 2)}
+    for p in (1, 2):
+        assert len({r.examples_per_s for r in found if r.workers == p}) == len({r.t_comm for r in found if r.workers == p}) == len(runs.COMPARED)
+    assert len({r.efficiency for r in found if r.workers == 2}) == len(runs.COMPARED)
+
+
+def test_a_timed_step_has_its_mini_batch_and_recovery(spark, tiny, short, monkeypatch):
+    """Choosing the mini-batches counts in the examples a second; recovery and update count beside the modelled exchange."""
+    make = runs.mini_batches
+    monkeypatch.setattr(runs, "mini_batches", lambda *a: time.sleep(8) or make(*a))
+    spec = replace(short["small"], steps=2, evaluate_every=2)
+    rows = runs.report(spark, runs.small_blocks(spark, tiny), runs.methods(spec, ("tree_sketch",)), alone=True)
+    (row,) = runs.modelled(rows, spec.model.size, spec.sketch.size).collect()
+    assert row.t_sample > 4 and row.t_recover > 0 and row.examples_per_s < spec.workers * spec.batch / row.t_sample
+    one = spark.createDataFrame([row]).withColumns({"t_recover": F.lit(3.0), "model": F.lit("small")})
+    step = row.t_compute + row.t_compress + 3 + row.t_modelled
+    assert runs.throughput(one, {"small": spec.batch}).first().modelled_per_s == pytest.approx(spec.workers * spec.batch / step)
+
+
+def test_scaling_has_all_steps_of_the_large_run(monkeypatch):
+    seen = []
+    monkeypatch.setattr(runs, "large_blocks", lambda *a: Rows())
+    monkeypatch.setattr(runs, "report", lambda spark, blocks, specs, **options: seen.append((specs, options)) or Rows())
+    monkeypatch.setattr(runs, "modelled", lambda *a: Rows())
+    with suppress(Exception):  # measures of rows that are none
+        runs.queries()["scaling"](None, "")
+    assert [{s.workers for s in specs.values()} for specs, _ in seen] == [{p} for p in runs.WORKERS]
+    assert all(options == {"alone": True} and {s.steps for s in specs.values()} == {runs.LARGE_STEPS} for specs, options in seen)
