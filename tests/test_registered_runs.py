@@ -103,3 +103,14 @@ def test_scaling_has_all_steps_of_the_large_run(monkeypatch):
         runs.queries()["scaling"](None, "")
     assert [{s.workers for s in specs.values()} for specs, _ in seen] == [{p} for p in runs.WORKERS]
     assert all(options == {"alone": True} and {s.steps for s in specs.values()} == {runs.LARGE_STEPS} for specs, options in seen)
+
+
+def test_throughput_times_whole_runs_of_every_method(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(runs, "once", lambda name, spark, sf, make: make())
+    for name in ("small_blocks", "large_blocks", "modelled"):
+        monkeypatch.setattr(runs, name, lambda *a: Rows())
+    monkeypatch.setattr(runs, "report", lambda spark, blocks, specs, **options: seen.append((specs, options)) or Rows())
+    runs.queries()["throughput"](spark, "")
+    assert [{s.steps for s in specs.values()} for specs, _ in seen] == [{runs.SMALL_STEPS}, {runs.LARGE_STEPS}]
+    assert all({s.method for s in specs.values()} == set(runs.METHODS) and options == {"alone": True} for specs, options in seen)
